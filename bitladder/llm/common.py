@@ -143,7 +143,7 @@ def cut(sorted_keys: np.ndarray, bits: int):
     if not len(sorted_keys):
         return
     of = (sorted_keys >> np.uint64(64 - bits)).astype(np.int64)
-    at = np.flatnonzero(np.diff(of, prefix=-1))
+    at = np.flatnonzero(np.diff(of, prepend=-1))
     for a, b in zip(at.tolist(), [*at[1:].tolist(), len(of)], strict=True):
         yield int(of[a]), a, b
 
