@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import lines, packing, quality, suffix, tokens, windows
+from . import chat, lines, mixing, packing, quality, search, suffix, tokens, windows
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -18,6 +18,10 @@ def vocabulary(name: str = "word_bpe_49k.json") -> str:
     return str(public_tokenizers.path(name))
 
 
+def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.schedule(table(spark, sf_dir, "documents"))
+
+
 def op2_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.digest(packing.pack(table(spark, sf_dir, "documents"), vocabulary()))
 
@@ -26,6 +30,15 @@ def op3_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.clean(table(spark, sf_dir, "documents")).select("doc_id", *quality.COLUMNS)
 
 
+def op4_chat_preferences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.format_preferences(*chat.stale_answer_pairs(table(spark, sf_dir, "conversations")))
+
+
+def op5_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = table(spark, sf_dir, "embeddings")
+    return search.top_k(vectors, vectors.where("vec_id % 50 = 0"), k=5)
+
+
 def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = suffix.dedup_spans(table(spark, sf_dir, "documents"), window=50)
     return out.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
@@ -46,8 +59,11 @@ def op10_window_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_mix_sources": op1_mix_sources,
     "op2_pack": op2_pack,
     "op3_line_quality": op3_line_quality,
+    "op4_chat_preferences": op4_chat_preferences,
+    "op5_top_k": op5_top_k,
     "op6_suffix_dedup": op6_suffix_dedup,
     "op8_line_dedup": op8_line_dedup,
     "op9_token_count": op9_token_count,
