@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 #: stands for a null doc_id inside packed arrays; sorts before every other id
 NULL_ID = -(2**63)
-CHUNK_BYTES = 8 << 20
+CHUNK_BYTES = 4 << 20
 #: bytes of the smallest request that one bucket should gather
 BUCKET_BYTES = 8 << 20
 
@@ -221,7 +221,7 @@ def anchors(hashes: np.ndarray, starts: np.ndarray, width: int):
 class HashCache(dict):
     """Word to 64-bit hash; forgets everything when it grows too large."""
 
-    def __init__(self, of, limit: int = 400_000):
+    def __init__(self, of, limit: int = 200_000):
         self.of, self.limit = of, limit
 
     def __missing__(self, word):
@@ -233,26 +233,67 @@ class HashCache(dict):
         return value
 
 
-_words: HashCache | None = None
+#: longer pieces than this are hashed one by one
+LONGEST = 256
+#: ASCII white space
+SPACES = np.zeros(256, bool)
+SPACES[[32, 9, 10, 11, 12, 13]] = True
+_rng = np.random.default_rng(20240229)
+BY_BYTE, BY_PLACE = _rng.integers(0, 2**64, 256, np.uint64), _rng.integers(0, 2**64, LONGEST + 1, np.uint64) | np.uint64(1)
+
+
+def piece_hashes(buf: bytes, data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """64-bit hashes of the byte ranges [start, end) of ``buf``, none of them empty.
+
+    Random numbers of bytes times random factors of their places, summed and mixed.
+    """
+    from xxhash import xxh3_64_intdigest
+
+    size = end - start
+    begin = np.cumsum(size) - size
+    place = np.arange(int(size.sum())) - np.repeat(begin, size)
+    value = BY_BYTE[data[place + np.repeat(start, size)]] * BY_PLACE[np.minimum(place, LONGEST)]
+    h = np.add.reduceat(value, begin) if len(size) else np.empty(0, np.uint64)
+    for i in np.flatnonzero(size > LONGEST).tolist():
+        h[i] = xxh3_64_intdigest(buf[start[i] : end[i]])
+    return mixed(h + size.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+
+
+def words_of(data: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """[start, end) of the runs without ASCII white space; no run crosses an edge."""
+    solid = ~SPACES[data]
+    cut_before = np.zeros(len(data) + 1, bool)
+    cut_before[edges] = True
+    cut_before[0] = cut_before[-1] = True
+    start = solid.copy()
+    start[1:] &= ~solid[:-1] | cut_before[1:-1]
+    stop = solid.copy()
+    stop[:-1] &= ~solid[1:] | cut_before[1:-1]
+    return np.flatnonzero(start), np.flatnonzero(stop) + 1
+
+
+def doc_blocks(lens: np.ndarray, size: int = 1 << 19):
+    """Ranges of neighbouring documents of about ``size`` bytes: what is in memory at once."""
+    number = (np.cumsum(lens) - lens) // size
+    edges = [0, *(np.flatnonzero(np.diff(number)) + 1).tolist(), len(lens)]
+    return [(a, b) for a, b in zip(edges[:-1], edges[1:], strict=True) if b > a]
 
 
 def chunk_words(chunk: Chunk) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of all words of a chunk, one after the other, and words per document.
 
-    ``bytes.split`` divides at exactly the ASCII white space 20 and 09-0D.
+    Words are runs without the ASCII white space 20 and 09-0D, as ``bytes.split``
+    gives them.
     """
-    global _words
-    if _words is None:
-        from xxhash import xxh3_64_intdigest
-
-        _words = HashCache(xxh3_64_intdigest)
-    per, parts = [], []
-    for text in chunk.texts():
-        words = text.split()
-        per.append(len(words))
-        if words:
-            parts.append(np.fromiter(map(_words.__getitem__, words), dtype=np.uint64, count=len(words)))
-    return (np.concatenate(parts) if parts else np.empty(0, np.uint64)), np.array(per, dtype=np.int64)
+    per, parts = [np.empty(0, np.int64)], [np.empty(0, np.uint64)]
+    for a, b in doc_blocks(chunk.lens):
+        lo, hi = int(chunk.starts[a]), int(chunk.ends[b - 1])
+        buf = chunk.blob[lo:hi]
+        data = np.frombuffer(buf, np.uint8)
+        start, end = words_of(data, chunk.starts[a:b] - lo)
+        parts.append(piece_hashes(buf, data, start, end))
+        per.append(np.searchsorted(start, chunk.ends[a:b] - lo) - np.searchsorted(start, chunk.starts[a:b] - lo))
+    return np.concatenate(parts), np.concatenate(per)
 
 
 def window_starts(lens: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:

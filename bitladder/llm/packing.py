@@ -12,6 +12,7 @@ partition is padded.
 
 from __future__ import annotations
 
+from bisect import bisect_left, bisect_right, insort
 from collections import defaultdict, deque
 
 import numpy as np
@@ -24,15 +25,15 @@ from .common import id_and_bytes
 from .tokens import id_cache
 
 
-def best_fill(lengths: dict[int, int], room: int) -> dict[int, int]:
-    """The multiset of ``lengths`` (with counts) whose sum is the largest up to ``room``.
+def best_fill(lengths, room: int) -> dict[int, int]:
+    """The multiset of (length, count), largest first, whose sum is the largest up to ``room``.
 
     Bit s of ``reach`` says that sum s can be had.  Counts are split into powers
     of two, so an item is one shift; the bits before each item allow the way back.
     """
     full, reach, trail = (1 << (room + 1)) - 1, 1, []
-    for length in sorted(lengths, reverse=True):
-        left, step = min(lengths[length], room // length), 1
+    for length, count in lengths:
+        left, step = min(count, room // length), 1
         while left > 0:
             take = min(step, left)
             trail.append((reach, length, take))
@@ -52,10 +53,14 @@ class Pool:
     """Pieces that wait for a window, by length."""
 
     def __init__(self, capacity: int):
-        self.capacity, self.by_length, self.size = capacity, defaultdict(deque), 0
+        self.capacity, self.by_length, self.lengths, self.size = capacity, {}, [], 0
 
     def add(self, piece) -> None:
-        self.by_length[piece[2]].append(piece)
+        queue = self.by_length.get(piece[2])
+        if queue is None:
+            queue = self.by_length[piece[2]] = deque()
+            insort(self.lengths, piece[2])
+        queue.append(piece)
         self.size += 1
 
     def take(self, length: int):
@@ -63,18 +68,20 @@ class Pool:
         piece = queue.popleft()
         if not queue:
             del self.by_length[length]
+            del self.lengths[bisect_left(self.lengths, length)]
         self.size -= 1
         return piece
 
     def window(self) -> list:
         """The next window's pieces."""
-        first = self.take(max(self.by_length))
+        first = self.take(self.lengths[-1])
         pieces, room = [first], self.capacity - first[2]
-        for length, n in best_fill({k: len(v) for k, v in self.by_length.items() if k <= room}, room).items():
+        fits = self.lengths[: bisect_right(self.lengths, room)]
+        for length, n in best_fill(((k, len(self.by_length[k])) for k in reversed(fits)), room).items():
             pieces += [self.take(length) for _ in range(n)]
             room -= n * length
         if room and self.size:
-            doc, start, length, total, ids = self.take(max(self.by_length))
+            doc, start, length, total, ids = self.take(self.lengths[-1])
             pieces.append((doc, start, room, total, ids[: 4 * room]))
             self.add((doc, start + room, length - room, total, ids[4 * room :]))
         return pieces
@@ -109,8 +116,8 @@ def pack(docs: DataFrame, path: str, capacity: int = 2048, end_id: int = 1, pool
             return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["doc_id", "start", "length", "doc_tokens", "ids", "sequence_id", "offset"])
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
+            for at in range(0, batch.num_rows, 1024):
+                part = batch.slice(at, 1024)
                 for doc, ids in zip(part.column(0).to_pylist(), cache.encode(part.column(1).to_pylist()), strict=True):
                     ids += end
                     total, start = len(ids) // 4, 0

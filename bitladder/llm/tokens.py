@@ -12,12 +12,15 @@ import heapq
 import json
 import re
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import HashCache, id_and_bytes
+from .common import LONGEST, HashCache, id_and_bytes, piece_hashes, words_of
 
+#: a control character that stands between pieces that are tokenized together
+MARK = b"\x01"
 _loaded: dict[str, object] = {}
 
 
@@ -135,36 +138,211 @@ def count_tokens(docs: DataFrame, path: str, limit: int = 2048) -> DataFrame:
     return out.withColumn("over_limit", F.col("n_tokens") > F.lit(limit))
 
 
+class PairTable:
+    """Ranked pairs of symbol ids, looked up for whole arrays.
+
+    A pair's key is hashed into a first table; the few keys whose place is taken
+    are in a second one without collisions.
+    """
+
+    def __init__(self, pairs: np.ndarray, merged: np.ndarray, size: int):
+        self.size = np.int64(size)
+        self.key = np.append(pairs[:, 0] * self.size + pairs[:, 1], -1)
+        self.rank = np.append(np.arange(len(pairs)), NO_RANK)
+        self.merged = np.append(merged, -1)
+        self.first, at = np.full(1 << 20, len(pairs), np.int32), self.place(self.key[:-1], FIRST, 20)
+        self.first[at[::-1]] = np.arange(len(pairs))[::-1]  # the earliest pair keeps the place
+        late = np.flatnonzero(self.first[at] != np.arange(len(pairs)))
+        self.taken = np.zeros(1 << 20, bool)
+        self.taken[at[late]] = True
+        self.factor = SECOND
+        while len(np.unique(self.place(self.key[late], self.factor, 22))) < len(late):
+            self.factor = self.factor * FIRST + np.uint64(2)
+        self.second = np.full(1 << 22, len(pairs), np.int32)
+        self.second[self.place(self.key[late], self.factor, 22)] = late
+
+    @staticmethod
+    def place(key: np.ndarray, factor: np.uint64, bits: int) -> np.ndarray:
+        return (key.astype(np.uint64) * factor >> np.uint64(64 - bits)).astype(np.int64)
+
+    def find(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Numbers of the pairs, or the number of no pair."""
+        key = left * self.size + right
+        at = self.place(key, FIRST, 20)
+        found = self.first[at]
+        miss = np.flatnonzero(self.key[found] != key)
+        again = miss[self.taken[at[miss]]]
+        found[miss] = len(self.key) - 1
+        if len(again):
+            other = self.second[self.place(key[again], self.factor, 22)]
+            found[again] = np.where(self.key[other] == key[again], other, len(self.key) - 1)
+        return found
+
+
+#: fixed values: odd multipliers of the two tables; the rank of no pair
+FIRST, SECOND = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
+NO_RANK = 1 << 30
+#: bytes that plain pieces (up to U+023F, no controls) don't have
+STRANGE = np.ones(256, bool)
+STRANGE[0x21:0x7F] = STRANGE[0x80:0xC0] = STRANGE[0xC2:0xC9] = False
+
+
+def merge_all(symbols: np.ndarray, starts: np.ndarray, table: PairTable) -> tuple[np.ndarray, np.ndarray]:
+    """Merges many words at once: in each round, every word's lowest-ranked leftmost pair.
+
+    ``symbols`` are the words' symbol ids one after the other, ``starts`` where each
+    begins.  Returns the merged ids and the words' new starts.  Words that have no
+    pair left leave the rounds.
+    """
+    done_ids, done_words = [], []
+    word = np.arange(len(starts))
+    lens = np.diff(np.append(starts, len(symbols)))
+    symbols = symbols.astype(np.int64)
+
+    def ranks(at: np.ndarray, last: np.ndarray) -> np.ndarray:
+        """Pair numbers at places that aren't the last of their word."""
+        out = np.full(len(at), len(table.key) - 1, np.int64)
+        inner = ~last
+        out[inner] = table.find(symbols[at[inner]], symbols[at[inner] + 1])
+        return out
+
+    final = np.zeros(len(symbols), bool)
+    final[np.cumsum(lens) - 1] = True
+    pair = ranks(np.arange(len(symbols)), final)
+    while len(word):
+        begin = np.cumsum(lens) - lens
+        order = table.rank[pair] << 32 | np.arange(len(pair))
+        best = np.minimum.reduceat(order, begin)
+        live = best >> 32 < NO_RANK
+        if not live.all():
+            stays = np.repeat(live, lens)
+            done_ids.append(symbols[~stays])
+            done_words.append((word[~live], lens[~live]))
+            number = np.cumsum(stays) - 1
+            symbols, pair, final = symbols[stays], pair[stays], final[stays]
+            word, lens, best = word[live], lens[live], best[live]
+            if not len(word):
+                break
+            at = number[best & 0xFFFFFFFF]
+        else:
+            at = best & 0xFFFFFFFF
+        symbols[at] = table.merged[pair[at]]
+        final[at] |= final[at + 1]
+        keep = np.ones(len(symbols), bool)
+        keep[at + 1] = False
+        at = at - np.arange(len(at))  # one symbol went from each word before
+        symbols, pair, final = symbols[keep], pair[keep], final[keep]
+        lens = lens - 1
+        pair[at] = ranks(at, final[at])
+        inside = at > np.cumsum(lens) - lens
+        left = at[inside] - 1
+        pair[left] = table.find(symbols[left], symbols[left + 1])
+    ids = np.concatenate(done_ids) if done_ids else symbols
+    order = np.concatenate([w for w, _ in done_words]) if done_words else word
+    sizes = np.concatenate([n for _, n in done_words]) if done_words else lens
+    # back into the order of the words
+    out_lens = np.empty(len(starts), np.int64)
+    out_lens[order] = sizes
+    out_starts = np.cumsum(out_lens) - out_lens
+    out = np.empty(len(ids), np.int64)
+    out[np.arange(len(ids)) - np.repeat(np.cumsum(sizes) - sizes, sizes) + np.repeat(out_starts[order], sizes)] = ids
+    return out, out_starts
+
+
 class IdCache:
-    """Piece of text to the bytes of its little-endian ids, through the library."""
+    """Ids of texts, piece by piece, in arrays.
 
-    def __init__(self, path: str, limit: int = 300_000):
-        from tokenizers import Tokenizer
+    The texts of a batch are cut at ASCII white space; equal pieces are found by a
+    64-bit hash and looked up in a sorted table of the pieces this worker has met.
+    New pieces of plain characters are merged together (``merge_all``); others, and
+    tokenizers that keep white space, go through the library.  Both give the
+    library's ids.
+    """
 
+    def __init__(self, path: str, limit: int = 2_000_000):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        self.library, self.known, self.limit = Tokenizer.from_file(path), {}, limit
-        with open(path, encoding="utf-8") as f:
-            split = str(json.load(f)["pre_tokenizer"])
-        self.drops_space = "'invert': True" in split and "'behavior': 'Removed'" in split
+        self.rules, self.limit = PairMerger(path), limit
+        self.library = self.rules.library
+        if not self.rules.quick:
+            return
+        vocab, suffix, symbols = self.library.get_vocab(), self.rules.suffix, self.rules.symbols
+        self.inner, self.last = (np.array([vocab[c + x] for c in symbols]) for x in ("", suffix))
+        ranked = sorted(self.rules.rank, key=self.rules.rank.get)
+        self.table = PairTable(np.array([(vocab[a], vocab[b]) for a, b in ranked], np.int64), np.array([vocab[a + b] for a, b in ranked], np.int64), len(vocab) + 2)
+        self.mark = int(self.last[MARK[0]])
+        self.forget()
+
+    def forget(self) -> None:
+        self.key, self.begin, self.size, self.ids = np.empty(0, np.uint64), np.empty(0, np.int64), np.empty(0, np.int32), np.empty(0, np.uint16 if len(self.inner) and self.library.get_vocab_size() < 2**16 else np.uint32)
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
         """The ids of each text, without added tokens."""
         from array import array
 
-        if not self.drops_space:
+        if not self.rules.quick:
             return [array("I", e.ids).tobytes() for e in self.library.encode_batch_fast([t.decode("utf-8", "replace") for t in texts], add_special_tokens=False)]
-        known = self.known
-        if len(known) > self.limit:
-            known.clear()
-        pieces = [t.split() for t in texts]
-        new = list(set().union(*pieces).difference(known)) if pieces else []
-        for a in range(0, len(new), 4096):
-            part = new[a : a + 4096]
-            for w, e in zip(part, self.library.encode_batch_fast([w.decode("utf-8", "replace") for w in part], add_special_tokens=False), strict=True):
-                known[w] = array("I", e.ids).tobytes()
-        return [b"".join(map(known.__getitem__, p)) for p in pieces]
+        buf = b"\n".join(texts) + b"\n"
+        data = np.frombuffer(buf, np.uint8)
+        start, end = words_of(data, np.empty(0, np.int64))
+        if not len(start):
+            return [b""] * len(texts)
+        key = piece_hashes(buf, data, start, end)
+        pieces, first, number = np.unique(key, return_index=True, return_inverse=True)
+        if len(self.key) > self.limit:
+            self.forget()
+        at = np.minimum(np.searchsorted(self.key, pieces), max(len(self.key) - 1, 0))
+        new = self.key[at] != pieces if len(self.key) else np.ones(len(pieces), bool)
+        if new.any():
+            self.learn(buf, data, pieces[new], start[first[new]], end[first[new]])
+            at = np.searchsorted(self.key, pieces)
+        size = self.size[at][number].astype(np.int64)
+        stop = np.cumsum(size)
+        place = np.arange(stop[-1]) + np.repeat(self.begin[at][number] - (stop - size), size)
+        ids = self.ids[place].astype("<u4").tobytes()
+        edge = np.cumsum([len(t) + 1 for t in texts])
+        upto = 4 * np.concatenate([[0], stop])[np.searchsorted(start, edge)]
+        return [ids[a:b] for a, b in zip([0, *upto[:-1].tolist()], upto.tolist(), strict=True)]
+
+    def learn(self, buf: bytes, data, key, start, end) -> None:
+        """Adds pieces to the table, sorted by key."""
+        size = end - start
+        source = np.repeat(start, size) + np.arange(int(size.sum())) - np.repeat(np.cumsum(size) - size, size)
+        flat = data[source]
+        after = np.append(flat[1:], 0)
+        strange = STRANGE[flat] | ((flat == 0xC2) & ((after <= 0xA0) | (after == 0xAD))) | ((flat == ord("<")) & (after == ord("|")))
+        odd = np.logical_or.reduceat(strange, np.cumsum(size) - size) | (size > LONGEST)
+        ids, begin, length = [], np.zeros(len(key), np.int64), np.zeros(len(key), np.int64)
+        plain = np.flatnonzero(~odd)
+        if len(plain):
+            mine, n = size[plain], len(plain)
+            room = mine + 3
+            text = np.full(int(room.sum()) - 3, 32, np.uint8)
+            to = np.cumsum(room) - room
+            text[np.repeat(to, mine) + np.arange(int(mine.sum())) - np.repeat(np.cumsum(mine) - mine, mine)] = flat[~np.repeat(odd, size)]
+            text[to[1:] - 2] = MARK[0]
+            raw = np.frombuffer(" ".join(self.rules.SPLIT.findall(text.tobytes().decode().lower())).encode(), np.uint8)
+            space = raw == 32
+            last = np.append(space[1:], True) & ~space
+            symbols = np.where(last, self.last[raw], self.inner[raw])[~space]
+            starts = np.flatnonzero(np.concatenate([[True], last[~space][:-1]]))
+            merged, _ = merge_all(symbols, starts, self.table)
+            cuts = np.flatnonzero(merged == self.mark)
+            begin[plain] = np.concatenate([[0], cuts + 1])
+            length[plain] = np.concatenate([cuts, [len(merged)]]) - begin[plain]
+            ids.append(merged)
+        at = len(ids[0]) if ids else 0
+        strange = np.flatnonzero(odd).tolist()
+        texts = [buf[start[i] : end[i]].decode("utf-8", "replace") for i in strange]
+        for i, e in zip(strange, texts and self.library.encode_batch_fast(texts, add_special_tokens=False), strict=True):
+            ids.append(np.array(e.ids, np.int64))
+            begin[i], length[i] = at, len(e.ids)
+            at += len(e.ids)
+        begin += len(self.ids)
+        self.ids = np.concatenate([self.ids, *[x.astype(self.ids.dtype) for x in ids]])
+        where = np.searchsorted(self.key, key)
+        self.key, self.begin, self.size = np.insert(self.key, where, key), np.insert(self.begin, where, begin), np.insert(self.size, where, length.astype(np.int32))
 
 
 def id_cache(path: str) -> IdCache:
