@@ -28,10 +28,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import REQUEST, Chunk, anchors, answered, bucket_bits, chunk_table, covered, cut, each_chunk, ids_out, mixed, requests_batch, spans_of, window_starts, with_answers
+from .common import REQUEST, Chunk, anchors, answered, bucket_bits, chunk_table, covered, cut, doc_blocks, each_chunk, ids_out, mixed, requests_batch, spans_of, window_starts, with_answers
 from .windows import bits_of, distinct, seen_elsewhere
 
 ANCHOR = 16
+SALT = np.uint64(0x9E3779B97F4A7C15)
 PERIOD = 13
 
 
@@ -93,28 +94,15 @@ class Segments:
 
     def __init__(self, chunk: Chunk, window: int, bits: int):
         self.chunk, self.window, self.bits = chunk, window, bits
-        width = window - ANCHOR + 1
-        data = np.frombuffer(chunk.blob, dtype=np.uint8)
-        at, doc = window_starts(chunk.lens, window)
         self.asked = np.empty(0, np.uint64)
         self.start = self.stop = self.anchor = self.doc = self.entry = np.empty(0, np.int64)
-        if not len(at):
+        found = [self.block(a, b) for a, b in doc_blocks(chunk.lens)]
+        found = [x for x in found if x is not None]
+        if not found:
             return
-        n = len(data) - ANCHOR + 1
-        low = np.ndarray((n,), "<u8", chunk.blob, 0, (1,))
-        high = np.ndarray((n,), "<u8", chunk.blob, 8, (1,))
-        hashes = np.empty(n, np.uint64)
-        for a in range(0, n, 1 << 17):
-            part = slice(a, a + (1 << 17))
-            hashes[part] = mixed(low[part] * np.uint64(0x9E3779B97F4A7C15) + mixed(high[part]))
-        place = anchors(hashes, at, width)
-        new = np.ones(len(at), dtype=bool)
-        new[1:] = (place[1:] != place[:-1]) | (doc[1:] != doc[:-1])
-        head = np.flatnonzero(new)
-        tail = np.append(head[1:], len(at)) - 1
-        self.start, self.stop, self.anchor, self.doc = at[head], at[tail], place[head], doc[head]
-        del at, doc, place
-        self.asked, self.entry, _ = distinct(hashes[self.anchor])
+        self.start, self.stop, self.anchor, self.doc, hashes = (np.concatenate(x) for x in zip(*found, strict=True))
+        del found
+        self.asked, self.entry, _ = distinct(hashes)
         ids = chunk.ids[self.doc]
         least = np.full(len(self.asked), np.iinfo(np.int64).max)
         most = np.full(len(self.asked), np.iinfo(np.int64).min)
@@ -122,6 +110,24 @@ class Segments:
         np.maximum.at(most, self.entry, ids)
         self.shared = least != most
 
+    def block(self, first: int, last: int):
+        """Segments of the documents from ``first`` to before ``last``, and their anchors' hashes."""
+        lens, offset = self.chunk.lens[first:last], int(self.chunk.starts[first])
+        at, doc = window_starts(lens, self.window)
+        if not len(at):
+            return None
+        n = int(lens.sum()) - ANCHOR + 1
+        low = np.ndarray((n,), "<u8", self.chunk.blob, offset, (1,))
+        high = np.ndarray((n,), "<u8", self.chunk.blob, offset + 8, (1,))
+        hashes = mixed(low * np.uint64(0x9E3779B97F4A7C15) + mixed(high))
+        place = anchors(hashes, at, self.window - ANCHOR + 1)
+        new = np.ones(len(at), dtype=bool)
+        new[1:] = (place[1:] != place[:-1]) | (doc[1:] != doc[:-1])
+        head = np.flatnonzero(new)
+        tail = np.append(head[1:], len(at)) - 1
+        # the smallest hashes crowd at the low end; mixed again they spread over the buckets
+        return at[head] + offset, at[tail] + offset, place[head] + offset, doc[head] + first, mixed(hashes[place[head]] + SALT)
+
     def select(self, answer: dict[int, bytes]) -> None:
         """Keep the live segments and list the distinct ones, by anchor hash."""
         if not len(self.asked):

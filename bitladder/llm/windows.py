@@ -93,7 +93,8 @@ class Windows:
         self.at, self.doc = window_starts(self.lens, min(2 * start, window) if start < window else start)
         if len(self.at):
             if start < window:
-                chosen = anchors(self.keys[0], self.at, start + 1)
+                # chosen by another hash than the one that deals keys to buckets
+                chosen = anchors(mixed(self.keys[0] + FACTORS[0]), self.at, start + 1)
             else:
                 chosen = self.at
             self.asked, self.entry, self.count = distinct(self.keys[0][chosen])
