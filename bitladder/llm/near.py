@@ -14,12 +14,14 @@ still counts.
    shingle and draw, two Gamma(2,1) variables and one uniform come from hashes of
    the shingle alone, the quantised weight and the key of the smallest value are
    the sample.  Samples are banded; a band's hash is a bucket.
-4. In a bucket every member is linked to the member that meets most others (the
-   hub), never to all.  Candidate links are verified by weighted Jaccard
-   similarity.  Components are joined, and where a bucket still holds several
-   components, members of one are compared with those of the others, each pair
-   once.  So a link between different texts is lost only where banding never
-   brought the two together.
+4. Equal vectors are one from here on.  In a bucket every member is tied to the
+   smallest one, never to all; the connected components of these ties are the
+   candidate groups.  Only ids move up to this point.
+5. Vectors come together once, by candidate group, and every pair in a group is
+   verified by weighted Jaccard similarity as a product of sparse blocks; only
+   links that join two parts leave.  A group beyond ``GROUP`` documents is cut into
+   blocks, and each pair of blocks is a task's work of bounded size.  So a link is
+   lost only where no band ever tied its two texts into one group.
 
 The class is the smallest doc_id of the component.  Null, empty or wordless texts
 are alone.  Under five words the whole text is the one shingle.  Rows that repeat
@@ -31,7 +33,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import NULL_ID, REQUEST, Chunk, answered, bucket_bits, chunk_table, chunk_words, cut, each_chunk, mixed, requests_batch, window_starts, with_answers, written
@@ -39,6 +41,8 @@ from .windows import FACTORS, folded
 
 WORDS, THRESHOLD = 5, 0.8
 BANDS, ROWS = 16, 4
+#: documents that one task compares with each other at most (twice this for two blocks)
+GROUP = 1024
 
 
 class Shingles:
@@ -144,7 +148,7 @@ def signatures(key, weight, heads) -> np.ndarray:
 
 
 def vectors(docs: DataFrame, words: int, threshold: float) -> DataFrame:
-    """doc, key and weight bytes, and band hashes, of documents that may have partners."""
+    """doc, key, tf and idf bytes, a hash of them, and band hashes, of documents that may have partners."""
     chunks = chunk_table(docs)
     bits = bucket_bits(chunks, 1.6)
     n_rows, n_docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)).alias("doc")).agg(F.count("*"), F.count_distinct("doc")).first()
@@ -159,12 +163,15 @@ def vectors(docs: DataFrame, words: int, threshold: float) -> DataFrame:
     joined = with_answers(chunks, answered(chunks.mapInArrow(ask, REQUEST), totals), "df")
 
     def weigh(batches):
+        from xxhash import xxh3_128_digest
+
         for chunk in each_chunk(batches):
             s = Shingles(chunk, words)
             if not len(s.key):
                 continue
             df = frequencies(s, chunk.answer("df"), bits)[s.entry]
-            weight = s.tf * (1.0 + np.log((1.0 + n_docs) / (1.0 + df)) / scale)
+            idf = 1.0 + np.log((1.0 + n_docs) / (1.0 + df)) / scale
+            weight = s.tf * idf
             heads = np.flatnonzero(np.concatenate([[True], s.ids[1:] != s.ids[:-1]]))
             sizes = np.diff(np.append(heads, len(s.ids)))
             whole, shared = np.add.reduceat(weight, heads), np.add.reduceat(np.where(df > 1, weight, 0.0), heads)
@@ -172,51 +179,100 @@ def vectors(docs: DataFrame, words: int, threshold: float) -> DataFrame:
             pick = np.repeat(able, sizes)
             if not able.any():
                 continue
-            key, weight, ids, sizes = s.key[pick], weight[pick], s.ids[heads[able]], sizes[able]
+            key, weight, tf, idf = s.key[pick], weight[pick], s.tf[pick].astype(np.uint32), idf[pick].astype(np.float32)
+            ids, sizes = s.ids[heads[able]], sizes[able]
             ends = np.cumsum(sizes)
             heads = ends - sizes
-            bands = signatures(key, weight, heads)
             for lo in range(0, len(ids), 256):
                 part = range(lo, min(lo + 256, len(ids)))
+                of = slice(heads[lo], ends[part[-1]])
+                bands = signatures(key[of], weight[of], heads[lo : lo + 256] - heads[lo])
+                cols = [[x[heads[i] : ends[i]].tobytes() for i in part] for x in (key, tf, idf)]
+                same = [xxh3_128_digest(k + t) for k, t in zip(cols[0], cols[1], strict=True)]
                 yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(ids[lo : lo + 256], pa.int64()),
-                        pa.array([key[heads[i] : ends[i]].tobytes() for i in part], pa.binary()),
-                        pa.array([weight[heads[i] : ends[i]].astype(np.float32).tobytes() for i in part], pa.binary()),
-                        pa.array(list(bands[lo : lo + 256].view(np.int64)), pa.list_(pa.int64())),
-                    ],
-                    ["doc", "key", "weight", "bands"],
+                    [pa.array(ids[lo : lo + 256], pa.int64()), *[pa.array(c, pa.binary()) for c in (*cols, same)], pa.array(list(bands.view(np.int64)), pa.list_(pa.int64()))],
+                    ["doc", "key", "tf", "idf", "same", "bands"],
                 )
 
-    found = joined.mapInArrow(weigh, "doc long, key binary, weight binary, bands array<long>")
+    found = joined.mapInArrow(weigh, "doc long, key binary, tf binary, idf binary, same binary, bands array<long>")
     if n_rows > n_docs:  # an id in several chunks: one vector for it
-        found = found.groupBy("doc").agg(F.max(F.struct("key", "weight", "bands")).alias("v")).select("doc", "v.key", "v.weight", "v.bands")
+        found = found.groupBy("doc").agg(F.max(F.struct("key", "tf", "idf", "same", "bands")).alias("v")).select("doc", "v.*")
     return written(found, "vectors")
 
 
-def weighted_jaccard(a: tuple[bytes, bytes], b: tuple[bytes, bytes]) -> float:
-    x, y = np.frombuffer(a[0], np.uint64), np.frombuffer(b[0], np.uint64)
-    u, v = np.frombuffer(a[1], np.float32).astype(np.float64), np.frombuffer(b[1], np.float32).astype(np.float64)
-    at = np.minimum(np.searchsorted(x, y), len(x) - 1)
-    hit = x[at] == y
-    common = np.minimum(u[at[hit]], v[hit]).sum()
-    return float(common / (u.sum() + v.sum() - common))
+class Parts:
+    """Union-find over positions."""
+
+    def __init__(self, n: int):
+        self.up = list(range(n))
+
+    def root(self, x: int) -> int:
+        while self.up[x] != x:
+            self.up[x] = x = self.up[self.up[x]]
+        return x
 
+    def join(self, x: int, y: int) -> bool:
+        x, y = self.root(x), self.root(y)
+        self.up[max(x, y)] = min(x, y)
+        return x != y
 
-def verified(pairs: DataFrame, store: DataFrame, threshold: float) -> DataFrame:
-    """The pairs (a, b) whose weighted Jaccard similarity reaches the threshold."""
-    left = store.select(F.col("doc").alias("a"), F.col("key").alias("key_a"), F.col("weight").alias("weight_a"))
-    right = store.select(F.col("doc").alias("b"), F.col("key").alias("key_b"), F.col("weight").alias("weight_b"))
 
-    def check(batches):
-        for batch in batches:
-            a, b, *cols = (c.to_pylist() for c in batch.columns)
-            good = [weighted_jaccard((ka, wa), (kb, wb)) >= threshold - 1e-6 for ka, wa, kb, wb in zip(*cols, strict=True)]
-            keep = pa.array(good)
-            yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], ["a", "b"])
+def similar_pairs(keys: list[bytes], tfs: list[bytes], idfs: list[bytes], threshold: float, step: int = 256, wide: int = 8192):
+    """Pairs (i, j) of vectors whose weighted Jaccard similarity reaches the threshold.
 
-    both = pairs.join(right, "b").join(left, "a").select("a", "b", "key_a", "weight_a", "key_b", "weight_b")
-    return both.mapInArrow(check, "a long, b long")
+    A shingle that occurs n times is n features of its weight, so the sum of the
+    smaller weights is a product of 0/1 rows; features of one vector only drop out.
+    """
+    sizes = np.array([len(k) // 8 for k in keys])
+    key = np.frombuffer(b"".join(keys), np.uint64)
+    tf, idf = np.frombuffer(b"".join(tfs), np.uint32).astype(np.int64), np.frombuffer(b"".join(idfs), np.float32).astype(np.float64)
+    row = np.repeat(np.arange(len(keys)), sizes)
+    whole = np.bincount(row, weights=tf * idf, minlength=len(keys))
+    nth = np.arange(int(tf.sum())) - np.repeat(np.cumsum(tf) - tf, tf)
+    key, row, idf = np.repeat(key, tf), np.repeat(row, tf), np.repeat(idf, tf)
+    key = np.where(nth > 0, mixed(key + nth.astype(np.uint64) * FACTORS[0]), key)
+    _, feature, count = np.unique(key, return_inverse=True, return_counts=True)
+    shared = count[feature] > 1
+    row, feature, idf = row[shared], feature[shared], idf[shared]
+    number = np.cumsum(count > 1) - 1
+    feature, n_features = number[feature], int((count > 1).sum())
+    order = np.lexsort((row, feature // wide))
+    row, feature, idf = row[order], feature[order], idf[order]
+    edge = np.searchsorted(feature // wide, np.arange(-(-n_features // wide) + 1))
+    for a in range(0, len(keys), step):
+        for b in range(a, len(keys), step):
+            ra, rb = min(step, len(keys) - a), min(step, len(keys) - b)
+            common = np.zeros((ra, rb))
+            for w, (lo, hi) in enumerate(zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True)):
+                r = row[lo:hi]
+                left, right = slice(*np.searchsorted(r, (a, a + ra))), slice(*np.searchsorted(r, (b, b + rb)))
+                if left.start == left.stop or right.start == right.stop:
+                    continue
+                x, y = np.zeros((ra, min(wide, n_features - w * wide))), np.zeros((rb, min(wide, n_features - w * wide)))
+                f = feature[lo:hi] - w * wide
+                x[r[left] - a, f[left]] = idf[lo:hi][left]
+                y[r[right] - b, f[right]] = 1.0
+                common += x @ y.T
+            j = common / (whole[a : a + ra, None] + whole[None, b : b + rb] - common)
+            yield from ((a + p, b + q) for p, q in zip(*np.nonzero(j >= threshold - 1e-6), strict=True) if a + p < b + q)
+
+
+def verified(groups: DataFrame, threshold: float) -> DataFrame:
+    """Links a-b within groups: as few as join what is similar.
+
+    ``groups`` has g (the work unit), doc, key, tf, idf.
+    """
+
+    def compare(table: pa.Table) -> pa.Table:
+        docs = table.column("doc").to_pylist()
+        parts, a, b = Parts(len(docs)), [], []
+        for i, j in similar_pairs(*(table.column(c).to_pylist() for c in ("key", "tf", "idf")), threshold):
+            if parts.join(i, j):
+                a.append(docs[i])
+                b.append(docs[j])
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    return groups.groupBy("g").applyInArrow(compare, "a long, b long")
 
 
 def components(links: DataFrame, rounds: int = 30) -> DataFrame:
@@ -246,31 +302,33 @@ def components(links: DataFrame, rounds: int = 30) -> DataFrame:
     return edges.groupBy("a").agg(F.min("b").alias("class")).select(F.col("a").alias("doc"), "class")
 
 
+def candidate_groups(reps: DataFrame) -> DataFrame:
+    """doc, class: components of the ties in buckets, of documents with any tie."""
+    members = reps.select("doc", F.explode("bands").alias("bucket"))
+    least = members.groupBy("bucket").agg(F.min("doc").alias("least"), F.count("*").alias("n")).where("n > 1").select("bucket", "least")
+    ties = members.join(least, "bucket").where("doc <> least").select(F.col("least").alias("a"), F.col("doc").alias("b")).distinct()
+    found = components(ties)
+    return written(found.unionByName(found.select(F.col("class").alias("doc"), "class")).distinct(), "groups")
+
+
 def near_duplicates(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD) -> DataFrame:
     """doc_id, class_id and in_class (whether another document shares the class)."""
     store = vectors(docs, words, threshold)
-    members = store.select("doc", F.explode("bands").alias("bucket"))
-    sizes = members.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
-    members = written(members.join(sizes, "bucket"), "members")
-    # the hub of a bucket is the document that meets most others over all bands
-    fame = members.groupBy("doc").agg(F.sum("n").alias("fame"))
-    ranked = members.join(fame, "doc").select("bucket", "doc", F.struct(F.col("fame"), (-F.col("doc")).alias("neg")).alias("r"))
-    hubs = ranked.groupBy("bucket").agg(F.max("r").alias("r")).select("bucket", (-F.col("r.neg")).alias("hub"))
-    stars = members.join(hubs, "bucket").where("doc <> hub").select(F.col("hub").alias("a"), F.col("doc").alias("b")).distinct()
-    links = written(verified(stars, store, threshold), "links")
-    found = written(components(links), "components")
-    # buckets in which several components are left: the pairs across them, once each
-    label = members.join(found, "doc", "left").select("bucket", "doc", F.coalesce("class", "doc").alias("class"))
-    split = label.groupBy("bucket").agg(F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi").select("bucket")
-    open_ = label.join(split, "bucket")
-    mine, theirs = open_.select("bucket", F.col("doc").alias("a"), F.col("class").alias("ca")), open_.select("bucket", F.col("doc").alias("b"), F.col("class").alias("cb"))
-    cross = mine.join(theirs, "bucket").where("ca < cb").select("a", "b").distinct()
-    tried = stars.select(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y"))
-    left = cross.join(tried, (F.least("a", "b") == F.col("x")) & (F.greatest("a", "b") == F.col("y")), "left_anti")
-    more = written(verified(left, store, threshold), "more")
-    if more.limit(1).count():
-        found = written(components(links.unionByName(more)), "components")
+    first = store.groupBy("same").agg(F.min("doc").alias("rep"))
+    copies = written(store.select("doc", "same").join(first, "same").select("rep", "doc"), "copies")
+    reps = store.join(first.select(F.col("rep").alias("doc")), "doc", "left_semi")
+    groups = candidate_groups(reps)
+    sizes = groups.groupBy("class").agg(F.count("*").alias("n"))
+    # a large group's documents are dealt to blocks; each meets every block once
+    blocks = F.ceil(F.col("n") / F.lit(GROUP)).cast("int")
+    mine = F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")
+    dealt = groups.join(sizes, "class").withColumn("blocks", blocks).withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    unit = F.struct("class", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"))
+    work = dealt.select("doc", unit.alias("g")).join(store.select("doc", "key", "tf", "idf"), "doc")
+    links = written(verified(work, threshold), "links")
+    same = copies.where("rep <> doc").select(F.col("rep").alias("a"), F.col("doc").alias("b"))
+    found = components(links.unionByName(same))
     ids = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)).alias("doc"))
-    classes = found.select("doc", "class").unionByName(found.select(F.col("class").alias("doc"), "class")).distinct()
+    classes = written(found.unionByName(found.select(F.col("class").alias("doc"), "class")).distinct(), "classes")
     out = ids.join(classes, "doc", "left").withColumn("c", F.coalesce("class", "doc"))
     return out.select("doc_id", F.when(F.col("c") != NULL_ID, F.col("c")).alias("class_id"), F.col("class").isNotNull().alias("in_class"))
