@@ -1,6 +1,635 @@
-"""The registered queries of the paper's own methods, and their SQL."""
+"""The registered queries of the paper's own methods, and their SQL.
+
+Every query runs over its whole tables.  Vectors come from ``embeddings`` under
+the Hadamard ladder, whose planes SQL can rebuild from ±1 lists alone; positions
+are vec_id, which is dense, unless a query builds an index.
+"""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+import math
+import uuid
+from functools import partial
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from .functions import codes, text
+from .functions.codes import CodeSpec
+from .operators import baselines, cost, encoder, ladder, loss, match, metrics, missprob, relational, retrieve, samples, select, theory, train
+from .sources import codes_source, io
+
+#: lanes at the size of these tables
+N, LANE, WIDTH = 10, 8, 16
+SCALE = math.sqrt(2.0 / (math.pi * 64)) / 8.0
+
+
+def vectors(spark: SparkSession, sf: str) -> DataFrame:
+    return io.table(spark, sf, "embeddings")
+
+
+def coded(spark: SparkSession, sf: str, depth: int = 2, weighted: bool = True) -> tuple[DataFrame, ladder.LadderParams]:
+    params = ladder.init_hadamard(64, depth, weighted=weighted)
+    return ladder.encode_vectors(vectors(spark, sf), params), params
+
+
+def sides(spark: SparkSession, sf: str, u: int = 2, v: int = 1, weighted: bool = True):
+    """Queries, keywords and specs of code(u, v): one encoding, fewer planes by column pruning.
+
+    Planes of a weighted or unweighted ladder depend only on earlier planes.
+    """
+    all_codes, params = coded(spark, sf, max(u, v), weighted)
+    qspec, kspec = params.spec(u), params.spec(v)
+    queries = match.as_queries(all_codes.drop("norm_sq"), planes=u + 1).withColumn("q_norm_sq", codes.norm_sq_expr(qspec, "q_"))
+    keywords = all_codes.select("keyword_id", F.col("keyword_id").alias("pos"), *kspec.columns()).withColumn("norm_sq", codes.norm_sq_expr(kspec))
+    return queries, keywords, qspec, kspec
+
+
+# encoding and similarity ---------------------------------------------------------
+
+
+def ladder_planes(spark: SparkSession, sf: str) -> DataFrame:
+    """Signs of all planes of every vector, and the squared norms from planes."""
+    c, params = coded(spark, sf)
+
+    def signs(p: int):
+        return F.array_join(F.transform(codes.unpack_expr(F.col(f"p{p}_w0")), lambda x: F.when(x > 0, "+").otherwise("-")), "")
+
+    return c.select(F.col("keyword_id").alias("vec_id"), *[signs(p).alias(f"plane{p}") for p in range(3)], codes.norm_sq_expr(params.spec(1)).alias("norm1"), F.col("norm_sq").alias("norm2"))
+
+
+def code_dots(spark: SparkSession, sf: str, u: int = 2, v: int = 1, weighted: bool = True) -> DataFrame:
+    """Per query over all keywords: sums and extremes of dot, naive dot, rank key and cosine."""
+    q, k, qs, ks = sides(spark, sf, u, v, weighted)
+    pairs = match.exhaustive(q, k, qs, ks).withColumn("naive", codes.dot_expr(qs, ks, order="naive"))
+    return pairs.groupBy("query_id").agg(
+        F.count("*").alias("pairs"),
+        F.sum("dot").alias("dots"),
+        F.sum(F.abs(F.col("dot") - F.col("naive"))).alias("order_gap"),
+        F.max("rank_key").alias("best_key"),
+        F.round(F.sum("cosine"), 6).alias("cosines"),
+        F.round(F.max(F.when(F.col("query_id") != F.col("keyword_id"), F.col("cosine"))), 9).alias("nearest"),
+    )
+
+
+def sql_functions(spark: SparkSession, sf: str) -> DataFrame:
+    """The same dots by SQL-defined functions."""
+    from .functions import sqlfuncs
+
+    sqlfuncs.register(spark)
+    q, k, _, _ = sides(spark, sf)
+    q.createOrReplaceTempView("w_queries")
+    k.createOrReplaceTempView("w_keywords")
+    return spark.sql(
+        "SELECT query_id, sum(code_dot_2_1(q_p0_w0, q_p1_w0, q_p2_w0, p0_w0, p1_w0)) AS dots, sum(pm_dot(q_p0_w0, p0_w0)) AS base_dots, "
+        "round(sum(code_cosine_2_1(q_p0_w0, q_p1_w0, q_p2_w0, p0_w0, p1_w0)), 6) AS cosines FROM w_keywords CROSS JOIN w_queries GROUP BY query_id"
+    )
+
+
+def top(spark: SparkSession, sf: str, **options) -> DataFrame:
+    q, k, qs, ks = sides(spark, sf)
+    options = {"lane_size": LANE, "lanes_per_block": WIDTH, "exclude_self": True} | options
+    return retrieve.top_n(q, k, qs, ks, N, **options).select("query_id", F.col("rank").cast("int").alias("rank"), F.col("pos").alias("keyword_id"), "rank_key")
+
+
+def progressive(spark: SparkSession, sf: str) -> DataFrame:
+    """Base planes first, the 50 best refined: per query the best refined keyword."""
+    q, k, qs, ks = sides(spark, sf)
+    out = match.progressive(q, k, qs, ks, keep=50)
+    return out.groupBy("query_id").agg(F.count("*").alias("kept"), F.max("rank_key").alias("best_key"), F.min("base_rank").cast("int").alias("first_rank"))
+
+
+def above_threshold(spark: SparkSession, sf: str) -> DataFrame:
+    q, k, qs, ks = sides(spark, sf)
+    return retrieve.above(q, k, qs, ks, 0.4).where("query_id <> keyword_id").groupBy("query_id").agg(F.count("*").alias("keywords"), F.round(F.max("cosine"), 9).alias("best"))
+
+
+def index_top_n(spark: SparkSession, sf: str) -> DataFrame:
+    """A written index with scattered positions, read back, block backend, exact: equals exact_top_n."""
+    from .plans.index import LadderIndex, LadderModel
+
+    params = ladder.init_hadamard(64, 2)
+    model = LadderModel(params)
+    built = LadderIndex.build(vectors(spark, sf), model, lane_size=LANE, lanes_per_block=WIDTH, seed=1)
+    path = f"{io.shared_dir(spark).rstrip('/')}/index-{uuid.uuid4().hex}"
+    built.write(path, rows_per_part=512)
+    index = LadderIndex.read(spark, path, model, LANE, WIDTH)
+    queries = model.encode(vectors(spark, sf), "query")
+    found = index.top_n(queries, N + 1, mode="exact", backend="block").where("query_id <> keyword_id")
+    w = Window.partitionBy("query_id").orderBy(F.desc("rank_key"), "keyword_id")
+    return found.groupBy("query_id").agg(F.max("rank_key").alias("best_key"), F.count("*").alias("n")).withColumn("n", F.least("n", F.lit(N)))
+
+
+def float_top(spark: SparkSession, sf: str) -> DataFrame:
+    """Full-precision ten nearest of every vector (truth T1)."""
+    e = vectors(spark, sf)
+    return baselines.float_cosine(e, e, N, exclude_self=True).select("query_id", F.col("rank").cast("int").alias("rank"), "keyword_id", F.round("score", 9).alias("score"))
+
+
+# accuracy ------------------------------------------------------------------------
+
+#: fixed values: the depths of the published comparisons
+DEPTHS = ((0, 0), (1, 1), (2, 1), (2, 2))
+
+
+def labelled(scored: DataFrame, spark: SparkSession, sf: str) -> DataFrame:
+    """Adds ``is_pos``: the keyword is among the query's ten float neighbours."""
+    truth = float_top(spark, sf).select("query_id", "keyword_id", F.lit(True).alias("hit"))
+    return scored.join(F.broadcast(truth) if truth.limit(100_001).count() <= 100_000 else truth, ["query_id", "keyword_id"], "left").withColumn("is_pos", F.col("hit").isNotNull())
+
+
+def all_scores(spark: SparkSession, sf: str, depths=DEPTHS, weighted: bool = True) -> DataFrame:
+    """query_id, keyword_id, model, score: cosine of every pair for each depth, in one scan."""
+    deepest = max(max(d) for d in depths)
+    all_codes, params = coded(spark, sf, deepest, weighted)
+    q = match.as_queries(all_codes.drop("norm_sq"))
+    pairs = all_codes.drop("norm_sq").crossJoin(match.checked_broadcast(q)).where("query_id <> keyword_id")
+    found = []
+    for u, v in depths:
+        qs, ks = params.spec(u), params.spec(v)
+        found.append(F.struct(F.lit(f"code({u},{v})").alias("model"), codes.cosine_expr(codes.dot_expr(qs, ks), codes.norm_sq_expr(qs, "q_"), codes.norm_sq_expr(ks)).alias("score")))
+    return pairs.select("query_id", "keyword_id", F.inline(F.array(*found)))
+
+
+def other_scores(spark: SparkSession, sf: str) -> DataFrame:
+    """Scores of the float model, the 128-bit sign code and the hybrid."""
+    e = vectors(spark, sf)
+    flo = baselines.float_cosine(e, e, exclude_self=True).select("query_id", "keyword_id", F.lit("float64d").alias("model"), "score")
+    wide = ladder.encode_vectors(e, baselines.sign_code(128))
+    spec = CodeSpec(128, 1)
+    sign = match.exhaustive(match.as_queries(wide), wide, spec, spec).where("query_id <> keyword_id").select("query_id", "keyword_id", F.lit("sign128").alias("model"), F.col("cosine").alias("score"))
+    params = ladder.init_hadamard(64, 1)
+    k = ladder.encode_vectors(e, params)
+    turned = e.select(F.col("vec_id").alias("query_id"), F.transform(F.sequence(F.lit(0), F.lit(63)), lambda i: F.aggregate(F.transform(F.sequence(F.lit(0), F.lit(63)), lambda j: F.when(F.bit_count(i.bitwiseAND(j)) % 2 == 0, 1.0).otherwise(-1.0) * F.element_at("embedding", j + 1).cast("double")), F.lit(0.0), lambda s, x: s + x)).alias("f"))
+    hyb = match.hybrid(turned, k, params.spec(1), max_rows=100_000).where("query_id <> keyword_id").select("query_id", "keyword_id", F.lit("hybrid").alias("model"), F.col("cosine").alias("score"))
+    return flo.unionByName(sign).unionByName(hyb)
+
+
+def bits_table(spark: SparkSession, sf: str) -> DataFrame:
+    """AUC of each depth against float neighbours."""
+    return metrics.roc_auc(labelled(all_scores(spark, sf), spark, sf), ["model"]).select("model", F.round("auc", 9).alias("auc"))
+
+
+def accuracy_table(spark: SparkSession, sf: str) -> DataFrame:
+    """AUC and lift of the five models (log loss: ``log_loss_table``)."""
+    scored = other_scores(spark, sf).unionByName(all_scores(spark, sf, ((0, 0), (2, 1))))
+    auc = metrics.roc_auc(labelled(scored, spark, sf), ["model"])
+    ref = auc.agg(F.max(F.when(F.col("model") == "float64d", F.col("auc"))).alias("high"), F.max(F.when(F.col("model") == "sign128", F.col("auc"))).alias("low"))
+    lift = (F.col("auc") - F.col("low")) / (F.col("high") - F.col("low")) * 100.0
+    return auc.crossJoin(F.broadcast(ref)).select("model", F.round("auc", 6).alias("auc"), F.round(lift, 3).alias("auc_lift"))
+
+
+def weights_table(spark: SparkSession, sf: str) -> DataFrame:
+    """AUC with and without residual weights: planes beyond the second are encoded anew."""
+    on = all_scores(spark, sf, DEPTHS[1:]).withColumn("weighted", F.lit(True))
+    off = all_scores(spark, sf, DEPTHS[1:], False).withColumn("weighted", F.lit(False))
+    auc = metrics.roc_auc(labelled(on.unionByName(off), spark, sf), ["model", "weighted"])
+    wide = auc.groupBy("model").agg(F.max(F.when(F.col("weighted"), F.col("auc"))).alias("auc_weighted"), F.max(F.when(~F.col("weighted"), F.col("auc"))).alias("auc_plain"))
+    return wide.select("model", F.round("auc_weighted", 9).alias("auc_weighted"), F.round("auc_plain", 9).alias("auc_plain"))
+
+
+def neighbour_groups(spark: SparkSession, sf: str) -> DataFrame:
+    """group_id, keyword_id, is_pos: the nearest float neighbour and the next ten ids round the table."""
+    e = vectors(spark, sf).select("vec_id")
+    count = e.count()
+    best = float_top(spark, sf).where("rank = 1").select(F.col("query_id").alias("group_id"), "keyword_id", F.lit(True).alias("is_pos"))
+    others = e.select(F.col("vec_id").alias("group_id"), F.explode(F.sequence(F.lit(1), F.lit(10))).alias("k")).select("group_id", F.pmod(F.col("group_id") + F.col("k"), F.lit(count)).alias("keyword_id"), F.lit(False).alias("is_pos"))
+    return best.unionByName(others.join(best.select("group_id", "keyword_id"), ["group_id", "keyword_id"], "left_anti"))
+
+
+def log_loss_table(spark: SparkSession, sf: str) -> DataFrame:
+    """Log loss of code(2,1) over gamma, per group and per sample."""
+    q, k, qs, ks = sides(spark, sf)
+    g = neighbour_groups(spark, sf)
+    rows = g.join(k, "keyword_id").join(q, g["group_id"] == q["query_id"])
+    scored = match.scored(rows, qs, ks).select("group_id", "is_pos", "cosine")
+    out = None
+    for gamma in (1.0, 5.0, 10.0):
+        one = metrics.log_loss(scored, gamma).select(F.lit(gamma).alias("gamma"), F.round("log_loss", 9).alias("per_group"))
+        two = metrics.log_loss(scored, gamma, "samples").select(F.lit(gamma).alias("gamma"), F.round("log_loss", 9).alias("per_sample"))
+        both = one.join(two, "gamma")
+        out = both if out is None else out.unionByName(both)
+    return out
+
+
+def gamma_search(spark: SparkSession, sf: str) -> DataFrame:
+    q, k, qs, ks = sides(spark, sf)
+    g = neighbour_groups(spark, sf)
+    scored = match.scored(g.join(k, "keyword_id").join(q, g["group_id"] == q["query_id"]), qs, ks).select("group_id", "is_pos", "cosine")
+    return train.tune_gamma(scored).select("gamma", F.round("log_loss", 9).alias("log_loss"))
+
+
+def recall_table(spark: SparkSession, sf: str) -> DataFrame:
+    """Measured recall and misses of lane selection beside the exact expectation."""
+    q, k, qs, ks = sides(spark, sf)
+    pairs = io.checkpoint(retrieve.scored_pairs(q, k, qs, ks, exclude_self=True), "pairs")
+    exact = io.checkpoint(retrieve.exact_select(pairs, N), "exact")
+    C, out = k.count(), None
+    for lane in (4, 8, 16):
+        for r in (1, 2):
+            got = select.merge_select(select.lane_select(pairs, lane, WIDTH, r), N)
+            row = metrics.mean_recall(got, exact, N).select(F.lit(lane).alias("lane_size"), F.lit(r).alias("r"), "queries", F.round("recall", 9).alias("recall"), F.round("mean_missed", 9).alias("mean_missed"))
+            row = row.withColumn("theory", F.lit(round(missprob.expected_missed(C - C % lane, N, lane, r), 6)))
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+def miss_table(spark: SparkSession, sf: str) -> DataFrame:
+    """The published parameters."""
+    return missprob.table(spark, 10**9 - 10**9 % 256, 1000, 256, 4).select("l", F.round("p", 9).alias("p"), F.round("p_cum", 9).alias("p_cum"))
+
+
+def miss_simulated(spark: SparkSession, sf: str) -> DataFrame:
+    return missprob.simulate(spark, 4096, 16, 16, 1, 2000, 7)
+
+
+def memory_table(spark: SparkSession, sf: str) -> DataFrame:
+    rows = [(p, m["bytes_per_keyword"], m["gib"], m["float_gib"]) for p in (1, 2, 3) for m in (cost.memory_model(64, p),)]
+    return spark.createDataFrame(rows, "planes int, bytes_per_keyword int, gib double, float_gib double").select("planes", "bytes_per_keyword", F.round("gib", 6).alias("gib"), F.round("float_gib", 6).alias("float_gib"))
+
+
+def cost_table(spark: SparkSession, sf: str) -> DataFrame:
+    rows = [(u, v, cost.popcounts(u, v), codes.shift_count(u, v), codes.shift_count(u, v, "naive")) for u, v in DEPTHS]
+    return spark.createDataFrame(rows, "u int, v int, popcounts int, horner_shifts int, naive_shifts int")
+
+
+def cardinality_table(spark: SparkSession, sf: str) -> DataFrame:
+    rows = [(p, len(theory.values_per_dim(p)), len(theory.values_per_dim(p, False))) for p in (1, 2, 3, 4)]
+    return spark.createDataFrame(rows, "planes int, weighted_values int, plain_values int")
+
+
+def lane_geometry(spark: SparkSession, sf: str) -> DataFrame:
+    """Keywords per lane over all line items' positions: each position is in one lane."""
+    n = io.table(spark, sf, "lineitem").count()
+    pos = spark.range(n).select(F.col("id").alias("pos"))
+    return pos.groupBy(select.lane_of(F.col("pos"), LANE, WIDTH).alias("lane")).agg(F.count("*").alias("keywords"), F.min("pos").alias("first"), F.max("pos").alias("last"))
+
+
+def plane_stats(spark: SparkSession, sf: str) -> DataFrame:
+    c, params = coded(spark, sf)
+    return metrics.plane_balance(c, params.spec().columns()).select("word", F.round("share", 9).alias("share"))
+
+
+# generated codes -----------------------------------------------------------------
+
+
+def generated_codes(spark: SparkSession, sf: str) -> DataFrame:
+    """Best keyword of every embedding's code among generated codes of all line items (block backend)."""
+    all_codes, params = coded(spark, sf)
+    spec_k = CodeSpec(64, 2, True, params.fingerprint)
+    made = io.generated_codes(spark, io.table(spark, sf, "lineitem"), 2)
+    index = io.dense_pos(made, "keyword_id")
+    q = match.as_queries(all_codes)
+    return retrieve.top_n(q, index, params.spec(2), spec_k, 1, backend="block", lane_size=256, lanes_per_block=4).select("query_id", "rank", "pos", "rank_key")
+
+
+def codes_source_table(spark: SparkSession, sf: str) -> DataFrame:
+    """Rows of the generated source, per plane: set bits near one half."""
+    codes_source.register(spark)
+    n = io.table(spark, sf, "orders").count()
+    df = spark.read.format("ladder_codes").option("rows", n).option("planes", 2).option("seed", 5).load()
+    return df.agg(F.count("*").alias("rows"), F.count_distinct("p0_w0").alias("distinct"), F.round(F.avg(F.bit_count("p0_w0")) / 64.0, 2).alias("share"))
+
+
+def latency_table(spark: SparkSession, sf: str) -> DataFrame:
+    """Milliseconds per query of two codes and of the float model, on generated codes."""
+    e = vectors(spark, sf)
+    made = io.pin(io.dense_pos(io.generated_codes(spark, io.table(spark, sf, "lineitem"), 2), "keyword_id"))
+    total = made.count()
+    rows = []
+    all_codes, params = coded(spark, sf)
+    n = e.count()
+    for u, v in ((1, 1), (2, 1)):
+        q = match.as_queries(all_codes.drop("norm_sq"), planes=u + 1)
+        ks = CodeSpec(64, 2, True, params.fingerprint)
+        t = metrics.latency(lambda q=q, u=u, ks=ks: retrieve.top_n(q, made, params.spec(u), ks, N, backend="block", lane_size=256, lanes_per_block=4), n, 1)
+        rows.append((f"code({u},{v})", total, t["mean_ms"], t["cold_ms"]))
+    made.unpersist()
+    t = metrics.latency(lambda: baselines.float_cosine(e, e, N), n, 1)
+    rows.append(("float64d", n, t["mean_ms"], t["cold_ms"]))
+    return spark.createDataFrame(rows, "model string, keywords long, mean_ms double, cold_ms double")
+
+
+# samples and text ----------------------------------------------------------------
+
+
+def pairs_clicks(spark: SparkSession, sf: str) -> DataFrame:
+    return samples.clicked_pairs(io.table(spark, sf, "events")).select("query_id", "keyword_id")
+
+
+def pairs_turns(spark: SparkSession, sf: str) -> DataFrame:
+    return samples.turn_pairs(io.table(spark, sf, "conversations")).select("pair_id", "q_text", "k_text")
+
+
+def pairs_lines(spark: SparkSession, sf: str) -> DataFrame:
+    return samples.line_pairs(io.table(spark, sf, "documents")).select("pair_id", "q_text", F.length("k_text").alias("k_chars"))
+
+
+def pairs_pages(spark: SparkSession, sf: str) -> DataFrame:
+    return samples.page_pairs(io.table(spark, sf, "pages")).select("pair_id", "q_text", F.length("k_text").alias("k_chars"))
+
+
+def training_samples(spark: SparkSession, sf: str) -> DataFrame:
+    """Cross-sampled groups of clicks: per user the positives and negatives."""
+    s = samples.cross_sample(samples.clicked_pairs(io.table(spark, sf, "events")), 10)
+    return s.groupBy("query_id").agg(F.count_distinct("group_id").alias("groups"), F.count_if("is_pos").alias("positives"), F.count_if(~F.col("is_pos")).alias("negatives"))
+
+
+def time_split(spark: SparkSession, sf: str) -> DataFrame:
+    clicks = io.table(spark, sf, "events").where("event_type = 'click'")
+    return samples.split_by_time(clicks, "2024-01-24 00:00:00").groupBy("fold").agg(F.count("*").alias("clicks"))
+
+
+def trigram_vocab(spark: SparkSession, sf: str) -> DataFrame:
+    return text.build_vocab(io.table(spark, sf, "documents"))
+
+
+def window_counts(spark: SparkSession, sf: str) -> DataFrame:
+    """Per conversation turn: windows and trigrams in them."""
+    c = io.table(spark, sf, "conversations")
+    w = text.word_windows(F.col("text"), 3, 4096)
+    counted = c.select("conv_id", "turn", w.alias("w"))
+    total = F.aggregate(F.flatten(F.col("w")), F.lit(0.0), lambda s, x: s + x["cnt"].cast("double"))
+    return counted.select("conv_id", "turn", F.size("w").alias("windows"), total.alias("trigrams"))
+
+
+def encoded_turns(spark: SparkSession, sf: str) -> DataFrame:
+    """Codes of all conversation turns under an untrained text encoder."""
+    c = io.table(spark, sf, "conversations").withColumn("id", F.col("conv_id") * 10_000 + F.col("turn"))
+    return encoder.encode_texts(c, encoder.init_tower(), "query", "id").select("id", "p0_w0", "p1_w0", "p2_w0", "norm_sq")
+
+
+def judged_pairs(spark: SparkSession, sf: str) -> DataFrame:
+    """Grades of (item, document) by the share of the item's word triples in the document."""
+    items, docs = io.table(spark, sf, "benchmark"), io.table(spark, sf, "documents")
+
+    def triples(df: DataFrame, key: str) -> DataFrame:
+        w = text.words(F.col("text"))
+        grams = F.transform(F.sequence(F.lit(1), F.size("w") - 2), lambda i: F.concat_ws(" ", F.slice("w", i, 3)))
+        return df.select(key, w.alias("w")).where(F.size("w") >= 3).select(key, F.explode(F.array_distinct(grams)).alias("g"))
+
+    a, b = triples(items, "item_id"), triples(docs, "doc_id")
+    size = a.groupBy("item_id").agg(F.count("*").alias("size"))
+    hit = b.join(F.broadcast(a) if a.limit(1_000_001).count() <= 1_000_000 else a, "g").groupBy("item_id", "doc_id").agg(F.count("*").alias("hits"))
+    c = F.col("hits") / F.col("size")
+    graded = hit.join(size, "item_id").withColumn("grade", F.when(c >= 0.3, "excellent").when(c >= 0.05, "good").otherwise("fair"))
+    return graded.select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("keyword_id"), "grade")
+
+
+def lexical(spark: SparkSession, sf: str, which: str) -> DataFrame:
+    """Lexical ranking of all documents for every benchmark item: five best."""
+    q = io.table(spark, sf, "benchmark").select(F.col("item_id").alias("query_id"), "text")
+    k = io.table(spark, sf, "documents").select(F.col("doc_id").alias("keyword_id"), "text")
+    out = {"bm25": baselines.bm25, "tfidf": baselines.tfidf_cosine, "bim": baselines.bim}[which](q, k).withColumn("score", F.round("score", 6))
+    return baselines.ranked(out, 5).select("query_id", F.col("rank").cast("int").alias("rank"), "keyword_id", "score")
+
+
+def quality_table(spark: SparkSession, sf: str) -> DataFrame:
+    """Grades of the five best by tf-idf against those by BM25, with changes."""
+    grades = judged_pairs(spark, sf)
+
+    def graded(which: str) -> DataFrame:
+        return lexical(spark, sf, which).join(grades, ["query_id", "keyword_id"], "left").withColumn("grade", F.coalesce("grade", F.lit("bad")))
+
+    return metrics.grade_change(graded("tfidf"), graded("bm25")).withColumn("change", F.round("change", 6))
+
+
+def overlap_table(spark: SparkSession, sf: str) -> DataFrame:
+    a, b = lexical(spark, sf, "tfidf"), lexical(spark, sf, "bm25")
+    return metrics.overlap(a, b).select("common", F.round("of_ours", 9).alias("of_ours"), F.round("of_theirs", 9).alias("of_theirs"), F.round("jaccard", 9).alias("jaccard"))
+
+
+def latent(spark: SparkSession, sf: str, which: str) -> DataFrame:
+    q = io.table(spark, sf, "benchmark").select(F.col("item_id").alias("query_id"), "text")
+    k = io.table(spark, sf, "documents").select(F.col("doc_id").alias("keyword_id"), "text")
+    return {"lsa": baselines.lsa, "lda": baselines.lda, "word_sum": baselines.word_sum}[which](q, k, N=5)
+
+
+def vector_baseline(spark: SparkSession, sf: str, which: str) -> DataFrame:
+    e = vectors(spark, sf)
+    return {"lsh": baselines.lsh, "pq": baselines.product_quantizer}[which](e, e, N)
+
+
+def vector_groups(spark: SparkSession, sf: str) -> DataFrame:
+    """q and ks of neighbour groups on the embeddings, for training the ladder alone."""
+    e = vectors(spark, sf).select(F.col("vec_id").alias("query_id"), F.col("embedding").cast("array<double>").alias("x"))
+    g = neighbour_groups(spark, sf).withColumn("query_id", F.col("group_id"))
+    return train.packed_groups(g, e, e.select(F.col("query_id").alias("keyword_id"), "x"))
+
+
+def binarizer_table(spark: SparkSession, sf: str) -> DataFrame:
+    """Training of each surrogate at each depth: first and last loss, and whether it converged."""
+    groups, rows = io.checkpoint(vector_groups(spark, sf), "groups"), []
+    for kind in ("identity", "clipped", "anneal"):
+        for u, v in DEPTHS:
+            q, k = ladder.init_hadamard(64, u), ladder.init_hadamard(64, v)
+            fresh = [ladder.LadderParams(p.W / 8.0, [b.copy() for b in p.B], [r / 8.0 for r in p.R]) for p in (q, k)]
+            model = encoder.TwoTower(encoder.SideParams(None, fresh[0]), encoder.SideParams(None, fresh[1]))
+            done = train.fit(groups, model, train.Config(gamma=10.0, epochs=3, rate=0.5, surrogate=kind))
+            rows.append((kind, u, v, done.history[0]["loss"], done.history[-1]["loss"], done.converged))
+    return spark.createDataFrame(rows, "surrogate string, u int, v int, first_loss double, last_loss double, converged boolean")
+
+
+def text_training(spark: SparkSession, sf: str) -> DataFrame:
+    """The two-sided text encoder and ladder trained together on user and assistant turns."""
+    pairs = io.checkpoint(samples.turn_pairs(io.table(spark, sf, "conversations")), "turns")
+    windows = partial(text.word_windows, width=3, dims=1024)
+    q = pairs.select("query_id", windows(F.col("q_text")).alias("x"))
+    k = pairs.select("keyword_id", windows(F.col("k_text")).alias("x"))
+    groups = io.checkpoint(train.packed_groups(samples.cross_sample(pairs, 4), q, k), "groups")
+    done = train.fit(groups, encoder.init_tower(1024, 32, 64, 2, k_depth=1), train.Config(epochs=2, rate=0.2))
+    return spark.createDataFrame([(h["epoch"], h["loss"]) for h in done.history], "epoch int, loss double")
+
+
+# relational surroundings ----------------------------------------------------------
+
+
+def attributed_clicks(spark: SparkSession, sf: str) -> DataFrame:
+    e = io.table(spark, sf, "events")
+    found = samples.attribute(e.where("event_type = 'view'"), e.where("event_type = 'click'"))
+    return found.groupBy("click_id").agg(F.count("*").alias("views"), F.max("view_id").alias("last_view"))
+
+
+def asof_views(spark: SparkSession, sf: str) -> DataFrame:
+    e = io.table(spark, sf, "events")
+    return samples.asof(e.where("event_type = 'click'"), e.where("event_type = 'view'"))
+
+
+def rolling_ctr(spark: SparkSession, sf: str) -> DataFrame:
+    return relational.rolling_rate(io.table(spark, sf, "events")).withColumn("ctr", F.round("ctr", 9))
+
+
+def clicks_cube(spark: SparkSession, sf: str) -> DataFrame:
+    """Clicks by market segment and nation, with all subtotals."""
+    clicks = io.table(spark, sf, "events").where("event_type = 'click'").select((F.col("user_id")).alias("c_custkey"))
+    c = io.table(spark, sf, "customer").select("c_custkey", "c_mktsegment", "c_nationkey")
+    n = io.table(spark, sf, "nation").select(F.col("n_nationkey").alias("c_nationkey"), "n_name")
+    rows = relational.attach(clicks.join(c, "c_custkey"), n, "c_nationkey")
+    return rows.cube("c_mktsegment", "n_name").agg(F.count("*").alias("clicks"))
+
+
+def star_top(spark: SparkSession, sf: str) -> DataFrame:
+    """Nearest keywords as parts: revenue of each query's ten nearest parts by brand."""
+    winners = top(spark, sf, mode="exact")
+    parts = io.table(spark, sf, "part").select((F.col("p_partkey")).alias("keyword_id"), "p_brand")
+    revenue = io.table(spark, sf, "lineitem").groupBy(F.col("l_partkey").alias("keyword_id")).agg(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("revenue"))
+    return winners.join(parts, "keyword_id").join(revenue, "keyword_id", "left").groupBy("p_brand").agg(F.count("*").alias("winners"), F.round(F.sum(F.coalesce("revenue", F.lit(0.0))), 2).alias("revenue"))
+
+
+def set_operations(spark: SparkSession, sf: str) -> DataFrame:
+    """Kept and lost keywords of lane selection by intersect and except."""
+    exact, lane = top(spark, sf, mode="exact").select("query_id", "keyword_id"), top(spark, sf).select("query_id", "keyword_id")
+    exact, lane = io.checkpoint(exact, "exact"), io.checkpoint(lane, "lane")
+    parts = exact.intersect(lane).withColumn("kind", F.lit("kept")).unionByName(exact.exceptAll(lane).withColumn("kind", F.lit("lost"))).unionByName(lane.exceptAll(exact).withColumn("kind", F.lit("instead")))
+    return parts.groupBy("kind").agg(F.count("*").alias("pairs"))
+
+
+def grade_pivot(spark: SparkSession, sf: str) -> DataFrame:
+    return judged_pairs(spark, sf).groupBy("query_id").pivot("grade", ["fair", "good", "excellent"]).agg(F.count("*")).na.fill(0, ["fair", "good", "excellent"])
+
+
+def event_profile(spark: SparkSession, sf: str) -> DataFrame:
+    e = io.table(spark, sf, "events")
+    return e.groupBy("event_type").agg(F.count("*").alias("n"), F.count_distinct("user_id").alias("users"), F.round(F.percentile("value", 0.5), 6).alias("median"), F.round(F.stddev_samp("value"), 6).alias("spread"))
+
+
+def user_windows(spark: SparkSession, sf: str) -> DataFrame:
+    """Ranks, neighbours and running counts of each user's events."""
+    e = io.table(spark, sf, "events")
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    return e.select("event_id", F.row_number().over(w).alias("rn"), F.dense_rank().over(Window.partitionBy("user_id").orderBy("event_type")).alias("dr"), F.lag("event_id").over(w).alias("before"), F.lead("event_type").over(w).alias("after"), F.ntile(4).over(w).alias("quarter"), F.sum(F.when(F.col("event_type") == "click", 1).otherwise(0)).over(w.rowsBetween(-6, 0)).alias("recent"))
+
+
+def lateral_top(spark: SparkSession, sf: str) -> DataFrame:
+    io.table(spark, sf, "events").createOrReplaceTempView("w_events")
+    return relational.per_query_top(spark, "w_events", "user_id", "x.value DESC, x.event_id", 2).select("user_id", "event_id")
+
+
+# streams ----------------------------------------------------------------------------
+
+
+def _stream_dirs(spark: SparkSession) -> tuple[str, str]:
+    base = f"{io.shared_dir(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
+    return f"{base}/out", f"{base}/checkpoint"
+
+
+def _event_files(spark: SparkSession, sf: str, files: int = 4) -> str:
+    """The event table as a few files in time order: the stream's input."""
+    path = f"{io.shared_dir(spark).rstrip('/')}/events-{uuid.uuid4().hex}"
+    io.table(spark, sf, "events").repartitionByRange(files, "ts").sortWithinPartitions("ts").write.parquet(path)
+    return path
+
+
+def _streamed(spark: SparkSession, df: DataFrame, mode: str = "append") -> DataFrame:
+    out, cp = _stream_dirs(spark)
+    q = df.writeStream.outputMode(mode).option("checkpointLocation", cp).format("parquet").option("path", out).trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.read.schema(df.schema).parquet(out)
+
+
+def stream_pairs(spark: SparkSession, sf: str) -> DataFrame:
+    """Clicks with their views by a stream-stream join; equals the batch join."""
+    from .streaming import stream
+
+    events = stream.events_stream(spark, _event_files(spark, sf))
+    found = _streamed(spark, stream.stream_pairs(events, lateness="40 days"))
+    return found.groupBy("click_id").agg(F.count("*").alias("views"), F.max("view_id").alias("last_view"))
+
+
+def stream_unique(spark: SparkSession, sf: str) -> DataFrame:
+    from .streaming import stream
+
+    events = stream.events_stream(spark, _event_files(spark, sf))
+    return _streamed(spark, stream.stream_unique_pairs(events, "60 days")).select("query_id", "keyword_id")
+
+
+def stream_answers(spark: SparkSession, sf: str) -> DataFrame:
+    """Every event asks for the vector of its user: ten nearest, answered per micro-batch."""
+    from .plans.index import LadderIndex, LadderModel
+    from .streaming import stream
+
+    e = vectors(spark, sf)
+    n = e.count()
+    model = LadderModel(ladder.init_hadamard(64, 2))
+    keywords = model.encode(e).withColumn("pos", F.col("keyword_id"))
+    lookup = io.checkpoint(model.encode(e, "query"), "lookup")
+    index = LadderIndex(io.checkpoint(keywords, "keywords"), model, LANE, WIDTH)
+    asked = stream.events_stream(spark, _event_files(spark, sf)).select(F.pmod("user_id", F.lit(n)).alias("query_id"))
+    out, cp = _stream_dirs(spark)
+    stream.stream_top_n(asked, index, model, N, out, cp, lookup).awaitTermination()
+    return spark.read.parquet(out).select("query_id", "rank", "keyword_id", "rank_key").distinct()
+
+
+QUERIES = {
+    "lane_top_n": top,
+    "lane_top_n_r2": partial(top, r=2),
+    "lane_top_n_tree": partial(top, fan_in=4),
+    "lane_top_n_block": partial(top, backend="block"),
+    "exact_top_n": partial(top, mode="exact"),
+    "exact_top_n_block": partial(top, mode="exact", backend="block"),
+    "radix_top_n": partial(top, mode="radix"),
+    "index_top_n": index_top_n,
+    "float_top_n": float_top,
+    "ladder_planes": ladder_planes,
+    "code_dots_2_1": code_dots,
+    "code_dots_0_0": partial(code_dots, u=0, v=0),
+    "code_dots_1_1": partial(code_dots, u=1, v=1),
+    "code_dots_2_2": partial(code_dots, u=2, v=2),
+    "code_dots_plain_2_1": partial(code_dots, weighted=False),
+    "sql_functions": sql_functions,
+    "progressive": progressive,
+    "above_threshold": above_threshold,
+    "bits_table": bits_table,
+    "accuracy_table": accuracy_table,
+    "weights_table": weights_table,
+    "log_loss_table": log_loss_table,
+    "gamma_search": gamma_search,
+    "recall_table": recall_table,
+    "miss_table": miss_table,
+    "miss_simulated": miss_simulated,
+    "memory_table": memory_table,
+    "cost_table": cost_table,
+    "cardinality_table": cardinality_table,
+    "lane_geometry": lane_geometry,
+    "plane_stats": plane_stats,
+    "generated_codes": generated_codes,
+    "codes_source": codes_source_table,
+    "latency_table": latency_table,
+    "pairs_clicks": pairs_clicks,
+    "pairs_turns": pairs_turns,
+    "pairs_lines": pairs_lines,
+    "pairs_pages": pairs_pages,
+    "training_samples": training_samples,
+    "time_split": time_split,
+    "trigram_vocab": trigram_vocab,
+    "window_counts": window_counts,
+    "encoded_turns": encoded_turns,
+    "judged_pairs": judged_pairs,
+    "lexical_bm25": partial(lexical, which="bm25"),
+    "lexical_tfidf": partial(lexical, which="tfidf"),
+    "lexical_bim": partial(lexical, which="bim"),
+    "quality_table": quality_table,
+    "overlap_table": overlap_table,
+    "latent_lsa": partial(latent, which="lsa"),
+    "latent_lda": partial(latent, which="lda"),
+    "latent_word_sum": partial(latent, which="word_sum"),
+    "vector_lsh": partial(vector_baseline, which="lsh"),
+    "vector_pq": partial(vector_baseline, which="pq"),
+    "binarizer_table": binarizer_table,
+    "text_training": text_training,
+    "attributed_clicks": attributed_clicks,
+    "asof_views": asof_views,
+    "rolling_ctr": rolling_ctr,
+    "clicks_cube": clicks_cube,
+    "star_top": star_top,
+    "set_operations": set_operations,
+    "grade_pivot": grade_pivot,
+    "event_profile": event_profile,
+    "user_windows": user_windows,
+    "lateral_top": lateral_top,
+    "stream_pairs": stream_pairs,
+    "stream_unique": stream_unique,
+    "stream_answers": stream_answers,
+}
+
+from .oracles import ORACLES  # noqa: E402,F401
