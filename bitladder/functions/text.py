@@ -12,6 +12,11 @@ from pyspark.sql import functions as F
 DIMS = 49_292
 
 
+def let(value: Column, body) -> Column:
+    """``body(value)`` with the value computed once, however often the body names it."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
 def words(text: Column, lower: bool = True) -> Column:
     """Runs of letters and digits."""
     t = F.coalesce(text, F.lit(""))
@@ -36,7 +41,7 @@ def build_vocab(docs: DataFrame, text: str = "text", min_df: int = 1, max_size:
     One shuffle of distinct (document, trigram); the ranking sorts only the kept
     vocabulary, which ``max_size`` bounds.
     """
-    grams = F.array_distinct(F.flatten(F.transform(words(F.col(text)), letter_trigrams)))
+    grams = F.array_distinct(F.flatten(F.transform(words(F.col(text)), lambda w: letter_trigrams(w))))
     counts = docs.select(F.explode(grams).alias("trigram")).groupBy("trigram").agg(F.count("*").alias("df")).where(F.col("df") >= min_df)
     top = counts.orderBy(F.desc("df"), "trigram").limit(max_size)
     return top.withColumn("idx", (F.row_number().over(Window.orderBy(F.desc("df"), "trigram")) - 1).cast("int"))
@@ -54,15 +59,19 @@ def word_windows(text: Column, width: int = 3, dims: int = DIMS, mode: str = "ba
     the window, so ids run up to ``width * dims``.
     """
     half = width // 2
-    per_word = F.transform(words(text), lambda w: F.transform(letter_trigrams(w), lambda t: hash_ids(t, dims)))
-    count = F.size(per_word)
-
-    def window(i: Column) -> Column:
-        parts = []
-        for p in range(width):
-            at = i + F.lit(p - half)
-            ids = F.when((at >= 1) & (at <= count), F.element_at(per_word, F.greatest(F.least(at, count), F.lit(1)))).otherwise(F.array().cast("array<int>"))
-            parts.append(F.transform(ids, lambda x, p=p: x + F.lit(p * dims)) if mode == "positions" else ids)
-        return counts_of(F.flatten(F.array(*parts)))
-
-    return F.when(count > 0, F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), window)).otherwise(F.array().cast("array<array<struct<idx:int,cnt:float>>>"))
+    nothing = F.array().cast("array<int>")
+
+    def windows(per_word: Column) -> Column:
+        count = F.size(per_word)
+
+        def window(i: Column) -> Column:
+            parts = []
+            for p in range(width):
+                at = i + F.lit(p - half)
+                ids = F.when((at >= 1) & (at <= count), F.element_at(per_word, F.greatest(F.least(at, count), F.lit(1)))).otherwise(nothing)
+                parts.append(F.transform(ids, lambda x, p=p: x + F.lit(p * dims)) if mode == "positions" else ids)
+            return let(F.flatten(F.array(*parts)), counts_of)
+
+        return F.when(count > 0, F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), window)).otherwise(F.array().cast("array<array<struct<idx:int,cnt:float>>>"))
+
+    return let(F.transform(words(text), lambda w: F.transform(letter_trigrams(w), lambda t: hash_ids(t, dims))), windows)

@@ -15,7 +15,7 @@ def explode_terms(df: DataFrame, key: str, text: str = "text") -> DataFrame:
 
 
 def explode_trigrams(df: DataFrame, key: str, text: str = "text") -> DataFrame:
-    return df.select(key, F.explode(F.flatten(F.transform(words(F.col(text)), letter_trigrams))).alias("trigram"))
+    return df.select(key, F.explode(F.flatten(F.transform(words(F.col(text)), lambda w: letter_trigrams(w)))).alias("trigram"))
 
 
 def attach(df: DataFrame, dim: DataFrame, on, max_rows: int = 100_000) -> DataFrame:

@@ -140,7 +140,7 @@ JUDGED = f"""ta AS ({triples('benchmark', 'item_id')}), tb AS ({triples('documen
 jd AS (SELECT query_id, keyword_id, CASE WHEN c >= 0.3 THEN 'excellent' WHEN c >= 0.05 THEN 'good' ELSE 'fair' END AS grade FROM (SELECT item_id AS query_id, doc_id AS keyword_id, count(*) / any_value(size) AS c FROM ta JOIN tb USING (g) JOIN sz USING (item_id) GROUP BY ALL))"""
 CLICKS = "SELECT DISTINCT user_id AS query_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS keyword_id FROM events WHERE event_type = 'click'"
 VIEWS = """FROM (SELECT *, json_extract_string(props, '$.k') AS item FROM events WHERE event_type = 'click') c JOIN (SELECT *, json_extract_string(props, '$.k') AS item FROM events WHERE event_type = 'view') v
-ON c.user_id = v.user_id AND c.item = v.item AND v.ts <= c.ts AND v.ts >= c.ts - INTERVAL 30 MINUTE"""
+ON c.user_id = v.user_id AND c.item = v.item AND v.ts <= c.ts AND v.ts >= c.ts - INTERVAL 5 DAY"""
 
 ORACLES: dict[str, str] = {
     "lane_top_n": lane_top(),
@@ -202,7 +202,7 @@ FROM (SELECT *, CAST(floor(epoch(ts)) AS BIGINT) AS t FROM events) WINDOW w AS (
 SELECT p_brand, count(*) AS winners, round(sum(coalesce(revenue, 0)), 2) AS revenue FROM win JOIN part ON p_partkey = keyword_id LEFT JOIN rev USING (keyword_id) GROUP BY p_brand""",
     "set_operations": f"""WITH a AS (SELECT query_id, keyword_id FROM ({EXACT})), b AS (SELECT query_id, keyword_id FROM ({lane_top()}))
 SELECT * FROM (SELECT 'kept' AS kind, (SELECT count(*) FROM (SELECT * FROM a INTERSECT SELECT * FROM b)) AS pairs UNION ALL SELECT 'lost', (SELECT count(*) FROM (SELECT * FROM a EXCEPT SELECT * FROM b)) UNION ALL SELECT 'instead', (SELECT count(*) FROM (SELECT * FROM b EXCEPT SELECT * FROM a))) WHERE pairs > 0""",
-    "grade_pivot": f"WITH {JUDGED} SELECT query_id, count_if(grade = 'fair') AS fair, count_if(grade = 'good') AS good, count_if(grade = 'excellent') AS excellent FROM jd GROUP BY query_id",
+    "grade_pivot": f"WITH {JUDGED} SELECT query_id, CAST(count_if(grade = 'fair') AS BIGINT) AS fair, CAST(count_if(grade = 'good') AS BIGINT) AS good, CAST(count_if(grade = 'excellent') AS BIGINT) AS excellent FROM jd GROUP BY query_id",
     "event_profile": "SELECT event_type, count(*) AS n, count(DISTINCT user_id) AS users, round(quantile_cont(value, 0.5), 6) AS median, round(stddev_samp(value), 6) AS spread FROM events GROUP BY event_type",
     "user_windows": """SELECT event_id, CAST(row_number() OVER w AS INTEGER) AS rn, CAST(dense_rank() OVER (PARTITION BY user_id ORDER BY event_type) AS INTEGER) AS dr, lag(event_id) OVER w AS before, lead(event_type) OVER w AS after, CAST(ntile(4) OVER w AS INTEGER) AS quarter,
 CAST(sum(CASE WHEN event_type = 'click' THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 6 PRECEDING AND CURRENT ROW) AS BIGINT) AS recent FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)""",

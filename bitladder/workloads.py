@@ -21,6 +21,8 @@ from .sources import codes_source, io
 
 #: lanes at the size of these tables
 N, LANE, WIDTH = 10, 8, 16
+#: events are sparse here: a click counts for views up to so long before
+WITHIN = "5 days"
 SCALE = math.sqrt(2.0 / (math.pi * 64)) / 8.0
 
 
@@ -446,7 +448,7 @@ def text_training(spark: SparkSession, sf: str) -> DataFrame:
 
 def attributed_clicks(spark: SparkSession, sf: str) -> DataFrame:
     e = io.table(spark, sf, "events")
-    found = samples.attribute(e.where("event_type = 'view'"), e.where("event_type = 'click'"))
+    found = samples.attribute(e.where("event_type = 'view'"), e.where("event_type = 'click'"), WITHIN)
     return found.groupBy("click_id").agg(F.count("*").alias("views"), F.max("view_id").alias("last_view"))
 
 
@@ -485,7 +487,7 @@ def set_operations(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def grade_pivot(spark: SparkSession, sf: str) -> DataFrame:
-    return judged_pairs(spark, sf).groupBy("query_id").pivot("grade", ["fair", "good", "excellent"]).agg(F.count("*")).na.fill(0, ["fair", "good", "excellent"])
+    return judged_pairs(spark, sf).groupBy("query_id").pivot("grade", ["fair", "good", "excellent"]).agg(F.count(F.lit(1))).na.fill(0, ["fair", "good", "excellent"])
 
 
 def event_profile(spark: SparkSession, sf: str) -> DataFrame:
@@ -532,7 +534,7 @@ def stream_pairs(spark: SparkSession, sf: str) -> DataFrame:
     from .streaming import stream
 
     events = stream.events_stream(spark, _event_files(spark, sf))
-    found = _streamed(spark, stream.stream_pairs(events, lateness="40 days"))
+    found = _streamed(spark, stream.stream_pairs(events, WITHIN, lateness="40 days"))
     return found.groupBy("click_id").agg(F.count("*").alias("views"), F.max("view_id").alias("last_view"))
 
 
