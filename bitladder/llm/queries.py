@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import chat, lines, mixing, near, packing, quality, search, suffix, tokens, windows
+from .oracles import ORACLES
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -62,6 +63,8 @@ def op10_window_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
 
 
+__all__ = ["ORACLES", "QUERIES"]
+
 QUERIES = {
     "op1_mix_sources": op1_mix_sources,
     "op2_pack": op2_pack,
@@ -74,5 +77,3 @@ QUERIES = {
     "op9_token_count": op9_token_count,
     "op10_window_dedup": op10_window_dedup,
 }
-
-ORACLES: dict[str, str] = {}
