@@ -136,7 +136,8 @@ def dedup_lines(docs: DataFrame, min_chars: int = 10, keep: tuple[str, ...] = ()
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(tags, pa.int64())], [*batch.schema.names, "_tag"])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in source.schema)
-    joined = source.mapInArrow(tagged, f"{kinds}, _tag long").join(maps, (F.col("_doc") == maps["doc"]) & (F.col("_tag") == maps["tag"]), "left").select("_text", "_doc", "drops", *others)
+    maps = maps.withColumnsRenamed({"doc": "__of", "tag": "__tag", "drops": "__drops"})
+    joined = source.mapInArrow(tagged, f"{kinds}, _tag long").join(maps, (F.col("_doc") == F.col("__of")) & (F.col("_tag") == F.col("__tag")), "left").select("_text", "_doc", "__drops", *others)
 
     def apply(batches):
         for batch in batches:

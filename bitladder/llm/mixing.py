@@ -155,7 +155,7 @@ def schedule(docs: DataFrame, weights: dict[str | None, float] | None = None, bl
     phase_df = where_df.join(template_df, ["s", "phase"])
     placed = joined.join(F.broadcast(phase_df), (joined["s"] == phase_df["s"]) & (F.col("block") >= F.col("first")) & (F.col("block") < F.col("until")))
     rel = F.col("block") - F.col("first")
-    slot = (F.col("slot0") + F.floor(rel / F.col("parts")) * F.col("length") + F.element_at("places", (rel % F.col("parts") + 1).cast("int"))).cast("long")
+    slot = (F.col("slot0") + F.floor(rel / F.col("parts")) * F.col("length") + F.get("places", F.pmod(rel, F.col("parts")).cast("int"))).cast("long")
     return placed.select(
         "source",
         "doc_id",
@@ -184,6 +184,6 @@ def mixed_documents(docs: DataFrame, **options) -> DataFrame:
     Rows that repeat (source, doc_id) take the number of the first of them.
     """
     columns = docs.columns
-    plan = schedule(docs, **options).groupBy("source", "doc_id").agg(F.min("position").alias("_position")).withColumnsRenamed({"source": "_source", "doc_id": "_doc"})
-    joined = docs.join(plan, docs["doc_id"].cast("long").eqNullSafe(plan["_doc"]) & docs["source"].cast("string").eqNullSafe(plan["_source"]), "left")
-    return joined.repartitionByRange("_position").sortWithinPartitions("_position").select(*[docs[c] for c in columns])
+    plan = schedule(docs, **options).groupBy("source", "doc_id").agg(F.min("position").alias("__mix_position")).withColumnsRenamed({"source": "__mix_source", "doc_id": "__mix_doc"})
+    joined = docs.join(plan, docs["doc_id"].cast("long").eqNullSafe(plan["__mix_doc"]) & docs["source"].cast("string").eqNullSafe(plan["__mix_source"]), "left")
+    return joined.repartitionByRange("__mix_position").sortWithinPartitions("__mix_position").select(*[docs[c] for c in columns])

@@ -51,8 +51,11 @@ class Shingles:
     def __init__(self, chunk: Chunk, words: int):
         hashes, lens = chunk_words(chunk)
         at, doc = window_starts(lens, words)
+        once = np.zeros(len(lens), bool)
+        once[np.unique(chunk.ids, return_index=True)[1]] = True
+        at, doc = at[once[doc]], doc[once[doc]]
         key = folded(hashes, words, FACTORS[0])[at] if len(at) else np.empty(0, np.uint64)
-        short = np.flatnonzero((lens > 0) & (lens < words))
+        short = np.flatnonzero((lens > 0) & (lens < words) & once)
         begin = np.cumsum(lens) - lens
         few = []
         for d in short.tolist():

@@ -35,13 +35,13 @@ class PairMerger:
     """Counts the tokens of a piece of text: symbols minus merges.
 
     ``path`` is a tokenizers JSON file with a byte-level BPE model.  Normaliser
-    and splitter are the library's own; for the characters below U+0250 (without
+    and splitter are the library's own; for the characters below U+0180 (without
     controls) they are replaced by an equal, quicker pattern.
     """
 
-    #: fixed values: contractions and classes of the splitter, below U+0250
-    SIMPLE = re.compile("[\x21-\x7e\xa1-\xac\xae-ɏ]*")
-    SPLIT = re.compile("[a-z\xaa\xb5\xba\xdf-\xf6\xf8-ɏ]+|'(?:s|t|re|ve|m|ll|d)|[0-9\xb2\xb3\xb9\xbc-\xbe]|(?:(?!'(?:s|t|re|ve|m|ll|d))[^a-z\xaa\xb5\xba\xdf-\xf6\xf8-ɏ0-9\xb2\xb3\xb9\xbc-\xbe])(?:[^a-z\xaa\xb5\xba\xdf-\xf6\xf8-ɏ0-9\xb2\xb3\xb9\xbc-\xbe])*")
+    #: fixed values: contractions and classes of the splitter, below U+0180
+    SIMPLE = re.compile("[\x21-\x7e\xa1-\xac\xae-ſ]*")
+    SPLIT = re.compile("[a-z\xaa\xb5\xba\xdf-\xf6\xf8-ſ]+|'(?:s|t|re|ve|m|ll|d)|[0-9\xb2\xb3\xb9\xbc-\xbe]|(?:(?!'(?:s|t|re|ve|m|ll|d))[^a-z\xaa\xb5\xba\xdf-\xf6\xf8-ſ0-9\xb2\xb3\xb9\xbc-\xbe])(?:[^a-z\xaa\xb5\xba\xdf-\xf6\xf8-ſ0-9\xb2\xb3\xb9\xbc-\xbe])*")
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -182,9 +182,9 @@ class PairTable:
 #: fixed values: odd multipliers of the two tables; the rank of no pair
 FIRST, SECOND = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 NO_RANK = 1 << 30
-#: bytes that plain pieces (up to U+023F, no controls) don't have
+#: bytes that plain pieces (up to U+017F, no controls) don't have
 STRANGE = np.ones(256, bool)
-STRANGE[0x21:0x7F] = STRANGE[0x80:0xC0] = STRANGE[0xC2:0xC9] = False
+STRANGE[0x21:0x7F] = STRANGE[0x80:0xC0] = STRANGE[0xC2:0xC6] = False
 
 
 def merge_all(symbols: np.ndarray, starts: np.ndarray, table: PairTable) -> tuple[np.ndarray, np.ndarray]:
