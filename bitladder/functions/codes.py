@@ -159,6 +159,11 @@ def unpack_expr(word: Column, n: int = 64) -> Column:
     return F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda i: F.when(F.getbit(word, i) == 1, F.lit(1)).otherwise(F.lit(-1)))
 
 
+def plus_times(w: float):
+    """(a, b) to a + w b, as a lambda of exactly two arguments."""
+    return lambda a, b: a + b * F.lit(w)
+
+
 def dense_expr(spec: CodeSpec, prefix: str = "") -> Column:
     """The code as an array of doubles, for looking at (one word per plane)."""
     if spec.words != 1:
@@ -166,5 +171,5 @@ def dense_expr(spec: CodeSpec, prefix: str = "") -> Column:
     out = F.transform(unpack_expr(F.col(f"{prefix}p0_w0"), spec.n), lambda x: x.cast("double"))
     for t in range(1, spec.planes):
         w = 2.0**-t if spec.weighted else 1.0
-        out = F.zip_with(out, unpack_expr(F.col(f"{prefix}p{t}_w0"), spec.n), lambda a, b, w=w: a + b * F.lit(w))
+        out = F.zip_with(out, unpack_expr(F.col(f"{prefix}p{t}_w0"), spec.n), plus_times(w))
     return out

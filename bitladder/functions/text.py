@@ -52,6 +52,10 @@ def counts_of(ids: Column) -> Column:
     return F.transform(F.array_sort(F.array_distinct(ids)), lambda d: F.struct(d.alias("idx"), F.size(F.filter(ids, lambda x: x == d)).cast("float").alias("cnt")))
 
 
+def shifted(ids: Column, by: int) -> Column:
+    return F.transform(ids, lambda x: x + F.lit(by))
+
+
 def word_windows(text: Column, width: int = 3, dims: int = DIMS, mode: str = "bag") -> Column:
     """For each word the sparse trigram counts of the ``width`` words around it.
 
@@ -69,7 +73,7 @@ def word_windows(text: Column, width: int = 3, dims: int = DIMS, mode: str = "ba
             for p in range(width):
                 at = i + F.lit(p - half)
                 ids = F.when((at >= 1) & (at <= count), F.element_at(per_word, F.greatest(F.least(at, count), F.lit(1)))).otherwise(nothing)
-                parts.append(F.transform(ids, lambda x, p=p: x + F.lit(p * dims)) if mode == "positions" else ids)
+                parts.append(shifted(ids, p * dims) if mode == "positions" else ids)
             return let(F.flatten(F.array(*parts)), counts_of)
 
         return F.when(count > 0, F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), window)).otherwise(F.array().cast("array<array<struct<idx:int,cnt:float>>>"))

@@ -16,7 +16,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.codes import CodeSpec, norm_sq_expr, pack
+from ..functions.codes import CodeSpec, norm_sq_expr, pack, plus_times
+from ..functions.text import let
 from . import binarize
 
 
@@ -199,7 +200,10 @@ def planes_sql(vector: Column, params: LadderParams, depth: int) -> list[Column]
     """Planes as arrays of ±1, in SQL only; small sizes, for comparison with an oracle."""
 
     def times(rows: np.ndarray, x: Column) -> Column:
-        return F.array(*[F.aggregate(F.zip_with(x, F.array(*[F.lit(float(v)) for v in row]), lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v) for row in rows])
+        def product(row: np.ndarray, v: Column) -> Column:
+            return F.aggregate(F.zip_with(v, F.array(*[F.lit(float(w)) for w in row]), lambda a, b: a * b), F.lit(0.0), lambda s, y: s + y)
+
+        return let(x, lambda v: F.array(*[product(row, v) for row in rows]))
 
     signs = [F.transform(times(params.W, vector), lambda x: F.when(x > 0, 1).otherwise(-1))]
     code = F.transform(signs[0], lambda x: x.cast("double"))
@@ -208,5 +212,5 @@ def planes_sql(vector: Column, params: LadderParams, depth: int) -> list[Column]
         back = F.transform(times(B, code), F.tanh)
         left = F.zip_with(vector, back, lambda a, b: a - b)
         signs.append(F.transform(times(R, left), lambda x: F.when(x > 0, 1).otherwise(-1)))
-        code = F.zip_with(code, signs[-1], lambda a, b, w=params.weight(t): a + b * F.lit(w))
+        code = F.zip_with(code, signs[-1], plus_times(params.weight(t)))
     return signs
