@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 NULL_ID = -(2**63)
 CHUNK_BYTES = 4 << 20
 #: bytes of the smallest request that one bucket should gather
-BUCKET_BYTES = 8 << 20
+BUCKET_BYTES = 4 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -60,6 +60,13 @@ def id_and_bytes(docs: DataFrame) -> DataFrame:
     )
 
 
+def slices(batches, rows: int = 512):
+    """Arrow batches in small parts, so that Python copies stay small."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
 def ids_out(ids: np.ndarray) -> pa.Array:
     return pa.array(ids, type=pa.int64(), mask=ids == NULL_ID)
 
@@ -90,7 +97,7 @@ def chunk_table(docs: DataFrame, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
                 }
             )
 
-        for batch in batches:
+        for batch in slices(batches):
             for doc, text in zip(ids_in(batch.column(0)).tolist(), batch.column(1).to_pylist(), strict=True):
                 if texts and size + len(text) > chunk_bytes:
                     yield row()

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NULL_ID, id_and_bytes, written
+from .common import NULL_ID, id_and_bytes, slices, written
 
 SPACE = b" \t\n\r\x0b\x0c"
 
@@ -40,7 +40,7 @@ def line_rows(docs: DataFrame, min_chars: int) -> DataFrame:
     def rows(batches):
         from xxhash import xxh3_64_intdigest
 
-        for batch in batches:
+        for batch in slices(batches):
             hi, doc, tag, pos = [], [], [], []
             ids = batch.column(0).fill_null(NULL_ID).to_pylist()
             for i, text in zip(ids, batch.column(1).to_pylist(), strict=True):
@@ -131,7 +131,7 @@ def dedup_lines(docs: DataFrame, min_chars: int = 10, keep: tuple[str, ...] = ()
     source = docs.select(F.coalesce(F.col("text").cast("binary"), F.lit(b"")).alias("_text"), F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)).alias("_doc"), *others)
 
     def tagged(batches):
-        for batch in batches:
+        for batch in slices(batches):
             tags = [xxh3_64_intdigest(t) - (1 << 63) for t in batch.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(tags, pa.int64())], [*batch.schema.names, "_tag"])
 
@@ -140,7 +140,7 @@ def dedup_lines(docs: DataFrame, min_chars: int = 10, keep: tuple[str, ...] = ()
     joined = source.mapInArrow(tagged, f"{kinds}, _tag long").join(maps, (F.col("_doc") == F.col("__of")) & (F.col("_tag") == F.col("__tag")), "left").select("_text", "_doc", "__drops", *others)
 
     def apply(batches):
-        for batch in batches:
+        for batch in slices(batches):
             n_lines, n_dropped, kept = [], [], []
             for text, drops in zip(batch.column(0).to_pylist(), batch.column(2).to_pylist(), strict=True):
                 if drops is None:

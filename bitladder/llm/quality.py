@@ -18,7 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import HashCache, covered
+from .common import HashCache, covered, slices
 
 SPACE = b" \t\n\r\x0b\x0c"
 #: fixed values: endings of a sentence, as UTF-8
@@ -114,7 +114,7 @@ def clean(docs: DataFrame, max_lost: float = MAX_LOST, keep: tuple[str, ...] = (
     kinds = {f.name: f.dataType.simpleString() for f in source.schema}
 
     def run(batches):
-        for batch in batches:
+        for batch in slices(batches):
             texts = batch.column(0).to_pylist()
             found = [judge(t, max_lost) for t in texts]
             cols = list(zip(*found, strict=True)) if found else [()] * 10

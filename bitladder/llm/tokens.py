@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import LONGEST, HashCache, id_and_bytes, piece_hashes, words_of
+from .common import LONGEST, HashCache, id_and_bytes, piece_hashes, slices, words_of
 
 #: a control character that stands between pieces that are tokenized together
 MARK = b"\x01"
@@ -129,7 +129,7 @@ def count_tokens(docs: DataFrame, path: str, limit: int = 2048) -> DataFrame:
     def counts(batches):
         m, cache = merger(path)
         get = cache.__getitem__
-        for batch in batches:
+        for batch in slices(batches):
             texts = batch.column(1).to_pylist()
             found = [sum(map(get, t.split())) if m.drops_space else m.count(t) for t in texts]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(t) for t in texts], pa.int64()), pa.array(found, pa.int64())], ["doc_id", "n_bytes", "n_tokens"])
