@@ -210,7 +210,7 @@ def resolver(window: int):
             new = np.ones(len(order), dtype=bool)
             for k in range(0, window, 8):
                 # the last read overlaps the one before, so that it ends with the window
-                v = words64(rows[order], c + min(k, window - 8))
+                v = words64(rows, c + min(k, window - 8))[order]
                 if k == 0:
                     new[1:] = v[1:] != v[:-1]
                 else:
