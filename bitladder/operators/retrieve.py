@@ -95,14 +95,21 @@ def block_queues(queries: DataFrame, index: DataFrame, qspec: CodeSpec, kspec: C
                 k = np.stack([batch.column(2 + c).to_numpy(zero_copy_only=False) for c in range(len(kcols))], axis=1)
                 own = batch.column(2 + len(kcols)).to_numpy(zero_copy_only=False) if exclude_self else None
                 lane = pos if lane_size is None else pos // (lane_size * lanes_per_block) * lanes_per_block + pos % lanes_per_block
+                rows = np.lexsort((pos, lane))
+                pos, norm, k, lane = pos[rows], norm[rows], k[rows], lane[rows]
+                own = None if own is None else own[rows]
+                edge = np.flatnonzero(np.concatenate([[True], lane[1:] != lane[:-1]]))
+                sizes = np.diff(np.append(edge, len(lane)))
                 for a in range(0, len(qi), 64):
                     dot = match.tile_scores(qw[a : a + 64], np.ascontiguousarray(k), qspec, kspec).astype(np.int64)
                     square = (dot * dot << shift) // np.maximum(norm, 1)[:, None]
                     key = np.where(dot < 0, -square, square)
+                    out_of = (norm <= 0)[:, None] if own is None else (norm <= 0)[:, None] | (own[:, None] == qi[None, a : a + 64])
+                    key = np.where(out_of, NOTHING, key)
+                    likely = shortlist(key, edge, sizes, N, r)
                     for j in range(key.shape[1]):
-                        use = np.ones(len(pos), bool) if own is None else own != qi[a + j]
-                        use &= norm > 0
-                        best[a + j] = queue(best[a + j], lane[use], pos[use], key[use, j], r, None if lane_size else N)
+                        use = np.flatnonzero(likely[:, j])
+                        best[a + j] = queue(best[a + j], lane[use], pos[use], key[use, j], r, N)
             for i, q in enumerate(qi.tolist()):
                 if best[i] is None:
                     continue
@@ -114,6 +121,22 @@ def block_queues(queries: DataFrame, index: DataFrame, qspec: CodeSpec, kspec: C
     return out if out is not None else spark.createDataFrame([], "query_id long, lane long, pos long, rank_key long")
 
 
+#: the key of a keyword that takes no part
+NOTHING = np.iinfo(np.int64).min
+
+
+def shortlist(key: np.ndarray, edge: np.ndarray, sizes: np.ndarray, N: int, r: int) -> np.ndarray:
+    """Which entries of a tile (rows sorted by lane) can still be among the N best of a queue.
+
+    A lane's best must reach the N-th best over the lanes.  What is below it never
+    returns: later entries of its lane that are worse are below it too.
+    """
+    best = np.maximum.reduceat(key, edge, axis=0)
+    least = np.partition(best, len(best) - N, axis=0)[len(best) - N] if len(best) > N else np.full(key.shape[1], NOTHING)
+    likely = (key >= least[None, :]) & (key > NOTHING)
+    return likely & (key == np.repeat(best, sizes, axis=0)) if r == 1 else likely
+
+
 def queue(have, lane, pos, key, r: int, N: int | None, final: bool = False):
     """Queues after new entries: ``r`` best per lane; and the ``N`` best of all, if given."""
     if have is not None:
