@@ -59,7 +59,30 @@ def matrices(batch: pa.RecordBatch):
     ends = np.cumsum(sizes)
     for d in np.unique(sizes).tolist():
         rows = np.flatnonzero(sizes == d)
-        yield ids[rows], values[(ends[rows] - d)[:, None] + np.arange(d)]
+        yield distinct_rows(ids[rows], values[(ends[rows] - d)[:, None] + np.arange(d)])
+
+
+def distinct_rows(ids: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Each (id, vector) once, in the order of its first row."""
+    _, number, count = np.unique(ids, return_inverse=True, return_counts=True)
+    seen, keep = set(), np.ones(len(ids), bool)
+    for i in np.flatnonzero(count[number] > 1).tolist():
+        row = (int(ids[i]), (x[i] + 0.0).tobytes())  # -0.0 is 0.0
+        keep[i] = row not in seen
+        seen.add(row)
+    return ids[keep], x[keep]
+
+
+def best_pairs(ids: np.ndarray, scores: np.ndarray, n: int) -> tuple[list, list]:
+    """The n best different (id, score) pairs: largest score, then smaller id."""
+    if scores.dtype == object:
+        pairs = sorted(set(zip((-scores).tolist(), ids.tolist(), strict=True)))[:n]
+        return [i for _, i in pairs], [-s for s, _ in pairs]
+    order = np.lexsort((ids, -scores))
+    ids, scores = ids[order], scores[order]
+    new = np.ones(len(ids), bool)
+    new[1:] = (ids[1:] != ids[:-1]) | (scores[1:] != scores[:-1])
+    return ids[new][:n], scores[new][:n]
 
 
 def small(x: np.ndarray, q: np.ndarray) -> bool:
@@ -146,11 +169,10 @@ def wave(candidates: DataFrame, ids: np.ndarray, q: np.ndarray, k: int, lists: i
                 r = np.flatnonzero(collected[:, j])
                 exact = sum(p[r, j] for p in partial)
                 good = (exact >= c[j]).astype(bool)
-                r, exact = r[good], exact[good]
-                if len(r) > 8 * k:  # only the k best of a partition can be among the k best
-                    first = np.lexsort((rows[r], -exact)) if exact.dtype != object else sorted(range(len(r)), key=lambda n: (-exact[n], rows[r[n]]))
-                    r, exact = r[first[: 2 * k]], exact[first[: 2 * k]]
-                best.add(int(qi[j]), rows[r], exact)
+                found, exact = rows[r[good]], exact[good]
+                if len(found) > 8 * k:  # only the k best of a partition can be among the k best
+                    found, exact = best_pairs(found, exact, k)
+                best.add(int(qi[j]), found, exact)
         yield best.batch()
 
     found = candidates.mapInArrow(sufficient, FOUND).distinct()

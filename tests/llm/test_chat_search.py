@@ -57,6 +57,19 @@ def test_top_k(spark, lists):
     assert search.top_k(df.where("false"), df.where("false")).count() == 0
 
 
+def test_top_k_of_repeated_rows(spark):
+    """Copies of one row, and one id with many vectors of equal score, hold one place."""
+    rng = np.random.default_rng(6)
+    rows = [(i, rng.integers(-8, 8, 6).astype(float).tolist()) for i in range(1, 205)] + [(0, [1.0, 0.0, 0.0, 0.0, 0.0, 0.0])]
+    for id_, many in ((500, [[90.0] + [0.0] * 5] * 50), (500, [[90.0, float(i), 0.0, 0.0, 0.0, 0.0] for i in range(60)])):
+        both = [*rows, *((id_, v) for v in many)]
+        for scale in (1.0, 1e5):
+            df = spark.createDataFrame([(i, [x * scale for x in v]) for i, v in both], "vec_id long, embedding array<double>").coalesce(1)
+            got = {(r["rank"], r["vec_id"], r["score"]) for r in search.top_k(df, df.where("vec_id = 0"), 5).collect()}
+            scores = sorted({(-int(65536 * scale * scale) * int(v[0]), i) for i, v in both if i})[:5]
+            assert got == {(n + 1, i, -s) for n, (s, i) in enumerate(scores)}
+
+
 def test_queries_equal_their_sql(spark, sf):
     con = duckdb.connect()
     for t in ("documents", "conversations", "embeddings"):
