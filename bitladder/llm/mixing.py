@@ -5,12 +5,15 @@ deadline ceil(i/w) in slots of one block.  Earliest deadline first among release
 blocks puts each block in its window, so after any number of slots a source is
 less than one block away from its share.
 
-Weights are rounded to parts of ``resolution`` slots; the schedule then repeats
-with that period, so the driver simulates one period for each set of sources that
-still have blocks (a phase) and never more: a block's slot is the phase's start,
-plus its whole periods, plus its place in the template.  When a source runs dry a
-new phase begins and the others share its weight.  No document is dropped or
-repeated.
+Weights are exact: a float is a whole number over a power of two, so windows are
+computed in integers of any size and nothing drifts, however long the schedule.
+(Only with ``resolution`` given are the weights first rounded to so many parts.)
+The driver runs through the slots once, with one block a source in its heaps, and
+writes them to the shared folder in runs of ``RUN`` slots: its memory is bounded by
+the sources, its time grows with the slots.  When a source runs dry a new phase
+begins and the others share its weight; sources that have had no block in a phase
+wait in one order for all phases, so a phase costs what it schedules.  No document
+is dropped or repeated.
 
 Position within a source comes from a range partitioning by (source, order),
 numbered per partition, with one offset per partition and source; a source that
@@ -25,18 +28,21 @@ any order; equal rows keep one number each.
 from __future__ import annotations
 
 import heapq
+import uuid
 from fractions import Fraction
+from itertools import islice
 
-import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import shared_dir, written
 
-RESOLUTION = 4096
 MAX_SOURCES = 4096
+#: slots that the driver holds before it writes them
+RUN = 1 << 18
+LAST = 2**63 - 1
 
 
 def quantised(weights: list[float], resolution: int) -> list[int]:
@@ -72,26 +78,68 @@ def period_schedule(parts: list[int], length: int) -> list[int]:
     return out
 
 
-def phases(blocks: list[int], weights: list[float], resolution: int = RESOLUTION) -> list[dict]:
-    """The phases: sources, template, first slot and each source's first block."""
-    done, slot, out = [0] * len(blocks), 0, []
-    while any(d < b for d, b in zip(done, blocks, strict=True)):
-        live = [i for i, b in enumerate(blocks) if done[i] < b]
-        parts = quantised([weights[i] for i in live], max(resolution, 2 * len(live)))
-        length = sum(parts)
-        template = np.array(period_schedule(parts, length))
-        places = [np.flatnonzero(template == j) for j in range(len(live))]
-        # the slot at which the first source would lack a block
-        ends = []
-        for j, i in enumerate(live):
-            left = blocks[i] - done[i]
-            ends.append((left - 1) // parts[j] * length + int(places[j][(left - 1) % parts[j]]) + 1)
-        span = min(ends)
-        out.append({"slot": slot, "length": length, "span": span, "live": live, "parts": parts, "places": places, "first": [done[i] for i in live]})
-        for j, i in enumerate(live):
-            done[i] += span // length * parts[j] + int(np.searchsorted(places[j], span % length))
-        slot += span
-    return out
+def whole_parts(weights: list[float]) -> list[int]:
+    """Whole numbers in exactly the proportion of the weights."""
+    exact = [Fraction(w) for w in weights]
+    scale = max((x.denominator for x in exact), default=1)  # all are powers of two
+    return [int(x * scale) for x in exact]
+
+
+def slots(blocks: list[int], parts: list[int]):
+    """(source, block, phase, slot, release, deadline) of every block, by slot.
+
+    Source i has ``blocks[i]`` blocks and the share of ``parts[i]`` in the parts of
+    the sources that still have blocks.
+    """
+    order = sorted((i for i, b in enumerate(blocks) if b), key=lambda i: (-parts[i], i))
+    share, left = [parts[i] for i in order], [blocks[i] for i in order]
+    done = [0] * len(order)
+    after, before = list(range(1, len(order) + 1)), list(range(-1, len(order) - 1))  # live sources
+    head, live, phase, begin = 0, sum(share), 0, 0
+    while head < len(order):
+        waiting: list[tuple[int, int, int, int]] = []  # release, deadline, source, block of this phase
+        ready: list[tuple[int, int, int, int]] = []  # deadline, source, block of this phase, release
+        fresh, at = head, 0  # from ``fresh`` on no source has had a block in this phase
+        while True:
+            while waiting and waiting[0][0] <= at:
+                release, deadline, s, n = heapq.heappop(waiting)
+                heapq.heappush(ready, (deadline, s, n, release))
+            first = (-(-live // share[fresh]), fresh) if fresh < len(order) else None
+            if first is not None and (not ready or first < ready[0][:2]):
+                (deadline, s), n, release = first, 1, 0
+                fresh = after[fresh]
+            else:
+                deadline, s, n, release = heapq.heappop(ready)
+            yield order[s], done[s], phase, begin + at, min(begin + release, LAST), min(begin + deadline, LAST)
+            done[s] += 1
+            at += 1
+            if done[s] == left[s]:
+                break
+            heapq.heappush(waiting, (n * live // share[s], -(-(n + 1) * live // share[s]), s, n + 1))
+        live -= share[s]
+        if before[s] >= 0:
+            after[before[s]] = after[s]
+        else:
+            head = after[s]
+        if after[s] < len(order):
+            before[after[s]] = before[s]
+        phase, begin = phase + 1, begin + at
+
+
+SLOTS = "s int, block long, phase int, slot long, release long, deadline long"
+
+
+def slot_table(spark, blocks: list[int], parts: list[int]) -> DataFrame:
+    """``slots`` as a table in the shared folder."""
+    path = f"{shared_dir(spark).rstrip('/')}/bitladder-{uuid.uuid4().hex}/slots"
+    kinds, names = [pa.int32(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()], [x.split()[0] for x in SLOTS.split(", ")]
+    source, rows = slots(blocks, parts), None
+    while rows is None or len(rows) == RUN:
+        rows = list(islice(source, RUN))
+        cols = list(zip(*rows, strict=True)) if rows else [()] * len(kinds)
+        run = pa.table([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=names)
+        spark.createDataFrame(run, SLOTS).write.mode("append").parquet(path)
+    return spark.read.schema(SLOTS).parquet(path)
 
 
 def numbered(docs: DataFrame, order: str) -> DataFrame:
@@ -111,7 +159,7 @@ def numbered(docs: DataFrame, order: str) -> DataFrame:
     return written(rows.mapInArrow(count, "source string, doc_id long, at long, part int"), "numbered")
 
 
-def schedule(docs: DataFrame, weights: dict[str | None, float] | None = None, block_docs: int = 8, temper: float = 0.5, order: str = "xxhash64(doc_id)", resolution: int = RESOLUTION) -> DataFrame:
+def schedule(docs: DataFrame, weights: dict[str | None, float] | None = None, block_docs: int = 8, temper: float = 0.5, order: str = "xxhash64(doc_id)", resolution: int | None = None) -> DataFrame:
     """source, doc_id, seq, block, phase, slot, release, deadline, position.
 
     ``position`` orders the mixture.  Without ``weights`` a source's weight is its
@@ -134,39 +182,17 @@ def schedule(docs: DataFrame, weights: dict[str | None, float] | None = None, bl
         open_rows = sum(total[s] for s in names if s not in weights)
         left = max(0.0, 1.0 - given) or 1e-6
         shares = [max(weights[s], 1e-9) if s in weights else left * total[s] / open_rows for s in names]
-    plan = phases([-(-total[s] // block_docs) for s in names], shares, resolution)
+    parts = whole_parts(shares) if resolution is None or not shares else quantised(shares, max(resolution, 2 * len(shares)))
     index = {s: k for k, s in enumerate(names)}
     spread = [(s, p, o, index[s]) for s, p, o in offsets]
-    where, template = [], []
-    for k, ph in enumerate(plan):
-        for j, i in enumerate(ph["live"]):
-            until = ph["first"][j] + ph["span"] // ph["length"] * ph["parts"][j] + int(np.searchsorted(ph["places"][j], ph["span"] % ph["length"]))
-            where.append((i, k, ph["first"][j], until, ph["slot"], ph["length"], ph["parts"][j]))
-            template.append((i, k, [int(x) for x in ph["places"][j]]))
     offset_df = spark.createDataFrame(spread, "source string, part int, offset long, s int") if spread else spark.createDataFrame([], "source string, part int, offset long, s int")
-    where_df = spark.createDataFrame(where, "s int, phase int, first long, until long, slot0 long, length long, parts long")
-    template_df = spark.createDataFrame(template, "s int, phase int, places array<int>")
     joined = (
         rows.join(F.broadcast(offset_df.withColumnRenamed("source", "o_source").withColumnRenamed("part", "o_part")), F.col("source").eqNullSafe(F.col("o_source")) & (F.col("part") == F.col("o_part")))
         .withColumn("seq", F.col("at") + F.col("offset"))
-        .withColumn("block", F.floor(F.col("seq") / F.lit(block_docs)).cast("long"))
-    )
-    # at most sources * phases rows, and a template is ``resolution`` numbers a phase
-    phase_df = where_df.join(template_df, ["s", "phase"])
-    placed = joined.join(F.broadcast(phase_df), (joined["s"] == phase_df["s"]) & (F.col("block") >= F.col("first")) & (F.col("block") < F.col("until")))
-    rel = F.col("block") - F.col("first")
-    slot = (F.col("slot0") + F.floor(rel / F.col("parts")) * F.col("length") + F.get("places", F.pmod(rel, F.col("parts")).cast("int"))).cast("long")
-    return placed.select(
-        "source",
-        "doc_id",
-        "seq",
-        "block",
-        "phase",
-        slot.alias("slot"),
-        (F.col("slot0") + F.floor(rel * F.col("length") / F.col("parts"))).cast("long").alias("release"),
-        (F.col("slot0") + F.ceil((rel + 1) * F.col("length") / F.col("parts"))).cast("long").alias("deadline"),
-        (slot * F.lit(block_docs) + F.col("seq") % F.lit(block_docs)).cast("long").alias("position"),
+        .withColumn("block", F.expr(f"seq div {block_docs}"))
     )
+    placed = joined.join(slot_table(spark, [-(-total[s] // block_docs) for s in names], parts), ["s", "block"])
+    return placed.select("source", "doc_id", "seq", "block", "phase", "slot", "release", "deadline", (F.col("slot") * F.lit(block_docs) + F.col("seq") % F.lit(block_docs)).cast("long").alias("position"))
 
 
 def lag_bound(sequence: list[int], shares: list[Fraction]) -> Fraction:

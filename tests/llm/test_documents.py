@@ -313,6 +313,40 @@ def test_schedule_is_fair():
         assert mixing.lag_bound(seq * 2, [Fraction(p, length) for p in parts]) < 1
 
 
+def test_long_schedules_keep_their_exact_targets():
+    """Against the weights as given, which no short period holds."""
+    from fractions import Fraction
+
+    for weights, blocks in (([n**0.5 for n in range(1, 21)], [4000 + 40 * n for n in range(20)]), ([1e-5, 0.3, 0.69999], [2, 9000, 21000])):
+        parts = mixing.whole_parts(weights)
+        assert all(p * Fraction(weights[0]) == parts[0] * Fraction(w) for p, w in zip(parts, weights, strict=True))
+        got = list(mixing.slots(blocks, parts))
+        assert [x[3] for x in got] == list(range(sum(blocks)))
+        assert all(release <= slot < deadline for _, _, _, slot, release, deadline in got)
+        assert collections.Counter(x[0] for x in got) == collections.Counter(dict(enumerate(blocks)))
+        done, have, start, live, phase = [0] * len(blocks), [0] * len(blocks), 0, sum(parts), 0
+        for s, block, ph, slot, _, _ in got:
+            if ph != phase:
+                phase, start, have = ph, slot, [0] * len(blocks)
+                live = sum(p for p, d, b in zip(parts, done, blocks, strict=True) if d < b)
+            assert block == done[s]
+            done[s] += 1
+            have[s] += 1
+            t = slot + 1 - start
+            assert all(abs(h * live - p * t) < live for h, p, d, b in zip(have, parts, done, blocks, strict=True) if d < b or h)
+
+
+def test_mixing_keeps_targets_over_many_blocks(spark):
+    d = spark.range(60000).select(F.concat(F.lit("s"), F.col("id") % 3).alias("source"), F.col("id").alias("doc_id"))
+    target = {"s0": 0.33321, "s1": 0.33337, "s2": 0.33342}  # less than a 4096th apart
+    out = mixing.schedule(d, weights=target, block_docs=1).where("phase = 0").select("source", "slot").orderBy("slot").collect()
+    names = sorted(target)
+    whole = mixing.whole_parts([target[s] for s in names])
+    from fractions import Fraction
+
+    assert len(out) > 50000 and mixing.lag_bound([names.index(r["source"]) for r in out], [Fraction(p, sum(whole)) for p in whole]) < 1
+
+
 def test_mixing(docs, spark):
     rows = [(f"s{i % 7 % 3}", i) for i in range(400)] + [(None, 1000), (None, 1000)]
     d = spark.createDataFrame(rows, "source string, doc_id long").withColumn("text", F.lit("t"))
