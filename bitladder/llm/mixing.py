@@ -39,7 +39,6 @@ from pyspark.sql import functions as F
 
 from .common import shared_dir, written
 
-MAX_SOURCES = 4096
 #: slots that the driver holds before it writes them
 RUN = 1 << 18
 LAST = 2**63 - 1
@@ -169,8 +168,6 @@ def schedule(docs: DataFrame, weights: dict[str | None, float] | None = None, bl
     rows = numbered(docs, order)
     # partitions and sources: a row for each pair that occurs, at most partitions + sources
     counts = rows.groupBy("source", "part").agg((F.max("at") + 1).alias("n")).collect()
-    if len({r["source"] for r in counts}) > MAX_SOURCES:
-        raise ValueError(f"more than {MAX_SOURCES} sources")
     offsets, total = [], {}
     for r in sorted(counts, key=lambda r: (r["source"] is not None, r["source"] or "", r["part"])):
         offsets.append((r["source"], r["part"], total.get(r["source"], 0)))

@@ -347,6 +347,14 @@ def test_mixing_keeps_targets_over_many_blocks(spark):
     assert len(out) > 50000 and mixing.lag_bound([names.index(r["source"]) for r in out], [Fraction(p, sum(whole)) for p in whole]) < 1
 
 
+def test_mixing_of_more_than_4096_sources(spark):
+    d = spark.range(12000).select(F.concat(F.lit("host"), F.col("id") % 5000).alias("source"), F.col("id").alias("doc_id"))
+    out = mixing.schedule(d, block_docs=2).collect()
+    assert sorted(r["doc_id"] for r in out) == list(range(12000)) and len({r["position"] for r in out}) == 12000
+    assert sorted({(r["slot"], r["source"], r["block"]) for r in out}) == sorted((n, s, b) for n, (s, b) in enumerate(x[1:] for x in sorted({(r["slot"], r["source"], r["block"]) for r in out})))
+    assert all(r["release"] <= r["slot"] < r["deadline"] for r in out)
+
+
 def test_mixing(docs, spark):
     rows = [(f"s{i % 7 % 3}", i) for i in range(400)] + [(None, 1000), (None, 1000)]
     d = spark.createDataFrame(rows, "source string, doc_id long").withColumn("text", F.lit("t"))
