@@ -23,7 +23,11 @@ still counts.
    blocks, and each pair of blocks is a task's work of bounded size.  So a link is
    lost only where no band ever tied its two texts into one group.
 
-The class is the smallest doc_id of the component.  Null, empty or wordless texts
+A row without doc_id is known by a hash of its text, so that each different text
+is a document of its own; two such rows of one text are two equal documents.
+
+The class is the smallest doc_id of the component, null where that is a row
+without doc_id (they come first).  Null, empty or wordless texts
 are alone.  Under five words the whole text is the one shingle.  Rows that repeat
 a doc_id count as one document; with different texts in different chunks, one of
 the texts stands for it.
@@ -150,11 +154,33 @@ def signatures(key, weight, heads) -> np.ndarray:
     return np.stack(out, axis=1)
 
 
+#: a text with words
+WORDED = "[^ \\t\\n\\r\\x0B\\f]"
+
+
+def text_key():
+    """Of a row without doc_id: 62 bits of its text's hash, placed before other ids."""
+    return F.shiftrightunsigned(F.xxhash64(F.coalesce(F.col("text").cast("binary"), F.lit(b""))), 2) + F.lit(NULL_ID)
+
+
+def doc_key():
+    """What a row counts as: its doc_id or, without one, its text."""
+    return F.coalesce(F.col("doc_id").cast("long"), text_key())
+
+
+def unnamed(docs: DataFrame) -> DataFrame:
+    """doc, copies and whether there are words, of the rows without doc_id."""
+    rows = docs.where(F.col("doc_id").isNull()).select(text_key().alias("doc"), F.coalesce(F.col("text").cast("string").rlike(WORDED), F.lit(False)).alias("worded"))
+    return rows.groupBy("doc", "worded").agg(F.count("*").alias("copies"))
+
+
 def vectors(docs: DataFrame, words: int, threshold: float) -> DataFrame:
     """doc, key, tf and idf bytes, a hash of them, and band hashes, of documents that may have partners."""
-    chunks = chunk_table(docs)
+    chunks = chunk_table(docs.select(doc_key().alias("doc_id"), "text"))
     bits = bucket_bits(chunks, 1.6)
-    n_rows, n_docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)).alias("doc")).agg(F.count("*"), F.count_distinct("doc")).first()
+    n_rows, n_docs = docs.where(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc")).agg(F.count("*"), F.count_distinct("doc")).first()
+    more_rows, more_docs = unnamed(docs).agg(F.coalesce(F.sum("copies"), F.lit(0)), F.count("*")).first()
+    n_rows, n_docs = n_rows + more_rows, n_docs + more_docs
     scale = np.log(1.0 + max(n_docs, 1))
 
     def ask(batches):
@@ -314,8 +340,8 @@ def candidate_groups(reps: DataFrame) -> DataFrame:
     return written(found.unionByName(found.select(F.col("class").alias("doc"), "class")).distinct(), "groups")
 
 
-def near_duplicates(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD) -> DataFrame:
-    """doc_id, class_id and in_class (whether another document shares the class)."""
+def document_classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD) -> DataFrame:
+    """doc (as ``doc_key``) and class, of documents that share a class with another key."""
     store = vectors(docs, words, threshold)
     first = store.groupBy("same").agg(F.min("doc").alias("rep"))
     copies = written(store.select("doc", "same").join(first, "same").select("rep", "doc"), "copies")
@@ -331,7 +357,17 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, threshold: float = THRE
     links = written(verified(work, threshold), "links")
     same = copies.where("rep <> doc").select(F.col("rep").alias("a"), F.col("doc").alias("b"))
     found = components(links.unionByName(same))
-    ids = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)).alias("doc"))
-    classes = written(found.unionByName(found.select(F.col("class").alias("doc"), "class")).distinct(), "classes")
-    out = ids.join(classes, "doc", "left").withColumn("c", F.coalesce("class", "doc"))
-    return out.select("doc_id", F.when(F.col("c") != NULL_ID, F.col("c")).alias("class_id"), F.col("class").isNotNull().alias("in_class"))
+    return written(found.unionByName(found.select(F.col("class").alias("doc"), "class")).distinct(), "classes")
+
+
+def near_duplicates(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD) -> DataFrame:
+    """doc_id, class_id and in_class (whether another document shares the class)."""
+    classes = document_classes(docs, words, threshold)
+    nulls = written(unnamed(docs), "unnamed")
+    named = docs.where(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("doc_id").cast("long").alias("doc"), F.lit(False).alias("again"))
+    again = nulls.where(F.col("worded") & (F.col("copies") > 1)).select("doc", F.lit(True).alias("again"))
+    rest = docs.where(F.col("doc_id").isNull()).select(F.lit(None).cast("long").alias("doc_id"), text_key().alias("doc")).join(again, "doc", "left").select("doc_id", "doc", F.coalesce("again", F.lit(False)).alias("again"))
+    out = named.unionByName(rest).join(classes, "doc", "left")
+    of_null = nulls.select(F.col("doc").alias("class")).distinct().withColumn("nameless", F.lit(True))
+    out = out.withColumn("in_class", F.col("class").isNotNull() | F.col("again")).withColumn("class", F.coalesce("class", "doc")).join(of_null, "class", "left")
+    return out.select("doc_id", F.when(F.col("nameless").isNull(), F.col("class")).alias("class_id"), "in_class")

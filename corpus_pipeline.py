@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from bitladder.llm import lines, mixing, near, packing, quality
-from bitladder.llm.common import NULL_ID, written
+from bitladder.llm.common import written
 from bitladder.llm.queries import vocabulary
 
 #: fixed values: the columns of ``documents``
@@ -42,10 +42,15 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of a group the smallest doc_id stays; rows that repeat it stay with it."""
-    classes = near.near_duplicates(docs)
-    gone = classes.where("in_class and doc_id <> class_id").select(F.coalesce("doc_id", F.lit(NULL_ID)).alias("_gone")).distinct()
-    return docs.select(*COLUMNS).join(gone, F.coalesce(F.col("doc_id"), F.lit(NULL_ID)) == F.col("_gone"), "left_anti")
+    """Of a group the smallest doc_id stays; rows that repeat it stay with it.
+
+    Rows without doc_id come before others; of several with one text one stays.
+    """
+    gone = near.document_classes(docs).where("doc <> class").select(F.col("doc").alias("_gone"))
+    rest = docs.select(*COLUMNS, near.doc_key().alias("_doc")).join(gone, F.col("_doc") == F.col("_gone"), "left_anti")
+    unnamed = F.col("doc_id").isNull() & F.coalesce(F.col("text").rlike(near.WORDED), F.lit(False))
+    one = rest.where(unnamed).groupBy("_doc").agg(F.min(F.struct(*COLUMNS)).alias("row")).select("row.*")
+    return rest.where(~unnamed).select(*COLUMNS).unionByName(one)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

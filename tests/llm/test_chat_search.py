@@ -127,3 +127,20 @@ def test_pipeline_brute_force(spark, sf):
     three = corpus_pipeline.near_dedup(spark, two, sf)
     classes = brute_classes(sorted(got.items()))
     assert {r["doc_id"] for r in three.collect()} == {i for i, c in classes.items() if i == c}
+
+
+def test_near_stage_of_rows_without_id(spark):
+    import corpus_pipeline
+    from bitladder.llm import near
+
+    a, b, c, d = (" ".join(f"{x}{i}" for i in range(60)) for x in "abcd")
+    texts = [(None, a), (5, a), (6, a + " end"), (None, b), (7, b), (None, c), (None, c), (None, c + " end"), (8, d), (None, ""), (None, ""), (9, None)]
+    df = spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in texts], "doc_id long, text string, lang string, source string, n_chars long").repartition(3)
+    kept = [(r["doc_id"], r["text"]) for r in corpus_pipeline.near_dedup(spark, df, "").collect()]
+    third = [x for x in kept if x[1] and x[1].startswith("c")]
+    assert len(third) == 1 and third[0][1] in (c, c + " end")
+    kept.remove(third[0])
+    assert sorted(kept, key=repr) == sorted([(None, a), (None, b), (8, d), (None, ""), (None, ""), (9, None)], key=repr)
+    got = sorted(((r["doc_id"], r["class_id"], r["in_class"]) for r in near.near_duplicates(df).collect()), key=repr)
+    want = [(None, None, True)] * 5 + [(i, None, True) for i in (5, 6, 7)] + [(None, None, False)] * 2 + [(8, 8, False), (9, 9, False)]
+    assert got == sorted(want, key=repr)
