@@ -304,7 +304,7 @@ def verified(groups: DataFrame, threshold: float) -> DataFrame:
     return groups.groupBy("g").applyInArrow(compare, "a long, b long")
 
 
-def components(links: DataFrame, rounds: int = 30) -> DataFrame:
+def components(links: DataFrame) -> DataFrame:
     """doc, class: the smallest doc that links reach, by large-star and small-star steps.
 
     Each step is written to the shared folder; steps end when nothing changes.
@@ -321,13 +321,10 @@ def components(links: DataFrame, rounds: int = 30) -> DataFrame:
         return joined.select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(joined.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
 
     edges = written(links.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
-    before = None
-    for _ in range(rounds):
+    before, mark = None, ()
+    while mark != before:
         edges = written(star(star(edges, True), False), "edges")
-        mark = tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
-        if mark == before:
-            break
-        before = mark
+        before, mark = mark, tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
     return edges.groupBy("a").agg(F.min("b").alias("class")).select(F.col("a").alias("doc"), "class")
 
 

@@ -270,6 +270,20 @@ def test_near_duplicates_in_a_group_of_several_blocks(spark, monkeypatch):
     assert got == brute_classes(rows)
 
 
+def test_components_go_on_until_nothing_changes(spark, monkeypatch):
+    """Steps that are held back for more than 30 rounds."""
+    real, calls = near.written, []
+    held = [spark.createDataFrame(e, "a long, b long").coalesce(1) for e in ([(1, 0), (2, 1), (3, 2)], [(1, 0), (2, 1), (3, 1)])]
+
+    def slow(df, name):
+        calls.append(name)
+        return held[len(calls) % 2] if len(calls) <= 34 else real(df, name)
+
+    monkeypatch.setattr(near, "written", slow)
+    assert {(r["doc"], r["class"]) for r in near.components(held[0]).collect()} == {(1, 0), (2, 0), (3, 0)}
+    assert len(calls) > 34
+
+
 def test_similar_pairs_counts_repeats():
     def vec(counts):
         keys = np.array(sorted(counts), np.uint64)
