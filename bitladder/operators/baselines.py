@@ -11,7 +11,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import words
-from .ladder import LadderParams, hadamard, init_orthogonal
+from .ladder import LadderParams, hadamard, init_orthogonal, matrix
+from .match import checked_broadcast, local_waves, wave_by_wave
 
 
 def ranked(scored: DataFrame, N: int | None) -> DataFrame:
@@ -23,8 +24,6 @@ def ranked(scored: DataFrame, N: int | None) -> DataFrame:
 
 def float_cosine_sql(queries: DataFrame, keywords: DataFrame, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
     """Cosine of every pair by expressions; for sizes at which queries are broadcast."""
-    from .match import checked_broadcast
-
     def dot(a, b):
         return F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, v: s + v)
 
@@ -34,70 +33,80 @@ def float_cosine_sql(queries: DataFrame, keywords: DataFrame, key: str = "vec_id
     return k.crossJoin(checked_broadcast(q)).select("query_id", "keyword_id", (dot(F.col("qv"), F.col("kv")) / F.when(norm > 0, norm)).alias("score"))
 
 
+def usable(df: DataFrame, key: str, vector: str, as_key: str) -> DataFrame:
+    """``as_key`` and ``v`` of the vectors without null components."""
+    kept = df.where(F.col(vector).isNotNull() & F.forall(vector, lambda x: x.isNotNull()))
+    return kept.select(F.col(key).cast("long").alias(as_key), F.col(vector).cast("array<double>").alias("v"))
+
+
 def float_cosine(queries: DataFrame, keywords: DataFrame, N: int | None = None, key: str = "vec_id", vector: str = "embedding", exclude_self: bool = False, wave_rows: int = 4096) -> DataFrame:
     """Full-precision cosine of every pair, block products in waves of queries.
 
     With ``N`` each partition sends its best N of a query; else all pairs leave.
+    Vectors with null components take no part; unequal lengths are an error.  A
+    zero vector has no cosine: its score is null and it is not ranked.
     """
     spark = keywords.sparkSession
-    source = keywords.where(F.col(vector).isNotNull()).select(F.col(key).cast("long").alias("keyword_id"), F.col(vector).cast("array<double>").alias("v"))
+    source = usable(keywords, key, vector, "keyword_id")
+    schema, names = "query_id long, keyword_id long, score double", ["query_id", "keyword_id", "score"]
 
     def unit(x):
         n = np.linalg.norm(x, axis=1, keepdims=True)
         return np.divide(x, n, out=np.full_like(x, np.nan), where=n > 0)
 
     def wave(rows):
+        if len({len(r[1]) for r in rows}) > 1:
+            raise ValueError("query vectors of unequal lengths")
         ids, q = np.array([r[0] for r in rows], np.int64), unit(np.array([r[1] for r in rows], np.float64))
         sent = spark.sparkContext.broadcast((ids, q))
 
         def run(batches):
             qi, qv = sent.value
-            best: list = [None] * len(qi)
+            best: list = [(np.empty(0, np.int64), np.empty(0))] * len(qi)
             for batch in batches:
                 for a in range(0, batch.num_rows, 4096):
                     part = batch.slice(a, 4096)
                     k = part.column(0).to_numpy(zero_copy_only=False)
-                    s = unit(part.column(1).flatten().to_numpy(zero_copy_only=False).reshape(len(k), -1)) @ qv.T
-                    for j, i in enumerate(qi.tolist()):
-                        kk, ss = k, s[:, j]
-                        if exclude_self:
-                            kk, ss = kk[kk != i], ss[k != i]
+                    x = unit(matrix(part.column(1), qv.shape[1]))
+                    for b in range(0, len(qi), 256):
+                        s, mine = x @ qv[b : b + 256].T, qi[b : b + 256]
                         if N is None:
-                            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(kk), i)), pa.array(kk), pa.array(ss, from_pandas=True)], ["query_id", "keyword_id", "score"])
+                            keep = (k[:, None] != mine[None, :]) if exclude_self else np.ones(s.shape, bool)
+                            row, col = np.nonzero(keep)
+                            yield pa.RecordBatch.from_arrays([pa.array(mine[col]), pa.array(k[row]), pa.array(s[row, col], from_pandas=True)], names)
                             continue
-                        if best[j] is not None:
-                            kk, ss = np.concatenate([best[j][0], kk]), np.concatenate([best[j][1], ss])
-                        top = np.lexsort((kk, -ss))[:N]
-                        best[j] = kk[top], ss[top]
+                        s = np.where(np.isnan(s), -np.inf, s)
+                        if exclude_self:
+                            s[k[:, None] == mine[None, :]] = -np.inf
+                        least = np.partition(s, len(k) - N, axis=0)[len(k) - N] if len(k) > N else np.full(len(mine), -np.inf)
+                        for j in range(len(mine)):
+                            use = np.flatnonzero((s[:, j] >= least[j]) & (s[:, j] > -np.inf))
+                            kk, ss = np.concatenate([best[b + j][0], k[use]]), np.concatenate([best[b + j][1], s[use, j]])
+                            top = np.lexsort((kk, -ss))[:N]
+                            best[b + j] = kk[top], ss[top]
             if N is not None:
-                for j, b in enumerate(best):
-                    if b is not None:
-                        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(b[0]), qi[j])), pa.array(b[0]), pa.array(b[1], from_pandas=True)], ["query_id", "keyword_id", "score"])
-
-        return source.mapInArrow(run, "query_id long, keyword_id long, score double")
-
-    out, rows = None, []
-    for r in queries.where(F.col(vector).isNotNull()).select(F.col(key).cast("long"), F.col(vector).cast("array<double>")).toLocalIterator():
-        rows.append(r)
-        if len(rows) == wave_rows:
-            out, rows = wave(rows) if out is None else out.unionByName(wave(rows)), []
-    if rows:
-        out = wave(rows) if out is None else out.unionByName(wave(rows))
-    if out is None:
-        out = spark.createDataFrame([], "query_id long, keyword_id long, score double")
+                sizes = [len(x[0]) for x in best]
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(qi, sizes)), pa.array(np.concatenate([x[0] for x in best])), pa.array(np.concatenate([x[1] for x in best]))], names)
+
+        return source.mapInArrow(run, schema), sent
+
+    out = wave_by_wave(spark, local_waves(usable(queries, key, vector, "query_id"), wave_rows), wave, schema)
     return ranked(out, N)
 
 
 def sign_code(n: int, m: int = 64, seed: int = 7) -> LadderParams:
-    """One plane of ``n`` signs: Hadamard for n = m, stacked orthogonal blocks beyond."""
-    if n == m and n & (n - 1) == 0:
-        return LadderParams(hadamard(n), [], [])
+    """One plane of ``n`` signs: Hadamard rows, for n = 2 m also with columns flipped by a bent
+    sequence (as far from the first rows as can be); else stacked orthogonal blocks."""
+    if m & (m - 1) == 0 and n in (m, 2 * m):
+        h, flip = hadamard(m), np.array([(-1.0) ** (j & (j >> 1)).bit_count() for j in range(m)])
+        return LadderParams(np.concatenate([h, h * flip])[:n], [], [])
     return init_orthogonal(m, n, 0, seed)
 
 
 def hash_sample(df: DataFrame, key: str, per_mille: int, seed: int = 0) -> DataFrame:
-    """A reproducible share of rows by a hash of the key."""
-    return df.where(F.pmod(F.xxhash64(key, F.lit(seed)), F.lit(1000)) < per_mille)
+    """A reproducible share of rows by the MD5 of seed and key."""
+    digest = F.md5(F.concat_ws(":", F.lit(seed).cast("string"), F.col(key).cast("string")))
+    return df.where(F.conv(F.substring(digest, 1, 7), 16, 10).cast("long") % 1000 < per_mille)
 
 
 def float_bruteforce(queries: DataFrame, keywords: DataFrame, per_mille: int, N: int, key: str = "vec_id") -> DataFrame:
@@ -105,52 +114,71 @@ def float_bruteforce(queries: DataFrame, keywords: DataFrame, per_mille: int, N:
     return float_cosine(queries, hash_sample(keywords, key, per_mille), N, key)
 
 
+def checkpoint(df: DataFrame, name: str) -> DataFrame:
+    from ..sources import io
+
+    return io.checkpoint(df, name)
+
+
 def postings(texts: DataFrame, key: str, text: str = "text") -> DataFrame:
     """key, term, tf: one row for each document and distinct word."""
     return texts.select(F.col(key), F.explode(words(F.col(text))).alias("term")).groupBy(key, "term").agg(F.count("*").alias("tf"))
 
 
 def _terms(queries: DataFrame, text: str) -> DataFrame:
-    return postings(queries, "query_id", text).withColumnRenamed("tf", "qtf")
+    return checkpoint(postings(queries, "query_id", text).withColumnRenamed("tf", "qtf"), "terms")
+
+
+def _matched(keywords: DataFrame, terms: DataFrame, text: str) -> tuple[DataFrame, int, int]:
+    """Postings (keyword_id, len, term, tf, df) of the queries' terms; documents and all their words.
+
+    Words that no query asks for drop out before the first shuffle; a document's
+    length is the size of its word list, so nothing is joined for it.
+    """
+    asked = terms.select("term").distinct()
+    listed = keywords.select("keyword_id", words(F.col(text)).alias("w")).select("keyword_id", "w", F.size("w").cast("long").alias("len"))
+    count, total = listed.agg(F.count("*"), F.coalesce(F.sum("len"), F.lit(0))).first()
+    hits = listed.select("keyword_id", "len", F.explode("w").alias("term")).join(checked_broadcast(asked), "term", "left_semi")
+    post = checkpoint(hits.groupBy("keyword_id", "len", "term").agg(F.count("*").alias("tf")), "postings")
+    dfs = post.groupBy("term").agg(F.count("*").alias("df"))
+    return post.join(checked_broadcast(dfs), "term"), count, total
 
 
 def tfidf_cosine(queries: DataFrame, keywords: DataFrame, N: int | None = None, text: str = "text", idf: bool = True) -> DataFrame:
-    """Cosine of term frequency (times ln(C/df)) vectors; equi-join on terms."""
-    post = postings(keywords, "keyword_id", text)
+    """Cosine of term frequency (times ln(C/df)) vectors; equi-join on terms.
+
+    A document's norm needs all its terms, so here the whole postings are written once.
+    """
+    post = checkpoint(postings(keywords, "keyword_id", text), "postings")
     count = keywords.count()
     weight = F.log(F.lit(float(max(count, 1))) / F.col("df")) if idf else F.lit(1.0)
-    dfs = post.groupBy("term").agg(F.count("*").alias("df")).select("term", weight.alias("idf"))
-    k = post.join(dfs, "term").select("keyword_id", "term", (F.col("tf") * F.col("idf")).alias("kw"))
-    q = _terms(queries, text).join(dfs, "term").select("query_id", "term", (F.col("qtf") * F.col("idf")).alias("qw"))
+    dfs = checkpoint(post.groupBy("term").agg(F.count("*").alias("df")).select("term", weight.alias("idf")), "idf")
+    k = post.join(checked_broadcast(dfs, 1_000_000), "term").select("keyword_id", "term", (F.col("tf") * F.col("idf")).alias("kw"))
+    q = checkpoint(_terms(queries, text).join(dfs, "term").select("query_id", "term", (F.col("qtf") * F.col("idf")).alias("qw")), "weights")
     kn = k.groupBy("keyword_id").agg(F.sqrt(F.sum(F.col("kw") * F.col("kw"))).alias("kn"))
     qn = q.groupBy("query_id").agg(F.sqrt(F.sum(F.col("qw") * F.col("qw"))).alias("qn"))
-    dots = q.join(k, "term").groupBy("query_id", "keyword_id").agg(F.sum(F.col("qw") * F.col("kw")).alias("dot"))
-    out = dots.join(kn, "keyword_id").join(qn, "query_id").where("kn > 0 and qn > 0")
+    dots = k.join(checked_broadcast(q, 1_000_000), "term").groupBy("query_id", "keyword_id").agg(F.sum(F.col("qw") * F.col("kw")).alias("dot"))
+    out = dots.join(kn, "keyword_id").join(checked_broadcast(qn), "query_id").where("kn > 0 and qn > 0")
     return ranked(out.select("query_id", "keyword_id", (F.col("dot") / (F.col("kn") * F.col("qn"))).alias("score")), N)
 
 
 def bm25(queries: DataFrame, keywords: DataFrame, N: int | None = None, k1: float = 1.2, b: float = 0.75, text: str = "text") -> DataFrame:
     """BM25 over distinct query words."""
-    post = postings(keywords, "keyword_id", text)
-    count = keywords.count()
-    lens = post.groupBy("keyword_id").agg(F.sum("tf").alias("len"))
-    mean = lens.agg(F.sum("len")).first()[0] or 0
-    mean = mean / max(count, 1)
-    dfs = post.groupBy("term").agg(F.count("*").alias("df"))
+    terms = _terms(queries, text)
+    post, count, total = _matched(keywords, terms, text)
+    mean = total / max(count, 1) or 1.0
     idf = F.log((F.lit(count) - F.col("df") + 0.5) / (F.col("df") + 0.5) + 1.0)
-    k = post.join(lens, "keyword_id").join(dfs, "term")
-    part = idf * F.col("tf") * (k1 + 1.0) / (F.col("tf") + k1 * (1.0 - b + b * F.col("len") / F.lit(float(mean or 1.0))))
-    scored = _terms(queries, text).join(k, "term").groupBy("query_id", "keyword_id").agg(F.sum(part).alias("score"))
+    part = idf * F.col("tf") * (k1 + 1.0) / (F.col("tf") + k1 * (1.0 - b + b * F.col("len") / F.lit(float(mean))))
+    scored = post.select("keyword_id", "term", part.alias("part")).join(checked_broadcast(terms), "term").groupBy("query_id", "keyword_id").agg(F.sum("part").alias("score"))
     return ranked(scored, N)
 
 
 def bim(queries: DataFrame, keywords: DataFrame, N: int | None = None, text: str = "text") -> DataFrame:
     """Binary independence model without relevance feedback."""
-    post = postings(keywords, "keyword_id", text)
-    count = keywords.count()
-    dfs = post.groupBy("term").agg(F.count("*").alias("df"))
+    terms = _terms(queries, text)
+    post, count, _ = _matched(keywords, terms, text)
     weight = F.log((F.lit(count) - F.col("df") + 0.5) / (F.col("df") + 0.5))
-    scored = _terms(queries, text).join(post.join(dfs, "term"), "term").groupBy("query_id", "keyword_id").agg(F.sum(weight).alias("score"))
+    scored = post.select("keyword_id", "term", weight.alias("part")).join(checked_broadcast(terms), "term").groupBy("query_id", "keyword_id").agg(F.sum("part").alias("score"))
     return ranked(scored, N)
 
 
@@ -161,16 +189,30 @@ def _counts(texts: DataFrame, key: str, text: str, dims: int) -> DataFrame:
     return HashingTF(inputCol="words", outputCol="features", numFeatures=dims).transform(rows)
 
 
-def lsa(queries: DataFrame, keywords: DataFrame, k: int = 32, N: int | None = None, text: str = "text", dims: int = 512) -> DataFrame:
-    """Latent semantic ranking: principal directions of hashed counts, then cosine."""
+def principal_vectors(queries: DataFrame, keywords: DataFrame, k: int, text: str = "text", dims: int = 512) -> tuple[DataFrame, DataFrame]:
+    """vec_id, embedding of both sides: hashed counts along the keywords' principal directions.
+
+    These directions are the best weights of a linear autoencoder, so this is its code layer too.
+    """
     from pyspark.ml.feature import PCA
     from pyspark.ml.functions import vector_to_array
 
     counts = _counts(keywords, "keyword_id", text, dims)
     model = PCA(k=k, inputCol="features", outputCol="z").fit(counts)
-    kv = model.transform(counts).select(F.col("id").alias("vec_id"), vector_to_array("z").alias("embedding"))
-    qv = model.transform(_counts(queries, "query_id", text, dims)).select(F.col("id").alias("vec_id"), vector_to_array("z").alias("embedding"))
-    return float_cosine(qv, kv, N)
+    both = (_counts(queries, "query_id", text, dims), counts)
+    qv, kv = (model.transform(x).select(F.col("id").alias("vec_id"), vector_to_array("z").alias("embedding")) for x in both)
+    return qv, kv
+
+
+def unit_vectors(df: DataFrame) -> DataFrame:
+    """vec_id, embedding scaled to length one; zero vectors are left out."""
+    norm = F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda s, x: s + x * x))
+    return df.withColumn("norm", norm).where("norm > 0").select("vec_id", F.transform("embedding", lambda x: x / F.col("norm")).alias("embedding"))
+
+
+def lsa(queries: DataFrame, keywords: DataFrame, k: int = 32, N: int | None = None, text: str = "text", dims: int = 512) -> DataFrame:
+    """Latent semantic ranking: principal directions of hashed counts, then cosine."""
+    return float_cosine(*principal_vectors(queries, keywords, k, text, dims), N)
 
 
 def lda(queries: DataFrame, keywords: DataFrame, topics: int = 10, N: int | None = None, text: str = "text", dims: int = 512, iterations: int = 5) -> DataFrame:
@@ -236,7 +278,7 @@ def product_quantizer(queries: DataFrame, keywords: DataFrame, N: int, parts: in
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+            x = matrix(batch.column(1))
             back = np.concatenate([c[((x[:, p * width : (p + 1) * width][:, None] - c[None]) ** 2).sum(-1).argmin(1)] for p, c in enumerate(sent.value)], axis=1)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(list(back), pa.list_(pa.float64()))], ["vec_id", "embedding"])
 

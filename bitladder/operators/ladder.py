@@ -174,19 +174,28 @@ def backward(g: np.ndarray, tape: Tape, params: LadderParams, slope_grad: Callab
     return out, gf
 
 
+def matrix(column: pa.Array, m: int | None = None) -> np.ndarray:
+    """Rows of equal length (``m``, if given) as a matrix; other lengths are an error."""
+    sizes = np.asarray(column.value_lengths())
+    m = int(sizes[0]) if m is None and len(sizes) else m
+    if (sizes != m).any():
+        raise ValueError(f"vectors of length {m} expected, not {sorted(set(sizes.tolist()))[:5]}")
+    return column.flatten().to_numpy(zero_copy_only=False).reshape(len(sizes), m or 0)
+
+
 def encode_vectors(df: DataFrame, params: LadderParams, vector: str = "embedding", key: str = "vec_id", depth: int | None = None, out_key: str = "keyword_id") -> DataFrame:
     """``out_key``, plane words and norm_sq of the vectors of ``df``.
 
     Null vectors and vectors with a null component are left out (they have no
-    signs); NaN is an error.  One Arrow pass, no shuffle.
+    signs); NaN and vectors of another length are errors.  One Arrow pass, no shuffle.
     """
-    spec = params.spec(depth)
+    spec, m = params.spec(depth), params.W.shape[1]
 
     def run(batches):
         for batch in batches:
             if not batch.num_rows:
                 continue
-            f = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+            f = matrix(batch.column(1), m)
             words = [w for p in encode(f, params, depth) for w in pack(p).T]
             yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(np.ascontiguousarray(w), pa.int64()) for w in words]], [out_key, *spec.columns()])
 

@@ -23,11 +23,19 @@ def log_loss(scored: DataFrame, gamma: float, denom: str = "groups", score: str
 def roc_auc(scored: DataFrame, by: list[str] | None = None, score: str = "score", label: str = "is_pos", bins: int = 4096) -> DataFrame:
     """Exact area under the ROC curve from distinct scores; ties count one half.
 
-    Scores are cut into bins; counts are cumulated within a bin and over the bins,
-    so no window sees all distinct scores at once.  One class only gives null.
+    One class only gives null.
     """
     by = by or []
     rows = scored.where(F.col(score).isNotNull()).groupBy(*by, F.col(score).alias("s")).agg(F.sum(F.when(F.col(label), 1).otherwise(0)).alias("p"), F.sum(F.when(F.col(label), 0).otherwise(1)).alias("n"))
+    return auc_of_counts(rows, by, bins)
+
+
+def auc_of_counts(rows: DataFrame, by: list[str], bins: int = 4096) -> DataFrame:
+    """The same from counts of positives ``p`` and negatives ``n`` of each score ``s``.
+
+    Scores are cut into bins; counts are cumulated within a bin and over the bins,
+    so no window sees all distinct scores at once.
+    """
     rows = rows.withColumn("bin", F.floor(F.col("s") * F.lit(bins)))
     keys = [*by, "bin"]
     below = F.sum("n").over(Window.partitionBy(*keys).orderBy("s")) - F.col("n")
@@ -39,6 +47,16 @@ def roc_auc(scored: DataFrame, by: list[str] | None = None, score: str = "score"
     return binned.groupBy(*by).agg(area.alias("auc"))
 
 
+def histogram_auc(every: DataFrame, positive: DataFrame, by: list[str]) -> DataFrame:
+    """Area from a histogram of all scores (score, n) and the few scored positives.
+
+    Pairs are never listed: negatives of a score are its pairs less its positives.
+    """
+    p = positive.where(F.col("score").isNotNull()).groupBy(*by, "score").agg(F.count("*").alias("p"))
+    rows = every.groupBy(*by, "score").agg(F.sum("n").alias("all")).join(p, [*by, "score"], "left")
+    return auc_of_counts(rows.select(*by, F.col("score").alias("s"), F.coalesce("p", F.lit(0)).alias("p"), (F.col("all") - F.coalesce("p", F.lit(0))).alias("n")), by)
+
+
 def auc_lift(auc: float, low: float, high: float) -> float:
     """Position of an AUC between two references, in percent of their gap."""
     return (auc - low) / (high - low) * 100.0
@@ -105,9 +123,6 @@ def index_bytes(spark, path: str) -> int:
 
 
 def plane_balance(codes: DataFrame, columns: list[str]) -> DataFrame:
-    """For each plane word: bits that are set in all, in any, and their share."""
-    rows = None
-    for c in columns:
-        one = codes.agg(F.lit(c).alias("word"), F.bit_and(c).alias("all_set"), F.bit_or(c).alias("any_set"), F.bit_xor(c).alias("parity"), (F.avg(F.bit_count(c)) / F.lit(64.0)).alias("share"))
-        rows = one if rows is None else rows.unionByName(one)
-    return rows
+    """For each plane word: bits that are set in all, in any, in an odd number, and their share.  One scan."""
+    words = F.inline(F.array(*[F.struct(F.lit(c).alias("word"), F.col(c).alias("w")) for c in columns]))
+    return codes.select(words).groupBy("word").agg(F.bit_and("w").alias("all_set"), F.bit_or("w").alias("any_set"), F.bit_xor("w").alias("parity"), (F.avg(F.bit_count("w")) / F.lit(64.0)).alias("share"))

@@ -33,13 +33,18 @@ def top_n(queries: DataFrame, index: DataFrame, qspec: CodeSpec, kspec: CodeSpec
         raise ValueError(f"one of {MODES}")
     if backend == "block":
         queues = block_queues(queries, index, qspec, kspec, N, lane_size if mode == "lane" else None, lanes_per_block, r, exclude_self)
-        return select.merge_select(queues, N, fan_in)
-    pairs = scored_pairs(queries, index, qspec, kspec, exclude_self)
-    if mode == "radix":
-        return select.radix_topn(pairs, N)
-    if mode == "exact":
-        return exact_select(pairs, N)
-    return select.merge_select(select.lane_select(pairs, lane_size, lanes_per_block, r), N, fan_in)
+        return select.merge_select(queues, N, fan_in, keep=("keyword_id",) if "keyword_id" in queues.columns else ())
+    packed = match.key_bits(qspec, kspec) + select.place_bits(lane_size) <= 63
+
+    def run(wave: DataFrame) -> DataFrame:
+        pairs = scored_pairs(wave, index, qspec, kspec, exclude_self)
+        if mode == "radix":
+            return select.radix_topn(pairs, N)
+        if mode == "exact":
+            return exact_select(pairs, N)
+        return select.merge_select(select.lane_select(pairs, lane_size, lanes_per_block, r, packed), N, fan_in)
+
+    return match.in_waves(queries, run)
 
 
 def exact_select(pairs: DataFrame, N: int) -> DataFrame:
@@ -57,20 +62,8 @@ def above(queries: DataFrame, index: DataFrame, qspec: CodeSpec, kspec: CodeSpec
     return match.exhaustive(queries, index, qspec, kspec).where(F.col("cosine") >= tau).select("query_id", "keyword_id", "cosine")
 
 
-def waves(queries: DataFrame, columns: list[str], wave_rows: int):
-    """Query codes as (ids, words) arrays of at most ``wave_rows``, streamed to the driver."""
-    rows = []
-    for row in queries.select("query_id", *columns).toLocalIterator():
-        rows.append(row)
-        if len(rows) == wave_rows:
-            yield np.array([r[0] for r in rows], np.int64), np.array([r[1:] for r in rows], np.int64)
-            rows = []
-    if rows:
-        yield np.array([r[0] for r in rows], np.int64), np.array([r[1:] for r in rows], np.int64)
-
-
 def block_queues(queries: DataFrame, index: DataFrame, qspec: CodeSpec, kspec: CodeSpec, N: int, lane_size: int | None, lanes_per_block: int, r: int = 1, exclude_self: bool = False, wave_rows: int = 1024) -> DataFrame:
-    """query_id, lane, pos, rank_key: at most N rows per (partition, query).
+    """query_id, lane, pos, rank_key (and keyword_id, where the index has one): at most N rows per (partition, query).
 
     One Arrow pass per wave of queries: tiles of keywords are scored, every lane's
     queue is kept in the worker, and the partition's best N leave.  Without
@@ -78,13 +71,19 @@ def block_queues(queries: DataFrame, index: DataFrame, qspec: CodeSpec, kspec: C
     one partition (``io.write_index`` does); else a lane has a queue in each.
     """
     spark = index.sparkSession
-    kcols, shift = kspec.columns(), match.key_shift(kspec)
-    index = (index if "pos" in index.columns else index.withColumn("pos", F.col("keyword_id"))).select("pos", "norm_sq", *kcols, *(["keyword_id"] if exclude_self else []))
-    out = None
-    for ids, words in waves(queries, qspec.columns("q_"), wave_rows):
-        sent = spark.sparkContext.broadcast((ids, words))
-
-        def run(batches, sent=sent):
+    kcols = kspec.columns()
+    match.wide(qspec, kspec)
+    named = "keyword_id" in index.columns
+    index = (index if "pos" in index.columns else index.withColumn("pos", F.col("keyword_id"))).select("pos", "norm_sq", *kcols, *(["keyword_id"] if named else []))
+    if exclude_self and not named:
+        raise ValueError("exclude_self needs keyword_id")
+    names = ["query_id", "lane", "pos", "rank_key", *(["keyword_id"] if named else [])]
+    schema = ", ".join(f"{c} long" for c in names)
+
+    def wave(rows: list):
+        sent = spark.sparkContext.broadcast((np.array([x[0] for x in rows], np.int64), np.array([x[1:] for x in rows], np.int64)))
+
+        def run(batches):
             qi, qw = sent.value
             best: list = [None] * len(qi)
             for batch in batches:
@@ -93,32 +92,31 @@ def block_queues(queries: DataFrame, index: DataFrame, qspec: CodeSpec, kspec: C
                 pos = batch.column(0).to_numpy(zero_copy_only=False)
                 norm = batch.column(1).to_numpy(zero_copy_only=False).astype(np.int64)
                 k = np.stack([batch.column(2 + c).to_numpy(zero_copy_only=False) for c in range(len(kcols))], axis=1)
-                own = batch.column(2 + len(kcols)).to_numpy(zero_copy_only=False) if exclude_self else None
+                own = batch.column(2 + len(kcols)).to_numpy(zero_copy_only=False) if named else pos
                 lane = pos if lane_size is None else pos // (lane_size * lanes_per_block) * lanes_per_block + pos % lanes_per_block
-                rows = np.lexsort((pos, lane))
-                pos, norm, k, lane = pos[rows], norm[rows], k[rows], lane[rows]
-                own = None if own is None else own[rows]
+                rows_ = np.lexsort((pos, lane))
+                pos, norm, k, lane, own = pos[rows_], norm[rows_], k[rows_], lane[rows_], own[rows_]
                 edge = np.flatnonzero(np.concatenate([[True], lane[1:] != lane[:-1]]))
                 sizes = np.diff(np.append(edge, len(lane)))
                 for a in range(0, len(qi), 64):
                     dot = match.tile_scores(qw[a : a + 64], np.ascontiguousarray(k), qspec, kspec).astype(np.int64)
-                    square = (dot * dot << shift) // np.maximum(norm, 1)[:, None]
-                    key = np.where(dot < 0, -square, square)
-                    out_of = (norm <= 0)[:, None] if own is None else (norm <= 0)[:, None] | (own[:, None] == qi[None, a : a + 64])
+                    key = match.rank_keys(dot, norm, qspec, kspec)
+                    out_of = (norm <= 0)[:, None]
+                    if exclude_self:
+                        out_of = out_of | (own[:, None] == qi[None, a : a + 64])
                     key = np.where(out_of, NOTHING, key)
                     likely = shortlist(key, edge, sizes, N, r)
                     for j in range(key.shape[1]):
                         use = np.flatnonzero(likely[:, j])
-                        best[a + j] = queue(best[a + j], lane[use], pos[use], key[use, j], r, N)
+                        best[a + j] = queue(best[a + j], (lane[use], pos[use], key[use, j], own[use]), r, N)
             for i, q in enumerate(qi.tolist()):
-                if best[i] is None:
-                    continue
-                lane, pos, key = queue(best[i], *(np.empty(0, np.int64),) * 3, r, N, final=True)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(pos), q)), pa.array(lane), pa.array(pos), pa.array(key)], ["query_id", "lane", "pos", "rank_key"])
+                if best[i] is not None and len(best[i][0]):
+                    lane, pos, key, own = best[i]
+                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in (np.full(len(pos), q), lane, pos, key, *([own] if named else []))], names)
+
+        return index.mapInArrow(run, schema), sent
 
-        part = index.mapInArrow(run, "query_id long, lane long, pos long, rank_key long")
-        out = part if out is None else out.unionByName(part)
-    return out if out is not None else spark.createDataFrame([], "query_id long, lane long, pos long, rank_key long")
+    return match.wave_by_wave(spark, match.local_waves(queries.select("query_id", *qspec.columns("q_")), wave_rows), wave, schema)
 
 
 #: the key of a keyword that takes no part
@@ -137,19 +135,17 @@ def shortlist(key: np.ndarray, edge: np.ndarray, sizes: np.ndarray, N: int, r: i
     return likely & (key == np.repeat(best, sizes, axis=0)) if r == 1 else likely
 
 
-def queue(have, lane, pos, key, r: int, N: int | None, final: bool = False):
-    """Queues after new entries: ``r`` best per lane; and the ``N`` best of all, if given."""
-    if have is not None:
-        lane, pos, key = (np.concatenate(x) for x in zip(have, (lane, pos, key), strict=True))
+def queue(have, fresh, r: int, N: int | None):
+    """Queues (lane, pos, key, more) after new entries: ``r`` best per lane; and the ``N`` best of all, if given."""
+    cols = fresh if have is None else tuple(np.concatenate(x) for x in zip(have, fresh, strict=True))
+    lane, pos, key = cols[:3]
     order = np.lexsort((pos, -key, lane))
-    lane, pos, key = lane[order], pos[order], key[order]
+    lane = lane[order]
     start = np.maximum.accumulate(np.where(np.concatenate([[True], lane[1:] != lane[:-1]]), np.arange(len(lane)), 0)) if len(lane) else np.empty(0, int)
-    keep = np.arange(len(lane)) - start < r
-    lane, pos, key = lane[keep], pos[keep], key[keep]
-    if N is not None and len(key) > N:
-        top = np.lexsort((pos, -key))[:N]
-        lane, pos, key = lane[top], pos[top], key[top]
-    return lane, pos, key
+    order = order[np.arange(len(lane)) - start < r]
+    if N is not None and len(order) > N:
+        order = order[np.lexsort((pos[order], -key[order]))[:N]]
+    return tuple(x[order] for x in cols)
 
 
 def attach(winners: DataFrame, keywords: DataFrame, key: str = "keyword_id") -> DataFrame:

@@ -16,6 +16,17 @@ def numbered(pairs: DataFrame, *order: str) -> DataFrame:
     return pairs.select(F.xxhash64(*order).alias("pair_id"), "*")
 
 
+#: bits of a turn's number within its id
+TURN_BITS = 24
+
+
+def turn_id(conversation: Column, turn: Column) -> Column:
+    """One BIGINT for (conversation, turn); an error where either leaves its bits."""
+    c, t = conversation.cast("long"), turn.cast("long")
+    fits = t.between(0, (1 << TURN_BITS) - 2) & c.between(-(1 << (62 - TURN_BITS)), (1 << (62 - TURN_BITS)) - 1)
+    return F.when(fits, F.shiftleft(c, TURN_BITS) + t).when(c.isNotNull() & t.isNotNull(), F.raise_error(F.lit("conversation or turn out of range")).cast("long"))
+
+
 def clicked_pairs(events: DataFrame) -> DataFrame:
     """Distinct (query_id, keyword_id) of click events: user and item.  One shuffle."""
     clicks = events.where("event_type = 'click'").select(F.col("user_id").alias("query_id"), item_of(F.col("props")).alias("keyword_id"))
@@ -27,7 +38,7 @@ def turn_pairs(conversations: DataFrame) -> DataFrame:
     w = Window.partitionBy("conv_id").orderBy("turn")
     rows = conversations.select("conv_id", "turn", "role", "text", F.lead("role").over(w).alias("next_role"), F.lead("text").over(w).alias("k_text"))
     hit = rows.where("role = 'user' and next_role = 'assistant'")
-    key = F.col("conv_id") * F.lit(10_000) + F.col("turn")
+    key = turn_id(F.col("conv_id"), F.col("turn"))
     return hit.select(key.alias("pair_id"), key.alias("query_id"), (key + 1).alias("keyword_id"), F.col("text").alias("q_text"), "k_text")
 
 
@@ -51,22 +62,32 @@ def cross_sample(pairs: DataFrame, negatives: int = 10, seed: int = 0, block: in
 
     Pairs are dealt to hash blocks of about ``block`` and numbered there; the
     partner of a slot is a fixed offset on, so this is an equi-join on (block,
-    slot).  ``negatives`` must be below the size of every block.
+    slot).  Blocks are made larger until each holds more than ``negatives``
+    pairs, so every pair gets exactly that many; a table without so many is an
+    error.  ``drop_false_negatives`` takes known pairs away again.
     """
     n = pairs.count()
-    blocks = max(1, n // block)
+    if 0 < n <= negatives:
+        raise ValueError(f"{negatives} negatives need more than {negatives} pairs, not {n}")
+
+    def block_of(blocks: int) -> Column:
+        return F.pmod(F.xxhash64("pair_id", F.lit(seed + 1)), F.lit(blocks))
+
+    blocks = max(1, n // max(block, 2 * negatives))
+    while blocks > 1 and pairs.groupBy(block_of(blocks)).count().agg(F.count("*"), F.min("count")).where(f"`count(1)` < {blocks} or `min(count)` <= {negatives}").count():
+        blocks //= 2
     order = order if order is not None else F.xxhash64("pair_id", F.lit(seed))
     slots = Window.partitionBy("block").orderBy("o", "pair_id")
     dealt = (
         pairs.select("pair_id", "query_id", "keyword_id", order.alias("o"))
-        .withColumn("block", F.pmod(F.xxhash64("pair_id", F.lit(seed + 1)), F.lit(blocks)))
+        .withColumn("block", block_of(blocks))
         .withColumn("slot", F.row_number().over(slots) - 1)
         .withColumn("size", F.count("*").over(Window.partitionBy("block")))
     )
     step = F.explode(F.sequence(F.lit(1), F.lit(negatives)))
     asks = dealt.select(F.col("pair_id").alias("group_id"), "query_id", "block", "size", "slot", step.alias("k")).withColumn("slot", ((F.col("slot") + F.col("k")) % F.col("size")).cast("int"))
     gives = dealt.select("block", "slot", "keyword_id")
-    negative = asks.where(F.col("k") < F.col("size")).join(gives, ["block", "slot"]).select("group_id", "query_id", "keyword_id", F.lit(False).alias("is_pos"))
+    negative = asks.join(gives, ["block", "slot"]).select("group_id", "query_id", "keyword_id", F.lit(False).alias("is_pos"))
     if drop_false_negatives:
         known = pairs.select("query_id", "keyword_id").distinct()
         negative = negative.join(known, ["query_id", "keyword_id"], "left_anti").select("group_id", "query_id", "keyword_id", "is_pos")

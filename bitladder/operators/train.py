@@ -1,14 +1,16 @@
 """Joint training of encoder and ladder with a stand-in gradient for sign.
 
-Each round is one job: parameters are broadcast, every partition sums the
-gradients of its groups, sums meet by parameter row, and the driver takes a step.
-Sample groups arrive packed: ``q`` (one input) and ``ks`` (positive first).
-Inputs are real vectors (array<double>) or word windows when there is a
-convolution.  Gradient sums are keyed by row, so a large convolution stays sparse.
+Each round is one job for any number of models: parameters are broadcast, every
+partition sums the gradients of its groups, blocks of parameter rows are summed
+by key, and the driver takes a step.  Sample groups arrive packed: ``q`` (one
+input) and ``ks`` (positive first).  Inputs are real vectors (array<double>), or
+lists of words when there is a convolution.  The driver holds parameters and one
+gradient of their size, never samples.
 """
 
 from __future__ import annotations
 
+import copy
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -18,7 +20,9 @@ from pyspark.sql import functions as F
 
 from . import binarize, encoder, ladder, loss
 
-SCHEMA = "side string, name string, t int, row int, grad array<double>"
+#: parameter rows in one block of a gradient
+BLOCK_ROWS = 1024
+SCHEMA = "model string, side string, name string, t int, block int, data binary"
 
 
 @dataclass
@@ -29,7 +33,10 @@ class Config:
     surrogate: str = "clipped"
     growth: float = 1.05
     clip: float = 5.0
-    weighted: bool = True
+    optimizer: str = "sgd"
+    seed: int = 0
+    #: factor on pre-activations inside the stand-in gradient, where clipping acts
+    reach: float = 1.0
 
 
 @dataclass
@@ -39,154 +46,281 @@ class Fit:
 
     @property
     def converged(self) -> bool:
+        """Finite throughout, and the mean of the last third below that of the first third by a fiftieth."""
         losses = [h["loss"] for h in self.history]
-        return bool(losses) and all(np.isfinite(losses)) and min(losses[1:], default=losses[0]) <= losses[0]
+        third = max(1, len(losses) // 3)
+        if not losses or not np.isfinite(losses).all():
+            return False
+        return float(np.mean(losses[-third:])) < 0.98 * float(np.mean(losses[:third]))
 
-
-def side_forward(inputs: list, side: encoder.SideParams):
-    """Vectors of a list of inputs, and what the way back needs."""
-    if side.conv is None:
-        return np.array(inputs, dtype=np.float64), None
-    rows, tapes = [], []
-    for windows in inputs:
-        x = encoder.convolve(windows or [], side.conv)
-        f, at = encoder.max_pool(x)
-        rows.append(f)
-        tapes.append((windows or [], at))
-    return np.stack(rows), tapes
-
-
-def side_backward(gf: np.ndarray, f: np.ndarray, tapes, into: dict[int, np.ndarray]) -> None:
-    """Adds the gradient of the convolution's rows."""
-    if tapes is None:
-        return
-    for (windows, at), g, v in zip(tapes, gf, f, strict=True):
-        if not windows:
-            continue
-        g = g * (1.0 - v**2)
-        for p in np.unique(at).tolist():
-            mask = np.where(at == p, g, 0.0)
-            for c in windows[p]:
-                if c["idx"] in into:
-                    into[c["idx"]] += c["cnt"] * mask
-                else:
-                    into[c["idx"]] = c["cnt"] * mask
+    @property
+    def unsteady(self) -> float:
+        """Largest rise from one epoch to the next, as a share of the first loss."""
+        losses = [h["loss"] for h in self.history]
+        rises = np.diff(losses)
+        return float(max(0.0, rises.max(initial=0.0)) / losses[0]) if losses else 0.0
 
 
-def batch_gradient(model: encoder.TwoTower, qs: list, ks: list[list], cfg: Config, epoch: int):
-    """Loss and gradients of groups with equally many keywords."""
-    slope = binarize.slope_at(epoch, cfg.growth)
-    kind = cfg.surrogate
+def side_forward(inputs: list, side: encoder.SideParams, model: encoder.TwoTower, ids):
+    """Output of the layers under the ladder for a list of inputs, and what the way back needs."""
+    if side.conv is None:
+        f, tape = np.array(inputs, dtype=np.float64), None
+    else:
+        f, tape = encoder.conv_forward([x or [] for x in inputs], side.conv, ids, model.width, model.mode)
+    layers = [f]
+    for w in side.hidden:
+        layers.append(np.tanh(layers[-1] @ w.T))
+    return layers[-1], (tape, layers)
+
+
+def side_backward(g: np.ndarray, side: encoder.SideParams, model: encoder.TwoTower, tapes, into: dict) -> None:
+    """Gradients of hidden layers and of the convolution's rows, by (name, number)."""
+    tape, layers = tapes
+    for t in range(len(side.hidden) - 1, -1, -1):
+        gz = g * (1.0 - layers[t + 1] ** 2)
+        into["hidden", t] = gz.T @ layers[t]
+        g = gz @ side.hidden[t]
+    if tape is not None:
+        into["conv", 0] = encoder.conv_backward(g, tape, side.conv.shape, model.dims, model.width, model.mode)
+
+
+def batch_gradient(model: encoder.TwoTower, qs: list, ks: list[list], cfg: Config, epoch: int, ids=None):
+    """Loss and gradients, by side and (name, number), of groups with equally many keywords."""
+    slope, kind, g, m = binarize.slope_at(epoch, cfg.growth), cfg.surrogate, len(qs), len(ks[0])
+    rng = np.random.default_rng((cfg.seed, epoch, g, m))
+    act = (lambda z: binarize.stochastic_sign(z * cfg.reach, rng)) if kind == "stochastic" else binarize.sign
 
     def surrogate(z):
-        return binarize.grad(kind, z, slope)
-
-    g, m = len(qs), len(ks[0])
-    fq, tq = side_forward(qs, model.query)
-    fk, tk = side_forward([k for group in ks for k in group], model.keyword)
-    bq, tape_q = ladder.forward(fq, model.query.ladder)
-    bk, tape_k = ladder.forward(fk, model.keyword.ladder)
+        return binarize.grad(kind, z * cfg.reach, slope) * cfg.reach
+
+    ids = ids if ids is not None else encoder.WordIds(model.dims, model.vocab)
+    found = []
+    for side, inputs in ((model.query, qs), (model.keyword, [k for group in ks for k in group])):
+        f, tapes = side_forward(inputs, side, model, ids)
+        out, tape = (f, None) if side.ladder is None else ladder.forward(f, side.ladder, act)
+        found.append((side, tapes, out, tape))
+    bq, bk = found[0][2], found[1][2]
     n = bq.shape[1]
     cos, dq, dk = loss.cosine_grad(bq[:, None, :], bk.reshape(g, m, n))
     value, gc = loss.group_grad(cos, cfg.gamma)
-    gq, gk = (gc[..., None] * dq).sum(1), (gc[..., None] * dk).reshape(g * m, n)
+    grads = ((gc[..., None] * dq).sum(1), (gc[..., None] * dk).reshape(g * m, n))
     out = {}
-    for name, grad, tape, params, f, tapes in (("query", gq, tape_q, model.query, fq, tq), ("keyword", gk, tape_k, model.keyword, fk, tk)):
-        grads, gf = ladder.backward(grad, tape, params.ladder, surrogate)
-        conv: dict[int, np.ndarray] = {}
-        side_backward(gf, f, tapes, conv)
-        out[name] = (grads, conv)
+    for name, grad, (side, tapes, _, tape) in zip(("query", "keyword"), grads, found, strict=True):
+        mine: dict = {}
+        if tape is not None:
+            by_name, grad = ladder.backward(grad, tape, side.ladder, surrogate)
+            mine["W", 0] = by_name["W"]
+            mine |= {("B", t): x for t, x in enumerate(by_name["B"])} | {("R", t): x for t, x in enumerate(by_name["R"])}
+        side_backward(grad, side, model, tapes, mine)
+        out[name] = mine
     return value, out
 
 
-def gradients(groups: DataFrame, model: encoder.TwoTower, cfg: Config, epoch: int) -> DataFrame:
-    """side, name, t, row, grad: summed over all groups, one row per parameter row."""
-    sent = groups.sparkSession.sparkContext.broadcast((model, cfg))
+def gradients(groups: DataFrame, models: dict[str, tuple[encoder.TwoTower, Config]], epoch: int) -> DataFrame:
+    """model, side, name, t, block, data: gradient blocks summed over all groups (doubles, little-endian)."""
+    sent = groups.sparkSession.sparkContext.broadcast(models)
 
     def run(batches):
-        model_, cfg_ = sent.value
-        total: dict[tuple, np.ndarray] = {}
-        value = count = 0
-
-        def add(key, g):
-            total[key] = total[key] + g if key in total else g
-
+        totals: dict[str, dict] = {m: {} for m in sent.value}
+        value = dict.fromkeys(sent.value, 0.0)
+        count, ids = 0, {}
         for batch in batches:
             for a in range(0, batch.num_rows, 64):
                 part = batch.slice(a, 64).to_pydict()
                 by_size: dict[int, list[int]] = {}
                 for i, k in enumerate(part["ks"]):
                     by_size.setdefault(len(k), []).append(i)
+                count += len(part["q"])
                 for rows in by_size.values():
-                    v, sides = batch_gradient(model_, [part["q"][i] for i in rows], [part["ks"][i] for i in rows], cfg_, epoch)
-                    value, count = value + v, count + len(rows)
-                    for side, (grads, conv) in sides.items():
-                        add((side, "W", 0), grads["W"])
-                        for t, (b, r) in enumerate(zip(grads["B"], grads["R"], strict=True)):
-                            add((side, "B", t), b)
-                            add((side, "R", t), r)
-                        for row, g in conv.items():
-                            add((side, "conv", 0, row), g)
-        rows = [("", "loss", 0, 0, [float(value), float(count)])]
-        for key, g in total.items():
-            if len(key) == 4:
-                rows.append((key[0], key[1], key[2], int(key[3]), g.tolist()))
-            else:
-                rows += [(*key, i, x.tolist()) for i, x in enumerate(g)]
-        cols = list(zip(*rows, strict=True))
-        kinds = [pa.string(), pa.string(), pa.int32(), pa.int32(), pa.list_(pa.float64())]
-        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["side", "name", "t", "row", "grad"])
-
-    parts = groups.mapInArrow(run, SCHEMA)
-    keys = ["side", "name", "t", "row"]
-    flat = parts.select(*keys, F.posexplode("grad").alias("i", "g")).groupBy(*keys, "i").agg(F.sum("g").alias("g"))
-    return flat.groupBy(*keys).agg(F.sort_array(F.collect_list(F.struct("i", "g"))).alias("v")).select(*keys, F.col("v.g").alias("grad"))
-
-
-def step(model: encoder.TwoTower, rows: list, cfg: Config) -> tuple[encoder.TwoTower, float]:
-    """The model after one step down the mean gradient (clipped by norm), and the mean loss."""
-    value, count = next(r["grad"] for r in rows if r["name"] == "loss")
-    count = max(count, 1.0)
-    norm = np.sqrt(sum(float(np.square(r["grad"]).sum()) for r in rows if r["name"] != "loss")) / count
-    rate = cfg.rate * min(1.0, cfg.clip / max(norm, 1e-12)) / count
+                    for name, (model, cfg) in sent.value.items():
+                        own = ids.setdefault((model.dims, id(model.vocab)), encoder.WordIds(model.dims, model.vocab))
+                        v, sides = batch_gradient(model, [part["q"][i] for i in rows], [part["ks"][i] for i in rows], cfg, epoch, own)
+                        value[name] += v
+                        for side, grads in sides.items():
+                            for key, g in grads.items():
+                                at = (side, *key)
+                                if isinstance(g, tuple):
+                                    if at not in totals[name]:
+                                        totals[name][at] = np.zeros_like(model.side(side).conv)
+                                    totals[name][at][g[0]] += g[1]
+                                elif at in totals[name]:
+                                    totals[name][at] += g
+                                else:
+                                    totals[name][at] = g
+        rows = [(m, "", "loss", 0, 0, np.array([v, float(count)]).tobytes()) for m, v in value.items()]
+        for m, total in totals.items():
+            for (side, name, t), g in total.items():
+                for b in range(0, len(g), BLOCK_ROWS):
+                    piece = g[b : b + BLOCK_ROWS]
+                    if piece.any():
+                        rows.append((m, side, name, t, b // BLOCK_ROWS, np.ascontiguousarray(piece).tobytes()))
+        kinds = [pa.string(), pa.string(), pa.string(), pa.int32(), pa.int32(), pa.binary()]
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], SCHEMA.replace(",", "").split()[::2])
+
+    def added(table: pa.Table) -> pa.Table:
+        total = sum(np.frombuffer(x, np.float64) for x in table.column("data").to_pylist())
+        first = table.slice(0, 1)
+        return first.set_column(first.schema.get_field_index("data"), "data", pa.array([total.tobytes()], pa.binary()))
+
+    return groups.mapInArrow(run, SCHEMA).groupBy("model", "side", "name", "t", "block").applyInArrow(added, SCHEMA)
+
+
+class Optimizer:
+    """Plain steps or Adam, on a model's parameters in place."""
+
+    def __init__(self, cfg: Config):
+        self.cfg, self.seen, self.state = cfg, 0, {}
+
+    def step(self, model: encoder.TwoTower, grads: dict, count: float) -> None:
+        """One step down the mean gradient, clipped by its norm."""
+        self.seen += 1
+        norm = np.sqrt(sum(float(np.square(g).sum()) for g in grads.values())) / count
+        scale = min(1.0, self.cfg.clip / max(norm, 1e-12)) / count
+        for (side, *key), g in grads.items():
+            target, g = model.side(side).arrays()[tuple(key)], g * scale
+            if self.cfg.optimizer == "adam":
+                m, v = self.state.get((side, *key), (0.0, 0.0))
+                m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
+                self.state[side, *key] = m, v
+                g = m / (1 - 0.9**self.seen) / (np.sqrt(v / (1 - 0.999**self.seen)) + 1e-8)
+            target -= self.cfg.rate * g
+
+
+def collected(rows: list, models: dict) -> tuple[dict, dict]:
+    """Loss (sum, count) and gradients by model, from collected blocks."""
+    losses, grads = {}, {m: {} for m in models}
     for r in rows:
+        x = np.frombuffer(r["data"], np.float64)
         if r["name"] == "loss":
+            losses[r["model"]] = x
             continue
-        side = model.side(r["side"])
-        target = {"W": lambda s: s.ladder.W, "B": lambda s: s.ladder.B[r["t"]], "R": lambda s: s.ladder.R[r["t"]], "conv": lambda s: s.conv}[r["name"]](side)  # noqa: B023
-        target[r["row"]] -= rate * np.array(r["grad"])
-    return model, value / count
-
-
-def fit(groups: DataFrame, model: encoder.TwoTower, cfg: Config | None = None) -> Fit:
-    """Trains for ``cfg.epochs`` rounds; the driver holds parameters and their gradient only."""
-    cfg = cfg or Config()
-    out = Fit(model)
-    for epoch in range(cfg.epochs):
-        rows = gradients(groups, model, cfg, epoch).collect()
-        model, value = step(model, rows, cfg)
-        out.history.append({"epoch": epoch, "loss": float(value), "slope": binarize.slope_at(epoch, cfg.growth)})
-        if not np.isfinite(value):
+        at = (r["side"], r["name"], r["t"])
+        target = models[r["model"]][0].side(r["side"]).arrays()[at[1:]]
+        whole = grads[r["model"]].setdefault(at, np.zeros_like(target, dtype=np.float64))
+        lo = r["block"] * BLOCK_ROWS
+        whole[lo : lo + BLOCK_ROWS] = x.reshape(-1, target.shape[1])
+    return losses, grads
+
+
+def fit_many(groups: DataFrame, models: dict[str, tuple[encoder.TwoTower, Config]], path: str | None = None) -> dict[str, Fit]:
+    """Trains all models together, one job a round; each for its own number of epochs.
+
+    The given models stay as they are.  With ``path`` the parameters are written
+    after every round, so training can go on where a lost driver stopped.
+    """
+    from ..sources import io
+
+    cores = groups.sparkSession.sparkContext.defaultParallelism
+    groups = io.pin(groups.repartition(cores, "group_id") if groups.rdd.getNumPartitions() < cores else groups)
+    live = {m: (copy.deepcopy(model), cfg) for m, (model, cfg) in models.items()}
+    out = {m: Fit(model) for m, (model, _) in live.items()}
+    steps = {m: Optimizer(cfg) for m, (_, cfg) in live.items()}
+    epoch = 0
+    while live:
+        live = {m: x for m, x in live.items() if epoch < x[1].epochs}
+        if not live:
             break
+        losses, grads = collected(gradients(groups, live, epoch).collect(), live)
+        for m, (model, cfg) in list(live.items()):
+            value, count = losses[m]
+            mean = float(value / max(count, 1.0))
+            out[m].history.append({"epoch": epoch, "loss": mean, "slope": binarize.slope_at(epoch, cfg.growth)})
+            if not np.isfinite(mean):
+                del live[m]
+                continue
+            steps[m].step(model, grads[m], max(count, 1.0))
+            if path is not None:
+                io.save_tower(groups.sparkSession, model, f"{path}/{m}")
+        epoch += 1
+    groups.unpersist()
     return out
 
 
+def fit(groups: DataFrame, model: encoder.TwoTower, cfg: Config | None = None, path: str | None = None) -> Fit:
+    """Trains one model for ``cfg.epochs`` rounds."""
+    return fit_many(groups, {"model": (model, cfg or Config())}, path)["model"]
+
+
+def group_scores(groups: DataFrame, models: dict[str, encoder.TwoTower]) -> DataFrame:
+    """model, group_id, is_pos, cosine of every member of packed groups (held-out measures)."""
+    sent = groups.sparkSession.sparkContext.broadcast(models)
+    names = ["model", "group_id", "is_pos", "cosine"]
+
+    def run(batches):
+        ids: dict = {}
+        for batch in batches:
+            for a in range(0, batch.num_rows, 64):
+                part = batch.slice(a, 64).to_pydict()
+                sizes = np.array([len(k) for k in part["ks"]])
+                group = np.repeat(np.array(part["group_id"], dtype=np.int64), sizes)
+                first = np.zeros(len(group), bool)
+                first[segments_of(sizes)] = True
+                for name, model in sent.value.items():
+                    own = ids.setdefault((model.dims, id(model.vocab)), encoder.WordIds(model.dims, model.vocab))
+                    both = []
+                    for side, inputs in ((model.query, part["q"]), (model.keyword, [k for g in part["ks"] for k in g])):
+                        f, _ = side_forward(inputs, side, model, own)
+                        both.append(f if side.ladder is None else ladder.dense(ladder.encode(f, side.ladder), side.ladder.weighted))
+                    q, k = np.repeat(both[0], sizes, axis=0), both[1]
+                    norm = np.linalg.norm(q, axis=1) * np.linalg.norm(k, axis=1)
+                    cos = np.divide((q * k).sum(1), norm, out=np.full(len(q), np.nan), where=norm > 0)
+                    yield pa.RecordBatch.from_arrays([pa.array([name] * len(cos)), pa.array(group), pa.array(first), pa.array(cos, from_pandas=True)], names)
+
+    return groups.mapInArrow(run, "model string, group_id long, is_pos boolean, cosine double")
+
+
+def segments_of(sizes: np.ndarray) -> np.ndarray:
+    return np.cumsum(sizes) - sizes
+
+
 def packed_groups(samples: DataFrame, queries: DataFrame, keywords: DataFrame) -> DataFrame:
-    """q and ks (positive first) of each group, from samples and (id, x) inputs."""
+    """group_id, q and ks (positive first) of each group, from samples and (id, x) inputs."""
     rows = samples.join(queries.select(F.col("query_id"), F.col("x").alias("q")), "query_id").join(keywords.select("keyword_id", F.col("x").alias("k")), "keyword_id")
     member = F.struct((~F.col("is_pos")).alias("neg"), "keyword_id", "k")
     packed = rows.groupBy("group_id").agg(F.any_value("q").alias("q"), F.sort_array(F.collect_list(member)).alias("m"))
-    return packed.where(F.size("m") > 1).where(~F.col("m")[0]["neg"]).select("q", F.transform("m", lambda x: x["k"]).alias("ks"))
+    return packed.where(F.size("m") > 1).where(~F.col("m")[0]["neg"]).select("group_id", "q", F.transform("m", lambda x: x["k"]).alias("ks"))
 
 
-def tune_gamma(scored: DataFrame, grid=(1.0, 2.0, 5.0, 10.0, 20.0), score: str = "cosine") -> DataFrame:
-    """gamma, log_loss: mean per group on held-out samples, all values in one job."""
+def local_fit(groups: DataFrame, model: encoder.TwoTower, cfg: Config, parts: int = 4) -> DataFrame:
+    """part, epoch, loss: an independent run of plain steps in each of ``parts`` hash parts (applyInPandas).
+
+    An alternative to summed gradients: every part trains on its own groups; the
+    part of least loss, or an average, can go on.  A part must fit one task.
+    """
+    sent = groups.sparkSession.sparkContext.broadcast((model, cfg))
+
+    def run(frame):
+        import pandas as pd
+
+        own, cfg_ = copy.deepcopy(sent.value[0]), sent.value[1]
+        part, step, rows = int(frame["part"].iloc[0]), Optimizer(cfg_), []
+        qs, ks = list(frame["q"]), [list(k) for k in frame["ks"]]
+        same = [i for i, k in enumerate(ks) if len(k) == max(map(len, ks))]
+        for epoch in range(cfg_.epochs):
+            value, sides = batch_gradient(own, [qs[i] for i in same], [ks[i] for i in same], cfg_, epoch)
+            grads = {}
+            for side, found in sides.items():
+                for key, g in found.items():
+                    if isinstance(g, tuple):
+                        g_, g = g, np.zeros_like(own.side(side).conv)
+                        g[g_[0]] = g_[1]
+                    grads[side, *key] = g
+            step.step(own, grads, float(len(same)))
+            rows.append((part, epoch, value / len(same)))
+        return pd.DataFrame(rows, columns=["part", "epoch", "loss"])
+
+    return groups.withColumn("part", F.pmod(F.xxhash64("group_id"), F.lit(parts)).cast("int")).groupBy("part").applyInPandas(run, "part int, epoch int, loss double")
+
+
+def tune_gamma(scored: DataFrame, grid=(1.0, 2.0, 5.0, 10.0, 20.0), score: str = "cosine", by: tuple[str, ...] = ()) -> DataFrame:
+    """gamma, log_loss (per group) and per_sample: on held-out samples, all values in one job."""
     spark = scored.sparkSession
     g = spark.createDataFrame([(float(x),) for x in grid], "gamma double")
     s = F.col("gamma") * F.col(score)
     from pyspark.sql import Window
 
-    w = Window.partitionBy("gamma", "group_id")
+    w = Window.partitionBy(*by, "gamma", "group_id")
     e = F.exp(s - F.max(s).over(w))
-    rows = scored.crossJoin(F.broadcast(g)).withColumn("p", e / F.sum(e).over(w)).where("is_pos")
-    return rows.groupBy("gamma").agg(F.avg(-F.log("p")).alias("log_loss"))
+    rows = scored.crossJoin(F.broadcast(g)).withColumn("p", e / F.sum(e).over(w))
+    lost = F.sum(F.when(F.col("is_pos"), -F.log("p")))
+    return rows.groupBy(*by, "gamma").agg((lost / F.count_if("is_pos")).alias("log_loss"), (lost / F.count("*")).alias("per_sample"))

@@ -137,11 +137,127 @@ def triples(table: str, key: str) -> str:
 
 
 JUDGED = f"""ta AS ({triples('benchmark', 'item_id')}), tb AS ({triples('documents', 'doc_id')}), sz AS (SELECT item_id, count(*) AS size FROM ta GROUP BY item_id),
-jd AS (SELECT query_id, keyword_id, CASE WHEN c >= 0.3 THEN 'excellent' WHEN c >= 0.05 THEN 'good' ELSE 'fair' END AS grade FROM (SELECT item_id AS query_id, doc_id AS keyword_id, count(*) / any_value(size) AS c FROM ta JOIN tb USING (g) JOIN sz USING (item_id) GROUP BY ALL))"""
+jg AS (SELECT query_id, keyword_id, CASE WHEN c >= 0.3 THEN 'excellent' WHEN c >= 0.05 THEN 'good' ELSE 'fair' END AS grade FROM (SELECT item_id AS query_id, doc_id AS keyword_id, count(*) / any_value(size) AS c FROM ta JOIN tb USING (g) JOIN sz USING (item_id) GROUP BY ALL)),
+dr AS (SELECT DISTINCT item_id AS query_id, (item_id * 7919 + j * 104729) % (SELECT count(*) FROM documents) AS keyword_id FROM benchmark, range(1, 21) t(j)),
+jd AS (SELECT *, true AS is_pos FROM jg UNION ALL SELECT query_id, keyword_id, 'bad', false FROM dr WHERE keyword_id IN (SELECT doc_id FROM documents) AND NOT EXISTS (SELECT 1 FROM jg WHERE jg.query_id = dr.query_id AND jg.keyword_id = dr.keyword_id))"""
 CLICKS = "SELECT DISTINCT user_id AS query_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS keyword_id FROM events WHERE event_type = 'click'"
 VIEWS = """FROM (SELECT *, json_extract_string(props, '$.k') AS item FROM events WHERE event_type = 'click') c JOIN (SELECT *, json_extract_string(props, '$.k') AS item FROM events WHERE event_type = 'view') v
 ON c.user_id = v.user_id AND c.item = v.item AND v.ts <= c.ts AND v.ts >= c.ts - INTERVAL 5 DAY"""
 
+
+
+def vector_planes(name: str, source: str) -> str:
+    """CTEs {name}0 to {name}2: planes of the vectors (vec_id, v) of ``source``; rows h must be known."""
+    sign = "list(CASE WHEN list_dot_product({x}, r) > 0 THEN 1.0 ELSE -1.0 END ORDER BY i)"
+    left = f"list(v[i + 1] - tanh({SCALE!r} * list_dot_product({{b}}, r)) ORDER BY i)"
+    return f"""{name}0 AS (SELECT vec_id, any_value(v) AS v, {sign.format(x='v')} AS s0 FROM {source}, h GROUP BY vec_id),
+{name}x AS (SELECT vec_id, any_value(v) AS v, any_value(s0) AS s0, {left.format(b='s0')} AS x FROM {name}0, h GROUP BY vec_id),
+{name}1 AS (SELECT vec_id, any_value(v) AS v, any_value(s0) AS s0, {sign.format(x='x')} AS s1 FROM {name}x, h GROUP BY vec_id),
+{name}c AS (SELECT vec_id, v, s0, s1, list_transform(list_zip(s0, s1), lambda z: z[1] + 0.5 * z[2]) AS b FROM {name}1),
+{name}y AS (SELECT vec_id, any_value(s0) AS s0, any_value(s1) AS s1, {left.format(b='b')} AS x FROM {name}c, h GROUP BY vec_id),
+{name}2 AS (SELECT vec_id, any_value(s0) AS s0, any_value(s1) AS s1, {sign.format(x='x')} AS s2 FROM {name}y, h GROUP BY vec_id)"""
+
+
+def hashed_sum(table: str, key: str) -> str:
+    """vec_id, v: the sum of the words' MD5 sign vectors, scaled to length one."""
+    half = "CAST('0x' || substr(md5(x), {at}, 8) AS BIGINT)"
+    bit = f"CASE WHEN i >= 32 THEN ({half.format(at=1)} >> (i - 32)) & 1 ELSE ({half.format(at=9)} >> i) & 1 END"
+    return f"""SELECT vec_id, list_transform(v, lambda x: x / norm) AS v FROM (SELECT vec_id, v, sqrt(list_sum(list_transform(v, lambda x: x * x))) AS norm FROM (SELECT vec_id, list(CAST(s AS DOUBLE) ORDER BY i) AS v
+FROM (SELECT vec_id, i, sum(n * (2 * {bit} - 1)) AS s FROM (SELECT {key} AS vec_id, x, count(*) AS n FROM (SELECT {key}, unnest({words()}) AS x FROM {table}) GROUP BY ALL), range(64) t(i) GROUP BY vec_id, i) GROUP BY vec_id)) WHERE norm > 0"""
+
+
+def bm25(name: str, where: str) -> str:
+    """The five best by BM25 over the documents that ``where`` keeps."""
+    return f"""{name}p AS (SELECT * FROM kp WHERE {where.format(k='k')}), {name}n AS (SELECT CAST(count(*) AS DOUBLE) AS c FROM documents WHERE {where.format(k='doc_id')}), {name}d AS (SELECT term, count(*) AS df FROM {name}p GROUP BY term), {name}l AS (SELECT k, sum(tf) AS len FROM {name}p GROUP BY k), {name}m AS (SELECT sum(len) / (SELECT c FROM {name}n) AS m FROM {name}l),
+{name}s AS (SELECT qp.q, p.k, sum(ln((c - df + 0.5) / (df + 0.5) + 1.0) * tf * 2.2 / (tf + 1.2 * (1.0 - 0.75 + 0.75 * len / m))) AS score FROM qp JOIN {name}p p ON p.term = qp.term JOIN {name}d d ON d.term = qp.term JOIN {name}l l ON l.k = p.k, {name}n, {name}m GROUP BY qp.q, p.k),
+{name} AS ({RANK5.format(source=f'{name}s')})"""
+
+
+ROWS = "h AS (SELECT i, list(CASE WHEN bit_count(CAST(i & j AS BIGINT)) % 2 = 0 THEN CAST(1 AS DOUBLE) ELSE CAST(-1 AS DOUBLE) END ORDER BY j) AS r FROM range(64) a(i), range(64) b(j) GROUP BY i)"
+SAMPLED = "CAST('0x' || substr(md5('0:' || CAST({k} AS VARCHAR)), 1, 7) AS BIGINT) % 1000 < (SELECT share FROM fits)"
+#: our codes (``ours``) and both production settings (``th``) from text, and judged pairs (``jd``)
+SYSTEMS = f"""WITH {ROWS}, {JUDGED}, {POSTINGS}, fits AS (SELECT 20 * (SELECT count(*) FROM documents) * 1000 // greatest(12 * (SELECT count(*) FROM kp), 1) AS share),
+{bm25('pa', 'true')}, {bm25('pb', SAMPLED)}, th AS (SELECT 'equal keywords' AS baseline, query_id, keyword_id FROM pa UNION ALL SELECT 'equal memory', query_id, keyword_id FROM pb),
+qe AS ({hashed_sum('benchmark', 'item_id')}), ke AS ({hashed_sum('documents', 'doc_id')}), {vector_planes('qa', 'qe')}, {vector_planes('ka', 'ke')},
+code_q AS (SELECT vec_id AS q, {dense(2)} AS dq FROM qa2), code_k AS (SELECT vec_id AS k, {dense(1)} AS dk FROM ka2),
+raw AS (SELECT q, k, CAST(list_dot_product(dq, dk) AS BIGINT) AS s, CAST(list_dot_product(dk, dk) AS BIGINT) AS kn FROM code_q, code_k),
+scored AS (SELECT q, k, CASE WHEN s < 0 THEN -1 ELSE 1 END * ((s * s * {2 ** shift(1)}) // kn) AS key FROM raw WHERE kn > 0),
+ours AS (SELECT q AS query_id, CAST(rn AS INTEGER) AS rank, k AS keyword_id, key AS rank_key FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY key DESC, k) AS rn FROM {lane()}) WHERE rn <= 5)"""
+
+BENT = "list_transform(list_zip(r, range(64)), lambda z: z[1] * CASE WHEN bit_count(CAST(z[2] & (z[2] >> 1) AS BIGINT)) % 2 = 0 THEN 1 ELSE -1 END)"
+ACCURACY = f"""WITH {planes()}, {FLOAT}, h2 AS (SELECT i, r FROM h UNION ALL SELECT i + 64, {BENT} FROM h),
+w AS (SELECT vec_id, list(CASE WHEN list_dot_product(v, r) > 0 THEN 1.0 ELSE -1.0 END ORDER BY i) AS s FROM e, h2 GROUP BY vec_id),
+tv AS (SELECT vec_id, list(list_dot_product(v, r) ORDER BY i) AS f FROM e, h GROUP BY vec_id), k1 AS (SELECT vec_id, {dense(1)} AS d FROM p2),
+sc AS (SELECT 'float64d' AS model, q, k, c AS s FROM fp UNION ALL SELECT 'sign128', a.vec_id, b.vec_id, list_dot_product(a.s, b.s) / 128.0 FROM w a, w b WHERE a.vec_id <> b.vec_id
+UNION ALL SELECT 'hybrid', a.vec_id, b.vec_id, list_dot_product(a.f, b.d) / sqrt(list_dot_product(a.f, a.f) * list_dot_product(b.d, b.d)) FROM tv a, k1 b WHERE a.vec_id <> b.vec_id UNION ALL {depth_scores(((0, 0), (2, 1)))}),
+au AS ({auc("SELECT x.model, x.s, n.q IS NOT NULL AS pos FROM sc x LEFT JOIN near n ON n.q = x.q AND n.k = x.k", 'model')})
+SELECT model, round(auc, 6) AS auc, round((auc - (SELECT auc FROM au WHERE model = 'sign128')) * 100.0 / ((SELECT auc FROM au WHERE model = 'float64d') - (SELECT auc FROM au WHERE model = 'sign128')), 2) AS auc_lift FROM au"""
+
+
+def recall() -> str:
+    parts = []
+    for size in (4, 8, 16):
+        for r in (1, 2):
+            got = f"(SELECT q, k FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY key DESC, k) AS rn FROM {lane(r, size)}) WHERE rn <= {N})"
+            # hypergeometric chances that a lane holds none, or one, of the N
+            none = "exp(lgamma(c - {i} + 1) - lgamma(c - {i} - {n} + 1) - lgamma(c + 1) + lgamma(c - {n} + 1))".format(i=size, n=N)
+            one = f"({size}.0 * {N} / (c - {size} - {N} + 1) * {none})"
+            kept = f"(1 - {none})" if r == 1 else f"({one} + 2 * (1 - {none} - {one}))"
+            parts.append(f"SELECT {size} AS lane_size, {r} AS r, count(DISTINCT e.q) AS queries, round(count(g.q) / (count(DISTINCT e.q) * {N}.0), 9) AS recall, round({N} - count(g.q) / CAST(count(DISTINCT e.q) AS DOUBLE), 9) AS mean_missed, round(any_value({N} - t.c // {size} * {kept}), 6) AS theory FROM ex e LEFT JOIN {got} g ON g.q = e.q AND g.k = e.k, (SELECT CAST(count(*) - count(*) % {size} AS DOUBLE) AS c FROM embeddings) t")
+    return f"{pairs()}, ex AS (SELECT q, k FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY key DESC, k) AS rn FROM scored) WHERE rn <= {N}) " + " UNION ALL ".join(parts)
+
+
+RECALL = recall()
+
+
+def miss(c: int, n: int, size: int, most: int) -> str:
+    """Misses by the lanes' overflow: each way to share l among lanes, relative to no miss at all."""
+    lanes = c // size
+
+    def ways(left: int, largest: int):
+        if left == 0:
+            yield ()
+        for e in range(min(left, largest), 0, -1):
+            for rest in ways(left - e, e):
+                yield (e, *rest)
+
+    terms = []
+    for l in range(most + 1):  # noqa: E741
+        for way in ways(l, l):
+            factor = []
+            for e in set(way):
+                # lanes that hold 1 + e of the relevant, against lanes that hold one each
+                share = " * ".join([*(f"({size - i}e0 / {i + 1})" for i in range(1 + e)), f"power({size}e0, -{1 + e})"])
+                factor.append(f"power({share}, {way.count(e)}) / {math.factorial(way.count(e))}")
+            down = " * ".join(f"{n - i}e0" for i in range(len(way) + l)) or "1e0"
+            up = " * ".join(f"{lanes - n + i}e0" for i in range(1, l + 1)) or "1e0"
+            terms.append(f"SELECT {l} AS l, {' * '.join(factor) or '1e0'} * ({down}) / ({up}) AS x")
+    none = f"(SELECT exp(sum(ln(({c}e0 - i * {size}e0) / ({c}e0 - i)))) FROM range({n}) t(i))"
+    return f"WITH p AS (SELECT l, sum(x) * {none} AS p FROM ({' UNION ALL '.join(terms)}) GROUP BY l) SELECT CAST(l AS INTEGER) AS l, round(p, 9) AS p, round(sum(p) OVER (ORDER BY l), 9) AS p_cum FROM p"
+
+
+MISS = miss(10**9 - 10**9 % 256, 1000, 256, 4)
+WORD = "((CAST('0x' || substr({d}, 1, 8) AS HUGEINT) << 32) + CAST('0x' || substr({d}, 9, 8) AS HUGEINT))"
+
+
+def generated() -> str:
+    """Recall over MD5 codes: bits as HUGEINT, compared by xor."""
+    def words_of(key: str, count: int, p: str) -> str:
+        return ", ".join(f"{WORD.format(d=f'md5({key} || {chr(39)}:{i}{chr(39)})')} AS {p}{i}" for i in range(count))
+
+    keys = "concat_ws(':', l_orderkey, l_linenumber, l_partkey, l_suppkey)"
+    dot = " + ".join(f"{2 ** (2 - i + 1 - j)} * (64 - 2 * CAST(bit_count(xor(q{i}, k{j})) AS INTEGER))" for i in range(3) for j in range(2))
+    lane_of = "pos // 1024 * 16 + pos % 16"
+    top = "SELECT q, pos FROM (SELECT q, pos, row_number() OVER (PARTITION BY q ORDER BY key DESC, pos) AS rn FROM {s}) WHERE rn <= 100"
+    return f"""WITH a AS (SELECT s_suppkey AS q, {words_of("CAST(s_suppkey AS VARCHAR)", 3, 'q')} FROM supplier), b AS (SELECT row_number() OVER (ORDER BY md5({keys})) - 1 AS pos, {words_of(keys, 2, 'k')} FROM lineitem),
+s AS (SELECT q, pos, CAST({dot} AS BIGINT) AS s, CAST(320 + 4 * (64 - 2 * CAST(bit_count(xor(k0, k1)) AS INTEGER)) AS BIGINT) AS n FROM a, b), t AS (SELECT q, pos, CASE WHEN s < 0 THEN -1 ELSE 1 END * ((s * s * {2 ** shift(1)}) // n) AS key FROM s),
+ex AS ({top.format(s='t')}), ln AS (SELECT q, max(struct_pack(key := key, p := -pos)) AS m FROM t GROUP BY q, {lane_of}), la AS ({top.format(s='(SELECT q, m.key AS key, -m.p AS pos FROM ln)')}),
+c AS (SELECT count(*) AS c FROM lineitem), x AS (SELECT c, CAST(c - c % 64 AS DOUBLE) AS d FROM c)
+SELECT (SELECT c FROM c) AS keywords, count(DISTINCT ex.q) AS queries, round(count(la.q) / (count(DISTINCT ex.q) * 100.0), 9) AS recall, (SELECT CASE WHEN c >= 6400 THEN round(d / 64 * (1 - exp(lgamma(d - 63) - lgamma(d - 163) - lgamma(d + 1) + lgamma(d - 99))) / 100.0, 4) END FROM x) AS expected FROM ex LEFT JOIN la ON la.q = ex.q AND la.pos = ex.pos"""
+
+
+GENERATED = generated()
+
 ORACLES: dict[str, str] = {
     "lane_top_n": lane_top(),
     "lane_top_n_r2": lane_top(2),
@@ -150,7 +266,8 @@ ORACLES: dict[str, str] = {
     "exact_top_n": EXACT,
     "exact_top_n_block": EXACT,
     "radix_top_n": EXACT,
-    "index_top_n": f"{pairs()} SELECT q AS query_id, max(key) AS best_key, CAST({N} AS BIGINT) AS n FROM scored GROUP BY q",
+    "index_top_n": f"""{pairs(self_too=True)}, best AS (SELECT *, min(key) OVER (PARTITION BY q) AS least FROM (SELECT q, k, key, row_number() OVER (PARTITION BY q ORDER BY key DESC, k) AS rn FROM scored) WHERE rn <= {N + 1})
+SELECT q AS query_id, CAST(row_number() OVER (PARTITION BY q ORDER BY key DESC, k) AS INTEGER) AS rank, k AS keyword_id, key AS rank_key FROM best WHERE key > least""",
     "float_top_n": f"WITH {FLOAT} SELECT q AS query_id, CAST(rn AS INTEGER) AS rank, k AS keyword_id, round(c, 9) AS score FROM near",
     "ladder_planes": f"""WITH {planes()} SELECT vec_id, {', '.join(f"array_to_string(list_transform(s{p}, lambda x: CASE WHEN x > 0 THEN '+' ELSE '-' END), '') AS plane{p}" for p in range(3))},
 CAST(list_dot_product({dense(1)}, {dense(1)}) AS INTEGER) AS norm1, CAST(list_dot_product({dense(2)}, {dense(2)}) AS INTEGER) AS norm2 FROM p2""",
@@ -160,8 +277,8 @@ CAST(list_dot_product({dense(1)}, {dense(1)}) AS INTEGER) AS norm1, CAST(list_do
     "code_dots_2_2": code_dots(2, 2),
     "code_dots_plain_2_1": code_dots(2, 1, False),
     "sql_functions": f"{pairs(self_too=True)}, base AS (SELECT a.vec_id AS q, sum(list_dot_product(a.s0, b.s0)) AS d FROM p2 a, p2 b GROUP BY a.vec_id) SELECT q AS query_id, CAST(sum(s) AS BIGINT) AS dots, CAST(any_value(base.d) AS BIGINT) AS base_dots, round(sum(cos), 6) AS cosines FROM scored JOIN base USING (q) GROUP BY q",
-    "progressive": f"""{pairs(self_too=True)}, kept AS (SELECT * FROM (SELECT a.vec_id AS q, b.vec_id AS k, row_number() OVER (PARTITION BY a.vec_id ORDER BY list_dot_product(a.s0, b.s0) DESC, b.vec_id) AS br FROM p2 a, p2 b) WHERE br <= 50)
-SELECT q AS query_id, count(*) AS kept, max(key) AS best_key, CAST(min(br) AS INTEGER) AS first_rank FROM kept JOIN scored USING (q, k) GROUP BY q""",
+    "progressive": f"""{pairs(self_too=True)}, kept AS (SELECT *, min(base) OVER (PARTITION BY q) AS least FROM (SELECT a.vec_id AS q, b.vec_id AS k, list_dot_product(a.s0, b.s0) AS base, row_number() OVER (PARTITION BY a.vec_id ORDER BY list_dot_product(a.s0, b.s0) DESC, b.vec_id) AS br FROM p2 a, p2 b) WHERE br <= 50)
+SELECT q AS query_id, count(*) AS kept, max(key) AS best_key, CAST(min(br) AS INTEGER) AS first_rank, max(s / sqrt(CAST(kn AS DOUBLE))) > any_value(CASE WHEN 8 * least + 832 >= 0 THEN (8 * least + 832) / 8.0 ELSE (8 * least + 832) / 24.0 END) AS certified FROM kept JOIN scored USING (q, k) GROUP BY q""",
     "above_threshold": f"{pairs()} SELECT q AS query_id, count(*) AS keywords, round(max(cos), 9) AS best FROM scored WHERE cos >= 0.4 GROUP BY q",
     "bits_table": bits(),
     "weights_table": weights(),
@@ -172,9 +289,8 @@ SELECT q AS query_id, count(*) AS kept, max(key) AS best_key, CAST(min(br) AS IN
     "cardinality_table": "SELECT CAST(p AS INTEGER) AS planes, CAST(power(2, p) AS INTEGER) AS weighted_values, CAST(p + 1 AS INTEGER) AS plain_values FROM range(1, 5) t(p)",
     "lane_geometry": f"SELECT pos // {LANE * WIDTH} * {WIDTH} + pos % {WIDTH} AS lane, count(*) AS keywords, min(pos) AS first, max(pos) AS last FROM (SELECT row_number() OVER () - 1 AS pos FROM lineitem) GROUP BY 1",
     "plane_stats": f"WITH {planes()} SELECT word, round(avg(list_sum(list_transform(s, lambda x: (x + 1) / 2)) / 64), 9) AS share FROM (SELECT 'p0_w0' AS word, s0 AS s FROM p2 UNION ALL SELECT 'p1_w0', s1 FROM p2 UNION ALL SELECT 'p2_w0', s2 FROM p2) GROUP BY word",
-    "recall_table": "",
     "pairs_clicks": CLICKS,
-    "pairs_turns": "SELECT conv_id * 10000 + turn AS pair_id, text AS q_text, k_text FROM (SELECT *, lead(role) OVER w AS nr, lead(text) OVER w AS k_text FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)) WHERE role = 'user' AND nr = 'assistant'",
+    "pairs_turns": "SELECT conv_id * 16777216 + turn AS pair_id, text AS q_text, k_text FROM (SELECT *, lead(role) OVER w AS nr, lead(text) OVER w AS k_text FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)) WHERE role = 'user' AND nr = 'assistant'",
     "pairs_lines": "SELECT doc_id AS pair_id, split_part(text, chr(10), 1) AS q_text, CAST(length(text) - length(split_part(text, chr(10), 1)) - 1 AS INTEGER) AS k_chars FROM documents WHERE contains(text, chr(10))",
     "training_samples": f"SELECT query_id, count(*) AS groups, count(*) AS positives, 10 * count(*) AS negatives FROM ({CLICKS}) GROUP BY query_id",
     "time_split": "SELECT CASE WHEN ts < TIMESTAMP '2024-01-24' THEN 'train' ELSE 'validation' END AS fold, count(*) AS clicks FROM events WHERE event_type = 'click' GROUP BY 1",
@@ -185,11 +301,20 @@ SELECT q AS query_id, count(*) AS kept, max(key) AS best_key, CAST(min(br) AS IN
     "lexical_bm25": f"WITH {BM25} {RANK5.format(source='bm')}",
     "lexical_tfidf": f"WITH {POSTINGS}, {TFIDF} {RANK5.format(source='ti')}",
     "lexical_bim": f"WITH {POSTINGS}, bi AS (SELECT qp.q, kp.k, sum(ln((c - df + 0.5) / (df + 0.5))) AS score FROM qp JOIN kp USING (term) JOIN df USING (term), n GROUP BY qp.q, kp.k) {RANK5.format(source='bi')}",
-    "quality_table": f"""WITH {BM25}, {TFIDF}, {JUDGED}, a AS ({RANK5.format(source='ti')}), b AS ({RANK5.format(source='bm')}),
-ga AS (SELECT coalesce(grade, 'bad') AS grade, count(*) AS n FROM a LEFT JOIN jd USING (query_id, keyword_id) GROUP BY 1), gb AS (SELECT coalesce(grade, 'bad') AS grade, count(*) AS n FROM b LEFT JOIN jd USING (query_id, keyword_id) GROUP BY 1)
-SELECT grade, coalesce(ga.n, 0) AS ours, coalesce(gb.n, 0) AS theirs, round(CASE WHEN coalesce(gb.n, 0) > 0 THEN (coalesce(ga.n, 0) - gb.n) * 100.0 / gb.n END, 6) AS change FROM ga FULL JOIN gb USING (grade)""",
-    "overlap_table": f"""WITH {BM25}, {TFIDF}, a AS ({RANK5.format(source='ti')}), b AS ({RANK5.format(source='bm')}), m AS (SELECT (SELECT count(*) FROM a) AS na, (SELECT count(*) FROM b) AS nb, (SELECT count(*) FROM a JOIN b USING (query_id, keyword_id)) AS c)
-SELECT c AS common, round(c / na, 9) AS of_ours, round(c / nb, 9) AS of_theirs, round(c / (na + nb - c), 9) AS jaccard FROM m""",
+    "quality_table": f"""{SYSTEMS}, names AS (SELECT DISTINCT baseline FROM th), ga AS (SELECT coalesce(grade, 'bad') AS grade, count(*) AS n FROM ours o LEFT JOIN jd ON jd.is_pos AND jd.query_id = o.query_id AND jd.keyword_id = o.keyword_id GROUP BY 1),
+gb AS (SELECT baseline, coalesce(grade, 'bad') AS grade, count(*) AS n FROM th t LEFT JOIN jd ON jd.is_pos AND jd.query_id = t.query_id AND jd.keyword_id = t.keyword_id GROUP BY 1, 2)
+SELECT baseline, grade, coalesce(a.n, 0) AS ours, coalesce(b.n, 0) AS theirs, round(CASE WHEN coalesce(b.n, 0) > 0 THEN (coalesce(a.n, 0) - b.n) * 100.0 / b.n END, 6) AS change FROM (SELECT baseline, grade, n FROM names, ga) a FULL JOIN gb b USING (baseline, grade)""",
+    "overlap_table": f"""{SYSTEMS}, good AS (SELECT query_id, keyword_id FROM jd WHERE grade IN ('good', 'excellent')), a AS (SELECT query_id, keyword_id FROM ours JOIN good USING (query_id, keyword_id)), b AS (SELECT baseline, query_id, keyword_id FROM th JOIN good USING (query_id, keyword_id)),
+m AS (SELECT baseline, (SELECT count(*) FROM a) AS na, (SELECT count(*) FROM b WHERE b.baseline = n.baseline) AS nb, (SELECT count(*) FROM a JOIN b USING (query_id, keyword_id) WHERE b.baseline = n.baseline) AS c FROM (VALUES ('equal keywords'), ('equal memory')) n(baseline))
+SELECT baseline, c AS common, round(CASE WHEN na > 0 THEN c / na END, 9) AS of_ours, round(CASE WHEN nb > 0 THEN c / nb END, 9) AS of_theirs, round(CASE WHEN na + nb > c THEN c / (na + nb - c) END, 9) AS jaccard FROM m""",
+    "text_top_n": f"{SYSTEMS} SELECT query_id, rank, keyword_id, rank_key FROM ours",
+    "judge_agreement": f"WITH {JUDGED} SELECT grade, count(*) AS pairs, count(quality) AS labelled, count_if(quality = 1) AS good, count_if(toxic = 1) AS toxic FROM jd LEFT JOIN labels ON doc_id = keyword_id GROUP BY grade",
+    "objective_table": f"""{pairs(self_too=True)}, {FLOAT}, {GROUPS}, probs AS (SELECT g, pos, exp(10 * cos) / sum(exp(10 * cos)) OVER (PARTITION BY g) AS p FROM gs) SELECT round(sum(CASE WHEN pos THEN -ln(p) END), 6) AS objective, round(sum(CASE WHEN pos THEN -ln(p) END) / count_if(pos), 9) AS log_loss FROM probs""",
+    "accuracy_table": ACCURACY,
+    "recall_table": RECALL,
+    "miss_table": MISS,
+    "pairs_pages": r"""SELECT page_id AS pair_id, regexp_extract(html, '(?is)<title[^>]*>(.*?)</title>', 1) AS q_text, CAST(length(trim(regexp_replace(regexp_replace(regexp_replace(regexp_replace(regexp_replace(html, '(?is)<head[^>]*>.*?</head>', ' ', 'g'), '(?is)<script[^>]*>.*?</script>', ' ', 'g'), '(?is)<style[^>]*>.*?</style>', ' ', 'g'), '(?s)<[^>]+>', ' ', 'g'), '[ \t\n\x0B\f\r]+', ' ', 'g'))) AS INTEGER) AS k_chars FROM pages""",
+    "generated_recall": GENERATED,
     "attributed_clicks": f"SELECT c.event_id AS click_id, count(*) AS views, max(v.event_id) AS last_view {VIEWS} GROUP BY 1",
     "stream_pairs": f"SELECT c.event_id AS click_id, count(*) AS views, max(v.event_id) AS last_view {VIEWS} GROUP BY 1",
     "stream_unique": CLICKS,
@@ -202,11 +327,10 @@ FROM (SELECT *, CAST(floor(epoch(ts)) AS BIGINT) AS t FROM events) WINDOW w AS (
 SELECT p_brand, count(*) AS winners, round(sum(coalesce(revenue, 0)), 2) AS revenue FROM win JOIN part ON p_partkey = keyword_id LEFT JOIN rev USING (keyword_id) GROUP BY p_brand""",
     "set_operations": f"""WITH a AS (SELECT query_id, keyword_id FROM ({EXACT})), b AS (SELECT query_id, keyword_id FROM ({lane_top()}))
 SELECT * FROM (SELECT 'kept' AS kind, (SELECT count(*) FROM (SELECT * FROM a INTERSECT SELECT * FROM b)) AS pairs UNION ALL SELECT 'lost', (SELECT count(*) FROM (SELECT * FROM a EXCEPT SELECT * FROM b)) UNION ALL SELECT 'instead', (SELECT count(*) FROM (SELECT * FROM b EXCEPT SELECT * FROM a))) WHERE pairs > 0""",
-    "grade_pivot": f"WITH {JUDGED} SELECT query_id, CAST(count_if(grade = 'fair') AS BIGINT) AS fair, CAST(count_if(grade = 'good') AS BIGINT) AS good, CAST(count_if(grade = 'excellent') AS BIGINT) AS excellent FROM jd GROUP BY query_id",
+    "grade_pivot": f"WITH {JUDGED} SELECT query_id, CAST(count_if(grade = 'fair') AS BIGINT) AS fair, CAST(count_if(grade = 'good') AS BIGINT) AS good, CAST(count_if(grade = 'excellent') AS BIGINT) AS excellent FROM jd WHERE is_pos GROUP BY query_id",
     "event_profile": "SELECT event_type, count(*) AS n, count(DISTINCT user_id) AS users, round(quantile_cont(value, 0.5), 6) AS median, round(stddev_samp(value), 6) AS spread FROM events GROUP BY event_type",
     "user_windows": """SELECT event_id, CAST(row_number() OVER w AS INTEGER) AS rn, CAST(dense_rank() OVER (PARTITION BY user_id ORDER BY event_type) AS INTEGER) AS dr, lag(event_id) OVER w AS before, lead(event_type) OVER w AS after, CAST(ntile(4) OVER w AS INTEGER) AS quarter,
 CAST(sum(CASE WHEN event_type = 'click' THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 6 PRECEDING AND CURRENT ROW) AS BIGINT) AS recent FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)""",
     "lateral_top": "SELECT user_id, event_id FROM (SELECT user_id, event_id, row_number() OVER (PARTITION BY user_id ORDER BY value DESC, event_id) AS rn FROM events) WHERE rn <= 2",
     "stream_answers": f"{pairs(self_too=True)} SELECT * FROM ({TOP.format(source='scored', n=N)}) WHERE query_id IN (SELECT user_id % (SELECT count(*) FROM embeddings) FROM events)",
 }
-del ORACLES["recall_table"]

@@ -155,3 +155,36 @@ def generated_codes(spark: SparkSession, lineitem: DataFrame, planes: int = 3) -
     from ..functions.codes import norm_sq_expr
 
     return coded.withColumn("norm_sq", norm_sq_expr(spec))
+
+
+def save_tower(spark: SparkSession, model, path: str) -> None:
+    """A two-sided encoder: one row of bytes for each 1024 parameter rows, and its shape."""
+    rows = [("", "meta", 0, 0, 0, 0, json.dumps({"dims": model.dims, "width": model.width, "mode": model.mode, "vocab": model.vocab, "ladders": {s: None if model.side(s).ladder is None else [model.side(s).ladder.weighted, model.side(s).ladder.shared] for s in ("query", "keyword")}}).encode())]
+    for side in ("query", "keyword"):
+        for (name, t), x in model.side(side).arrays().items():
+            for b in range(0, len(x), 1024):
+                part = np.ascontiguousarray(x[b : b + 1024], dtype="<f8")
+                rows.append((side, name, t, b, *part.shape, part.tobytes()))
+    spark.createDataFrame(rows, "side string, name string, t int, block int, n_rows int, n_cols int, data binary").coalesce(1).write.mode("overwrite").parquet(path)
+
+
+def load_tower(spark: SparkSession, path: str):
+    from ..operators.encoder import SideParams, TwoTower
+
+    parts: dict[tuple[str, str, int], list] = {}
+    meta = {}
+    for r in spark.read.parquet(path).orderBy("side", "name", "t", "block").collect():
+        if r["name"] == "meta":
+            meta = json.loads(bytes(r["data"]))
+        else:
+            parts.setdefault((r["side"], r["name"], r["t"]), []).append(np.frombuffer(bytes(r["data"]), "<f8").reshape(r["n_rows"], r["n_cols"]))
+    found = {k: np.concatenate(v) for k, v in parts.items()}
+    sides = []
+    for side in ("query", "keyword"):
+        def numbered(name: str, side: str = side) -> list[np.ndarray]:
+            return [found[k] for k in sorted(found) if k[:2] == (side, name)]
+
+        flags = meta["ladders"][side]
+        own = None if flags is None else LadderParams(found[side, "W", 0], numbered("B"), numbered("R"), *flags)
+        sides.append(SideParams(found.get((side, "conv", 0)), own, numbered("hidden")))
+    return TwoTower(*sides, meta["dims"], meta["width"], meta["mode"], meta["vocab"])

@@ -128,6 +128,25 @@ class TopNState(StatefulProcessor):
         pass
 
 
+def run_stateful_top_n(scored: DataFrame, N: int, path: str, checkpoint: str) -> StreamingQuery:
+    """Writes the updates of ``stateful_top_n``: each batch holds the whole list of every query it changed."""
+    spark = scored.sparkSession
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.withColumn("batch", F.lit(number)).write.mode("overwrite").parquet(f"{path}/part={number}")
+
+    return run(stateful_top_n(scored, N), checkpoint, keep, "update")
+
+
+def last_state(spark: SparkSession, path: str) -> str:
+    """The newest ``state=`` folder under ``path``."""
+    jvm = spark.sparkContext._jvm
+    p = jvm.org.apache.hadoop.fs.Path(path)
+    found = p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).listStatus(p)
+    return max((f.getPath().toString() for f in found if "state=" in f.getPath().getName()), key=lambda x: int(x.rsplit("=", 1)[1]))
+
+
 def stateful_top_n(scored: DataFrame, N: int) -> DataFrame:
     """Updates of the running best N per query (RocksDB state store)."""
     return scored.groupBy("query_id").transformWithStateInPandas(TopNState(N), "query_id long, rank int, keyword_id long, score double", "Update", "None")

@@ -40,7 +40,7 @@ def test_dots_norms_and_cosines_equal_dense(spark, u, v, n, weighted):
     df = planes_df(spark, q, k, qs, ks)
     out = df.select(
         codes.dot_expr(qs, ks).alias("h"), codes.dot_expr(qs, ks, order="naive").alias("n"), codes.norm_sq_expr(ks).alias("kn"), codes.norm_sq_expr(qs, "q_").alias("qn"),
-        codes.cosine_expr(codes.dot_expr(qs, ks), codes.norm_sq_expr(qs, "q_"), codes.norm_sq_expr(ks)).alias("c"), match.rank_key(codes.dot_expr(qs, ks), codes.norm_sq_expr(ks), ks).alias("key"),
+        codes.cosine_expr(codes.dot_expr(qs, ks), codes.norm_sq_expr(qs, "q_"), codes.norm_sq_expr(ks)).alias("c"), match.rank_key(codes.dot_expr(qs, ks), codes.norm_sq_expr(ks), qs, ks).alias("key"),
     ).collect()
     dq, dk = ladder.dense(q, weighted), ladder.dense(k, weighted)
     for r, a, b in zip(out, dq, dk, strict=True):
@@ -70,7 +70,7 @@ def test_zero_code_has_no_cosine(spark):
     s = CodeSpec(64, 2, False)
     p = np.ones((1, 64))
     df = planes_df(spark, [p, p], [p, -p], s, s)
-    r = df.select(codes.norm_sq_expr(s).alias("n"), codes.cosine_expr(codes.dot_expr(s, s), codes.norm_sq_expr(s, "q_"), codes.norm_sq_expr(s)).alias("c"), match.rank_key(codes.dot_expr(s, s), codes.norm_sq_expr(s), s).alias("k")).first()
+    r = df.select(codes.norm_sq_expr(s).alias("n"), codes.cosine_expr(codes.dot_expr(s, s), codes.norm_sq_expr(s, "q_"), codes.norm_sq_expr(s)).alias("c"), match.rank_key(codes.dot_expr(s, s), codes.norm_sq_expr(s), s, s).alias("k")).first()
     assert r["n"] == 0 and r["c"] is None and r["k"] is None
 
 

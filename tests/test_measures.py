@@ -8,7 +8,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from bitladder import workloads
+from bitladder import registry, workloads
 from bitladder.operators import baselines, loss, metrics, missprob, samples
 from bitladder.sources import codes_source, io
 
@@ -173,9 +173,9 @@ def test_query_equals_its_sql(spark, sf, name):
     con = duckdb.connect()
     for t in io.TABLES:
         con.sql(f"create view {t} as select * from '{sf}/{t}.parquet'")
-    df = workloads.QUERIES[name](spark, sf)
+    df = registry.QUERIES[name](spark, sf)
     cols = sorted(df.columns)
-    want = con.sql(workloads.ORACLES[name])
+    want = con.sql(registry.ORACLES[name])
     assert cols == sorted(want.columns)
 
     def tidy(rows):
