@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -80,38 +82,51 @@ def block_queues(queries: DataFrame, index: DataFrame, qspec: CodeSpec, kspec: C
     names = ["query_id", "lane", "pos", "rank_key", *(["keyword_id"] if named else [])]
     schema = ", ".join(f"{c} long" for c in names)
 
+    cores = spark.sparkContext.defaultParallelism
+    if index.rdd.getNumPartitions() < cores:  # a small index: spread it, whole blocks of lanes together
+        index = index.repartition(cores, F.floor(F.col("pos") / F.lit((lane_size or 1) * (lanes_per_block if lane_size else 64))))
+
     def wave(rows: list):
-        sent = spark.sparkContext.broadcast((np.array([x[0] for x in rows], np.int64), np.array([x[1:] for x in rows], np.int64)))
+        ids, words = np.array([x[0] for x in rows], np.int64), np.array([x[1:] for x in rows], np.int64)
+        sent = spark.sparkContext.broadcast((ids, words))
 
         def run(batches):
             qi, qw = sent.value
             best: list = [None] * len(qi)
+            # scores are sifted as floats, with slack; keys of what is left are exact
+            least = np.full(len(qi), -np.inf)
+            slack = np.float32(1e-4 * math.sqrt(match.norm_bound(qspec)))
+            by_id = np.argsort(qi)
             for batch in batches:
-                if not batch.num_rows:
-                    continue
-                pos = batch.column(0).to_numpy(zero_copy_only=False)
-                norm = batch.column(1).to_numpy(zero_copy_only=False).astype(np.int64)
-                k = np.stack([batch.column(2 + c).to_numpy(zero_copy_only=False) for c in range(len(kcols))], axis=1)
-                own = batch.column(2 + len(kcols)).to_numpy(zero_copy_only=False) if named else pos
-                lane = pos if lane_size is None else pos // (lane_size * lanes_per_block) * lanes_per_block + pos % lanes_per_block
-                rows_ = np.lexsort((pos, lane))
-                pos, norm, k, lane, own = pos[rows_], norm[rows_], k[rows_], lane[rows_], own[rows_]
-                edge = np.flatnonzero(np.concatenate([[True], lane[1:] != lane[:-1]]))
-                sizes = np.diff(np.append(edge, len(lane)))
-                for a in range(0, len(qi), 64):
-                    dot = match.tile_scores(qw[a : a + 64], np.ascontiguousarray(k), qspec, kspec).astype(np.int64)
-                    key = match.rank_keys(dot, norm, qspec, kspec)
-                    out_of = (norm <= 0)[:, None]
-                    if exclude_self:
-                        out_of = out_of | (own[:, None] == qi[None, a : a + 64])
-                    key = np.where(out_of, NOTHING, key)
-                    likely = shortlist(key, edge, sizes, N, r)
-                    for j in range(key.shape[1]):
-                        use = np.flatnonzero(likely[:, j])
-                        best[a + j] = queue(best[a + j], (lane[use], pos[use], key[use, j], own[use]), r, N)
+                for at in range(0, batch.num_rows, TILE):
+                    part = batch.slice(at, TILE)
+                    pos, norm = part.column(0).to_numpy(zero_copy_only=False), part.column(1).to_numpy(zero_copy_only=False).astype(np.int64)
+                    lane = pos if lane_size is None else pos // (lane_size * lanes_per_block) * lanes_per_block + pos % lanes_per_block
+                    rows_ = np.lexsort((pos, lane))
+                    k = np.ascontiguousarray(np.stack([part.column(2 + c).to_numpy(zero_copy_only=False) for c in range(len(kcols))], axis=1)[rows_])
+                    own = part.column(2 + len(kcols)).to_numpy(zero_copy_only=False)[rows_] if named else pos[rows_]
+                    pos, norm, lane = pos[rows_], norm[rows_], lane[rows_]
+                    edge = np.flatnonzero(np.concatenate([[True], lane[1:] != lane[:-1]]))
+                    number = np.cumsum(np.concatenate([[0], lane[1:] != lane[:-1]]))
+                    inverse = np.where(norm > 0, 1.0 / np.sqrt(np.maximum(norm, 1)), np.nan).astype(np.float32)
+                    self_at = same_ids(own, qi, by_id) if exclude_self else None
+                    for a in range(0, len(qi), 64):
+                        dot = match.tile_scores(qw[a : a + 64], k, qspec, kspec)
+                        score = dot * inverse[:, None]
+                        score[norm <= 0] = -np.inf
+                        if self_at is not None:
+                            row, col = self_at
+                            mine = (col >= a) & (col < a + 64)
+                            score[row[mine], col[mine] - a] = -np.inf
+                        for j, use in sifted(score, edge, number, least[a : a + 64], N, r, slack):
+                            key = match.rank_keys(dot[use, j].astype(np.int64)[:, None], norm[use], qspec, kspec)[:, 0]
+                            i = a + j
+                            best[i] = queue(best[i], (lane[use], pos[use], key, own[use], score[use, j]), r, N)
+                            if len(best[i][0]) >= N:
+                                least[i] = best[i][4].min() - slack
             for i, q in enumerate(qi.tolist()):
                 if best[i] is not None and len(best[i][0]):
-                    lane, pos, key, own = best[i]
+                    lane, pos, key, own, _ = best[i]
                     yield pa.RecordBatch.from_arrays([pa.array(x) for x in (np.full(len(pos), q), lane, pos, key, *([own] if named else []))], names)
 
         return index.mapInArrow(run, schema), sent
@@ -119,20 +134,35 @@ def block_queues(queries: DataFrame, index: DataFrame, qspec: CodeSpec, kspec: C
     return match.wave_by_wave(spark, match.local_waves(queries.select("query_id", *qspec.columns("q_")), wave_rows), wave, schema)
 
 
-#: the key of a keyword that takes no part
-NOTHING = np.iinfo(np.int64).min
+#: keywords that are scored at once: with 64 queries a tile's arrays stay in the cache
+TILE = 2048
+
+
+def same_ids(own: np.ndarray, qi: np.ndarray, by_id: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(keyword row, query number) of equal ids; ``by_id`` sorts the distinct query ids."""
+    at = np.minimum(np.searchsorted(qi[by_id], own), len(qi) - 1)
+    row = np.flatnonzero(qi[by_id][at] == own)
+    return row, by_id[at[row]]
 
 
-def shortlist(key: np.ndarray, edge: np.ndarray, sizes: np.ndarray, N: int, r: int) -> np.ndarray:
-    """Which entries of a tile (rows sorted by lane) can still be among the N best of a queue.
+def sifted(score: np.ndarray, edge: np.ndarray, number: np.ndarray, least: np.ndarray, N: int, r: int, slack: np.float32):
+    """(query column, rows) that can still be among the N best of a queue.
 
-    A lane's best must reach the N-th best over the lanes.  What is below it never
-    returns: later entries of its lane that are worse are below it too.
+    A lane's best must reach the N-th best over the tile's lanes, and what is known
+    to be the N-th best already.  What is below never returns: later entries of its
+    lane that are worse are below it too.
     """
-    best = np.maximum.reduceat(key, edge, axis=0)
-    least = np.partition(best, len(best) - N, axis=0)[len(best) - N] if len(best) > N else np.full(key.shape[1], NOTHING)
-    likely = (key >= least[None, :]) & (key > NOTHING)
-    return likely & (key == np.repeat(best, sizes, axis=0)) if r == 1 else likely
+    top = np.maximum.reduceat(score, edge, axis=0)
+    if len(top) > N:
+        least = np.maximum(least, np.partition(top, len(top) - N, axis=0)[len(top) - N] - slack)
+    live = np.flatnonzero((top >= least[None, :]).any(axis=0))
+    for j in live.tolist():
+        s = score[:, j]
+        use = np.flatnonzero((s >= least[j]) & (s > -np.inf))
+        if r == 1:
+            use = use[s[use] >= top[number[use], j] - slack]
+        if len(use):
+            yield j, use
 
 
 def queue(have, fresh, r: int, N: int | None):

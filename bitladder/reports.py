@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from . import workloads as w
 from .functions import codes, sqlfuncs, text
 from .operators import baselines, encoder, ladder, match, metrics, relational, retrieve, samples, select
-from .oracles import EXACT, FLOAT, LANE, N, TOP, WIDTH, lane_top, pairs, planes, words
+from .oracles import EXACT, FLOAT, LANE, ROWS, TOP, WIDTH, N, hashed_sum, lane_top, pairs, planes, vector_planes, words
 from .plans.index import LadderIndex, LadderModel
 from .sources import io
 from .streaming import stream
@@ -274,10 +274,13 @@ def rates(spark: SparkSession, sf: str, **options) -> DataFrame:
 
 
 def late_rows(spark: SparkSession, sf: str) -> DataFrame:
-    """A file of old events last: whole windows that the watermark has closed lose them, and they are reported."""
+    """A file of old events last: days that the watermark has closed lose them, and they are reported.
+
+    Late rows are judged by the watermark of the batch before, so two files come first.
+    """
     path = f"{io.shared_dir(spark).rstrip('/')}/late-{uuid.uuid4().hex}"
     e = io.table(spark, sf, "events")
-    for part in (e.where("ts >= '2024-01-10'"), e.where("ts < '2024-01-10'")):
+    for part in (e.where("ts >= '2024-01-10' and ts < '2024-01-20'"), e.where("ts >= '2024-01-20'"), e.where("ts < '2024-01-10'")):
         w.append_file(part.coalesce(1).sortWithinPartitions("ts"), path)
     events = stream.events_stream(spark, path)
     out, cp = w._stream_dirs(spark)
@@ -375,6 +378,7 @@ def folded(kind: str) -> str:
 
 
 RATES = "count_if(event_type = 'view') AS views, count_if(event_type = 'click') AS clicks, round(CASE WHEN count_if(event_type = 'view') > 0 THEN count_if(event_type = 'click') / count_if(event_type = 'view') END, 9) AS ctr"
+CLOSED = '"end" <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR'
 JOINED = "SELECT o_orderpriority, count(*) AS lines, CAST(sum(l_quantity) AS BIGINT) AS quantity FROM lineitem JOIN orders ON o_orderkey = l_orderkey GROUP BY 1"
 RUNNING = "SELECT user_id AS query_id, CAST(rn AS INTEGER) AS rank, event_id AS keyword_id FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY value DESC, event_id) AS rn FROM events WHERE value IS NOT NULL) WHERE rn <= 3"
 FILTERS = {"compare": "p_size > 25", "in": "p_brand IN ('Brand#1', 'Brand#2')", "between": "p_size BETWEEN 10 AND 20", "like": "p_type LIKE 'STANDARD%'", "null": "p_type IS NOT NULL", "array": "list_contains(string_split(p_name, ' '), 'red')"}
@@ -411,9 +415,14 @@ SELECT kind, count(*) AS n, CAST(sum(list_sum({BITS.format(s='s')})) AS BIGINT)
     "formats": "SELECT c_mktsegment, count(*) AS customers, round(sum(c_acctbal), 2) AS balance, format FROM customer, (VALUES ('csv'), ('json'), ('orc'), ('text')) t(format) GROUP BY ALL",
     "stored_results": lane_top(),
     "candidate_traffic": f"{pairs()} SELECT 'pairs' AS stage, count(*) AS rows FROM scored UNION ALL SELECT 'lanes', count(*) FROM (SELECT DISTINCT q, k // {LANE * WIDTH} * {WIDTH} + k % {WIDTH} FROM scored) UNION ALL SELECT 'merged', count(*) FROM ({TOP.format(source='scored', n=N)})",
+    "vector_codes": f"WITH {ROWS}, qe AS ({hashed_sum('benchmark', 'item_id')}), {vector_planes('qa', 'qe')} SELECT vec_id AS item_id, {SIGNS.format(s='s0')} AS plane0, {SIGNS.format(s='s1')} AS plane1 FROM qa2",
     "sampled_floats": f"""WITH {FLOAT}, every AS (SELECT a.vec_id AS q, b.vec_id AS k, list_dot_product(list_transform(a.v, lambda x: x / sqrt(list_dot_product(a.v, a.v))), list_transform(b.v, lambda x: x / sqrt(list_dot_product(b.v, b.v)))) AS c FROM fl a, fl b WHERE CAST('0x' || substr(md5('0:' || CAST(b.vec_id AS VARCHAR)), 1, 7) AS BIGINT) % 1000 < 250)
 SELECT q AS query_id, CAST(rn AS INTEGER) AS rank, k AS keyword_id, round(c, 9) AS score FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY c DESC, k) AS rn FROM every) WHERE rn <= 3""",
-    "stream_tumbling": f"SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR AS \"end\", {RATES} FROM events GROUP BY 1, 2",
+    # windows leave when the watermark, one hour behind the last event, has passed their end
+    "stream_tumbling": f"SELECT * FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR AS \"end\", {RATES} FROM events GROUP BY 1, 2) WHERE {CLOSED}",
+    "stream_sliding": f"SELECT * FROM (SELECT b AS start, b + INTERVAL 6 HOUR AS \"end\", {RATES} FROM (SELECT *, unnest([time_bucket(INTERVAL 3 HOUR, ts), time_bucket(INTERVAL 3 HOUR, ts) - INTERVAL 3 HOUR]) AS b FROM events) GROUP BY 1, 2) WHERE {CLOSED}",
+    "stream_sessions": f"SELECT * FROM (SELECT min(ts) AS start, max(ts) + INTERVAL 2 HOUR AS \"end\", user_id, {RATES} FROM (SELECT *, sum(n) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 2 HOUR THEN 0 ELSE 1 END AS n FROM events)) GROUP BY user_id, s) WHERE {CLOSED}",
+    "stream_late": f"SELECT true AS reported, count(*) AS kept FROM (SELECT *, time_bucket(INTERVAL 1 DAY, ts) + INTERVAL 1 DAY AS \"end\" FROM events) WHERE ts >= '2024-01-10' AND event_type IN ('view', 'click') AND {CLOSED}",
     "stream_running_top": RUNNING,
     "stream_merged_top": RUNNING,
     "stream_upserts": f"WITH {planes()} SELECT vec_id, CASE WHEN vec_id % 10 = 0 THEN {SIGNS.format(s='list_transform(s0, lambda x: -x)')} ELSE {SIGNS.format(s='s0')} END AS plane0, CAST(CASE WHEN vec_id % 10 = 0 THEN 1 ELSE 0 END AS INTEGER) AS version FROM p2",

@@ -262,7 +262,10 @@ def generated_recall(spark: SparkSession, sf: str) -> DataFrame:
     lines = io.table(spark, sf, "lineitem").select(*keys).withColumn("digest", F.md5(F.concat_ws(":", *[F.col(c).cast("string") for c in keys])))
     numbered = io.dense_pos(lines, "digest")
     k = md5_codes(numbered, keys, "pos", 2).withColumn("norm_sq", codes.norm_sq_expr(ks))
-    k = io.checkpoint(k, "generated")
+    # parts of whole blocks: a lane in two partitions would have a queue in each
+    path = f"{io.shared_dir(spark).rstrip('/')}/generated-{uuid.uuid4().hex}"
+    io.write_index(k, ks, path, 1 << 14, 64, 16)
+    k, _ = io.read_index(spark, path)
     exact = retrieve.top_n(q, k, qs, ks, 100, mode="exact", backend="block")
     got = retrieve.top_n(q, k, qs, ks, 100, 64, 16, backend="block")
     C = k.count()
