@@ -17,20 +17,28 @@ still counts.
 4. Equal vectors are one from here on.  In a bucket every member is tied to the
    smallest one, never to all; the connected components of these ties are the
    candidate groups.  Only ids move up to this point.
-5. Vectors come together once, by candidate group, and every pair in a group is
+5. Vectors come together by candidate group, and every pair in a group is
    verified by weighted Jaccard similarity as a product of sparse blocks; only
-   links that join two parts leave.  A group beyond ``GROUP`` documents is cut into
-   blocks, and each pair of blocks is a task's work of bounded size.  So a link is
+   links that join two parts leave.  A group beyond ``GROUP`` documents is dealt to
+   blocks of bounded size: links within the blocks come first, then those between
+   one document of each part, and only where a group is still in several parts do
+   the others of its blocks meet, each pair of blocks a task's work.  So a link is
    lost only where no band ever tied its two texts into one group.
 
+Keys that hold many rows (a text with thousands of copies, a popular band, a hub of
+ties) are answered by a broadcast of at most ``HOT`` keys, the rest by a join, so
+no task gathers the rows of one key.
+
 A row without doc_id is known by a hash of its text, so that each different text
-is a document of its own; two such rows of one text are two equal documents.
+is a document of its own; two such rows of one text are two equal documents.  Rows
+that repeat a doc_id are one document; with different texts each text is looked at
+on its own and all that resemble any of them join its class.
 
 The class is the smallest doc_id of the component, null where that is a row
-without doc_id (they come first).  Null, empty or wordless texts
-are alone.  Under five words the whole text is the one shingle.  Rows that repeat
-a doc_id count as one document; with different texts in different chunks, one of
-the texts stands for it.
+without doc_id (they come first).  Null, empty or wordless texts are alone.  Under
+five words the whole text is the one shingle.  Texts are taken whole; the longest
+one is held in memory with a few numbers for each word.  Empty tables give no
+rows, other columns are not looked at.
 """
 
 from __future__ import annotations
@@ -47,6 +55,8 @@ WORDS, THRESHOLD = 5, 0.8
 BANDS, ROWS = 16, 4
 #: documents that one task compares with each other at most (twice this for two blocks)
 GROUP = 1024
+#: keys with more than one row in so many are hot; there are at most that many of them
+HOT = 1000
 
 
 class Shingles:
@@ -168,6 +178,45 @@ def doc_key():
     return F.coalesce(F.col("doc_id").cast("long"), text_key())
 
 
+def text_hash():
+    return F.xxhash64(F.coalesce(F.col("text").cast("binary"), F.lit(b"")))
+
+
+def other_texts(docs: DataFrame) -> DataFrame:
+    """doc, first: doc_ids that come with different texts, and the least of their texts' hashes."""
+    seen = docs.where(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("_doc"), text_hash().alias("h"))
+    return seen.groupBy("_doc").agg(F.min("h").alias("_first"), F.max("h").alias("_last")).where("_first <> _last").select("_doc", "_first")
+
+
+def extra_key():
+    """A key of its own, behind ordinary doc_ids, for a further text of a doc_id."""
+    return F.shiftrightunsigned(F.xxhash64("doc_id", text_hash()), 2) + F.lit(1 << 62)
+
+
+def keyed(docs: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+    """doc_id (as ``doc_key``) and text; and links a-b from a doc_id to its further texts, if any."""
+    several = written(other_texts(docs), "several")
+    if several.isEmpty():
+        return docs.select(doc_key().alias("doc_id"), "text"), None
+    rows = docs.select("doc_id", "text", doc_key().alias("_key")).join(several, F.col("_key") == F.col("_doc"), "left")
+    further = F.col("_first").isNotNull() & (F.col("_first") != text_hash())
+    links = rows.where(further).select(F.col("_key").alias("a"), extra_key().alias("b")).distinct()
+    return rows.select(F.when(further, extra_key()).otherwise(F.col("_key")).alias("doc_id"), "text"), links
+
+
+def looked_up(rows: DataFrame, found: DataFrame, key: str, total: int) -> DataFrame:
+    """``rows`` joined to ``found`` (one row for each ``key``, with its row count ``n``), hot keys by broadcast.
+
+    At most ``HOT`` keys can have more than one row in ``HOT``, so the broadcast is
+    bounded, and what is shuffled has no key beyond that share (or ``GROUP`` rows).
+    """
+    hot, more = (F.col("n") * HOT > total) & (F.col("n") > GROUP), [c for c in found.columns if c != key]
+    marked = rows.join(F.broadcast(found.where(hot).select(key, F.struct(*more).alias("_hot"))), key, "left")
+    near_by = marked.where("_hot is not null").select(*rows.columns, *[F.col(f"_hot.{c}").alias(c) for c in more])
+    far = marked.where("_hot is null").drop("_hot").join(found.where(~hot), key)
+    return near_by.unionByName(far.select(*rows.columns, *more))
+
+
 def unnamed(docs: DataFrame) -> DataFrame:
     """doc, copies and whether there are words, of the rows without doc_id."""
     rows = docs.where(F.col("doc_id").isNull()).select(text_key().alias("doc"), F.coalesce(F.col("text").cast("string").rlike(WORDED), F.lit(False)).alias("worded"))
@@ -175,12 +224,13 @@ def unnamed(docs: DataFrame) -> DataFrame:
 
 
 def vectors(docs: DataFrame, words: int, threshold: float) -> DataFrame:
-    """doc, key, tf and idf bytes, a hash of them, and band hashes, of documents that may have partners."""
-    chunks = chunk_table(docs.select(doc_key().alias("doc_id"), "text"))
+    """doc, key, tf and idf bytes, a hash of them, and band hashes, of documents that may have partners.
+
+    ``docs`` has doc_id and text, one text for each doc_id, in any number of rows.
+    """
+    chunks = chunk_table(docs)
     bits = bucket_bits(chunks, 1.6)
-    n_rows, n_docs = docs.where(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc")).agg(F.count("*"), F.count_distinct("doc")).first()
-    more_rows, more_docs = unnamed(docs).agg(F.coalesce(F.sum("copies"), F.lit(0)), F.count("*")).first()
-    n_rows, n_docs = n_rows + more_rows, n_docs + more_docs
+    n_rows, n_docs = docs.select("doc_id").agg(F.count("*"), F.count_distinct("doc_id")).first()
     scale = np.log(1.0 + max(n_docs, 1))
 
     def ask(batches):
@@ -224,8 +274,8 @@ def vectors(docs: DataFrame, words: int, threshold: float) -> DataFrame:
                 )
 
     found = joined.mapInArrow(weigh, "doc long, key binary, tf binary, idf binary, same binary, bands array<long>")
-    if n_rows > n_docs:  # an id in several chunks: one vector for it
-        found = found.groupBy("doc").agg(F.max(F.struct("key", "tf", "idf", "same", "bands")).alias("v")).select("doc", "v.*")
+    if n_rows > n_docs:  # an id in several chunks comes with one vector in each
+        found = found.dropDuplicates(["doc"])
     return written(found, "vectors")
 
 
@@ -246,11 +296,13 @@ class Parts:
         return x != y
 
 
-def similar_pairs(keys: list[bytes], tfs: list[bytes], idfs: list[bytes], threshold: float, step: int = 256, wide: int = 8192):
+def similar_pairs(keys: list[bytes], tfs: list[bytes], idfs: list[bytes], threshold: float, step: int = 256, wide: int = 8192, parts: np.ndarray | None = None):
     """Pairs (i, j) of vectors whose weighted Jaccard similarity reaches the threshold.
 
     A shingle that occurs n times is n features of its weight, so the sum of the
     smaller weights is a product of 0/1 rows; features of one vector only drop out.
+    With ``parts`` pairs within one part are of no interest, and blocks that hold a
+    single part are not multiplied.
     """
     sizes = np.array([len(k) // 8 for k in keys])
     key = np.frombuffer(b"".join(keys), np.uint64)
@@ -271,6 +323,10 @@ def similar_pairs(keys: list[bytes], tfs: list[bytes], idfs: list[bytes], thresh
     for a in range(0, len(keys), step):
         for b in range(a, len(keys), step):
             ra, rb = min(step, len(keys) - a), min(step, len(keys) - b)
+            if parts is not None:
+                both = np.concatenate([parts[a : a + ra], parts[b : b + rb]])
+                if (both == both[0]).all():
+                    continue
             common = np.zeros((ra, rb))
             for w, (lo, hi) in enumerate(zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True)):
                 r = row[lo:hi]
@@ -289,14 +345,16 @@ def similar_pairs(keys: list[bytes], tfs: list[bytes], idfs: list[bytes], thresh
 def verified(groups: DataFrame, threshold: float) -> DataFrame:
     """Links a-b within groups: as few as join what is similar.
 
-    ``groups`` has g (the work unit), doc, key, tf, idf.
+    ``groups`` has g (the work unit), doc, part (what is joined already), key, tf, idf.
     """
 
     def compare(table: pa.Table) -> pa.Table:
-        docs = table.column("doc").to_pylist()
-        parts, a, b = Parts(len(docs)), [], []
-        for i, j in similar_pairs(*(table.column(c).to_pylist() for c in ("key", "tf", "idf")), threshold):
-            if parts.join(i, j):
+        table = table.sort_by([("part", "ascending"), ("doc", "ascending")])
+        docs, known = table.column("doc").to_pylist(), table.column("part").to_numpy()
+        number = np.unique(known, return_inverse=True)[1]
+        parts, a, b = Parts(int(number.max()) + 1), [], []
+        for i, j in similar_pairs(*(table.column(c).to_pylist() for c in ("key", "tf", "idf")), threshold, parts=number):
+            if parts.join(int(number[i]), int(number[j])):
                 a.append(docs[i])
                 b.append(docs[j])
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
@@ -304,57 +362,132 @@ def verified(groups: DataFrame, threshold: float) -> DataFrame:
     return groups.groupBy("g").applyInArrow(compare, "a long, b long")
 
 
+def forest(edges: DataFrame, rows: int = 1 << 17) -> DataFrame:
+    """a, b: the same components by fewer edges, each from a doc to the smallest that its run of ``rows`` edges reaches."""
+
+    def shorten(batches):
+        for batch in batches:
+            for at in range(0, batch.num_rows, rows):
+                part = batch.slice(at, rows)
+                a, b = (part.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
+                docs, number = np.unique(np.concatenate([a, b]), return_inverse=True)
+                parts = Parts(len(docs))
+                for x, y in zip(number[: len(a)].tolist(), number[len(a) :].tolist(), strict=True):
+                    parts.join(x, y)
+                roots = np.array([parts.root(x) for x in range(len(docs))], dtype=np.int64)
+                child = np.flatnonzero(roots != np.arange(len(docs)))
+                yield pa.RecordBatch.from_arrays([pa.array(docs[child]), pa.array(docs[roots[child]])], ["a", "b"])
+
+    return edges.mapInArrow(shorten, "a long, b long")
+
+
+def unsettled(edges: DataFrame) -> tuple[int, int, int]:
+    """How many docs do not hang on one root that hangs on none, the largest degree, and the edges."""
+    nodes = edges.select(F.col("a").alias("x"), F.lit(1).alias("child")).unionByName(edges.select(F.col("b").alias("x"), F.lit(0).alias("child")))
+    per = nodes.groupBy("x").agg(F.sum("child").alias("c"), F.count("*").alias("n"))
+    open_ = F.count_if((F.col("c") > 1) | ((F.col("c") == 1) & (F.col("n") > 1)))
+    return tuple(per.agg(open_, F.coalesce(F.max("n"), F.lit(0)), F.coalesce(F.sum("c"), F.lit(0))).first())
+
+
 def components(links: DataFrame) -> DataFrame:
     """doc, class: the smallest doc that links reach, by large-star and small-star steps.
 
-    Each step is written to the shared folder; steps end when nothing changes.
+    Each step is written to the shared folder; steps end when every doc hangs on
+    its root.  Hubs are answered by broadcast (``looked_up``).
     """
 
-    def star(edges: DataFrame, large: bool) -> DataFrame:
+    def star(edges: DataFrame, large: bool, total: int, hubs: bool) -> DataFrame:
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         if not large:
             both = edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-        least = both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("at"), F.least("a", "m").alias("m"))
-        joined = both.join(least, both["a"] == least["at"])
+        least = both.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")).select("a", F.least("a", "m").alias("m"), "n")
+        joined = looked_up(both, least, "a", total) if hubs else both.join(least, "a")
         if large:
             return joined.where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         return joined.select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(joined.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
 
-    edges = written(links.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
-    before, mark = None, ()
-    while mark != before:
-        edges = written(star(star(edges, True), False), "edges")
-        before, mark = mark, tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
-    return edges.groupBy("a").agg(F.min("b").alias("class")).select(F.col("a").alias("doc"), "class")
+    edges = written(forest(links.where("a <> b")).distinct(), "edges")
+    while True:
+        left, most, total = unsettled(edges)
+        if not left:
+            return edges.select(F.col("a").alias("doc"), F.col("b").alias("class"))
+        hubs = most > GROUP
+        edges = written(star(star(edges, True, 2 * total, hubs), False, total, hubs), "edges")
+
+
+def with_roots(found: DataFrame) -> DataFrame:
+    """doc, class of ``components`` with the smallest docs themselves."""
+    return found.unionByName(found.select(F.col("class").alias("doc"), "class").distinct())
 
 
 def candidate_groups(reps: DataFrame) -> DataFrame:
     """doc, class: components of the ties in buckets, of documents with any tie."""
     members = reps.select("doc", F.explode("bands").alias("bucket"))
-    least = members.groupBy("bucket").agg(F.min("doc").alias("least"), F.count("*").alias("n")).where("n > 1").select("bucket", "least")
-    ties = members.join(least, "bucket").where("doc <> least").select(F.col("least").alias("a"), F.col("doc").alias("b")).distinct()
-    found = components(ties)
-    return written(found.unionByName(found.select(F.col("class").alias("doc"), "class")).distinct(), "groups")
+    least = members.groupBy("bucket").agg(F.min("doc").alias("least"), F.count("*").alias("n")).where("n > 1")
+    ties = looked_up(members, least, "bucket", reps.count() * BANDS).where("doc <> least").select(F.col("least").alias("a"), F.col("doc").alias("b")).distinct()
+    return written(with_roots(components(ties)), "groups")
+
+
+def linked(groups: DataFrame, store: DataFrame, threshold: float) -> DataFrame:
+    """Links a-b that join all similar documents of each candidate group.
+
+    ``groups`` has doc, class.  Small groups are one unit of work.  A large group is
+    first compared within blocks, then by one document of each part found so far;
+    if parts remain, every document outside the largest meets all of the group.
+    """
+    shingles = store.select("doc", "key", "tf", "idf")
+    sizes = groups.groupBy("class").agg(F.count("*").alias("n"))
+    dealt = looked_up(groups, sizes, "class", groups.count()).withColumn("blocks", F.ceil(F.col("n") / F.lit(GROUP)).cast("int"))
+    dealt = dealt.select("doc", "class", "n", "blocks", F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int").alias("i"))
+    unit = F.struct(F.col("class"), F.col("i"), F.col("i").alias("j"))
+    links = written(verified(dealt.select("doc", F.col("doc").alias("part"), unit.alias("g")).join(shingles, "doc"), threshold), "links")
+    large = written(dealt.where("blocks > 1").select("doc", "class"), "large")
+    if large.isEmpty():
+        return links
+    heads = parted_by(large, links).where("doc = part")
+    few = heads.groupBy("class").agg(F.count("*").alias("heads")).where(f"heads between 2 and {GROUP}").select("class")
+    once = F.struct("class", F.lit(0).alias("i"), F.lit(0).alias("j"))
+    first = heads.join(few, "class", "left_semi").select("doc", "part", once.alias("g"))
+    links = written(links.unionByName(verified(first.join(shingles, "doc"), threshold)), "links")
+    parted = parted_by(large, links)
+    left = written(remaining(parted), "left")
+    if left.isEmpty():
+        return links
+    # blocks of the largest part do not meet each other, all others meet every block
+    rest = looked_up(parted, left, "class", large.count())
+    main = F.col("part") == F.col("main")
+    mine = F.when(main, F.col("others") + F.pmod(F.xxhash64("doc"), F.col("mains"))).otherwise(F.pmod(F.xxhash64("doc"), F.col("others"))).cast("int")
+    partners = F.when(main, F.sequence(F.lit(0), F.col("others") - 1)).otherwise(F.sequence(F.lit(0), F.col("others") + F.col("mains") - 1))
+    met = rest.withColumn("mine", mine).withColumn("other", F.explode(partners))
+    pair = F.struct("class", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"))
+    return written(links.unionByName(verified(met.select("doc", "part", pair.alias("g")).join(shingles, "doc"), threshold)), "links")
+
+
+def remaining(parted: DataFrame) -> DataFrame:
+    """class, main (its largest part), blocks of that part and of the others, n: groups in several parts."""
+    counts = parted.groupBy("class", "part").agg(F.count("*").alias("k"))
+    top = counts.groupBy("class").agg(F.max(F.struct("k", "part")).alias("top"), F.count("*").alias("parts"), F.sum("k").alias("n")).where("parts > 1")
+    in_blocks = [F.ceil(x / F.lit(GROUP)).cast("int").alias(name) for x, name in ((F.col("top.k"), "mains"), (F.col("n") - F.col("top.k"), "others"))]
+    return top.select("class", F.col("top.part").alias("main"), *in_blocks, "n")
+
+
+def parted_by(groups: DataFrame, links: DataFrame) -> DataFrame:
+    """doc, class, part: the part of each document under the links so far."""
+    found = with_roots(components(links)).withColumnRenamed("class", "part")
+    return written(groups.join(found, "doc", "left").select("doc", "class", F.coalesce("part", "doc").alias("part")), "parted")
 
 
 def document_classes(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD) -> DataFrame:
     """doc (as ``doc_key``) and class, of documents that share a class with another key."""
-    store = vectors(docs, words, threshold)
-    first = store.groupBy("same").agg(F.min("doc").alias("rep"))
-    copies = written(store.select("doc", "same").join(first, "same").select("rep", "doc"), "copies")
-    reps = store.join(first.select(F.col("rep").alias("doc")), "doc", "left_semi")
-    groups = candidate_groups(reps)
-    sizes = groups.groupBy("class").agg(F.count("*").alias("n"))
-    # a large group's documents are dealt to blocks; each meets every block once
-    blocks = F.ceil(F.col("n") / F.lit(GROUP)).cast("int")
-    mine = F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")
-    dealt = groups.join(sizes, "class").withColumn("blocks", blocks).withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    unit = F.struct("class", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"))
-    work = dealt.select("doc", unit.alias("g")).join(store.select("doc", "key", "tf", "idf"), "doc")
-    links = written(verified(work, threshold), "links")
-    same = copies.where("rep <> doc").select(F.col("rep").alias("a"), F.col("doc").alias("b"))
-    found = components(links.unionByName(same))
-    return written(found.unionByName(found.select(F.col("class").alias("doc"), "class")).distinct(), "classes")
+    rows, further = keyed(docs)
+    store = vectors(rows, words, threshold)
+    first = written(store.groupBy("same").agg(F.min("doc").alias("rep"), F.count("*").alias("n")), "first")
+    copies = written(looked_up(store.select("doc", "same"), first.where("n > 1"), "same", store.count()).where("doc <> rep").select(F.col("rep").alias("a"), F.col("doc").alias("b")), "copies")
+    reps = written(store.join(copies.select(F.col("b").alias("doc")), "doc", "left_anti"), "reps")
+    links = linked(candidate_groups(reps), reps, threshold).unionByName(copies)
+    if further is not None:
+        links = links.unionByName(further)
+    return written(with_roots(components(links)), "classes")
 
 
 def near_duplicates(docs: DataFrame, words: int = WORDS, threshold: float = THRESHOLD) -> DataFrame:
@@ -365,6 +498,9 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, threshold: float = THRE
     again = nulls.where(F.col("worded") & (F.col("copies") > 1)).select("doc", F.lit(True).alias("again"))
     rest = docs.where(F.col("doc_id").isNull()).select(F.lit(None).cast("long").alias("doc_id"), text_key().alias("doc")).join(again, "doc", "left").select("doc_id", "doc", F.coalesce("again", F.lit(False)).alias("again"))
     out = named.unionByName(rest).join(classes, "doc", "left")
-    of_null = nulls.select(F.col("doc").alias("class")).distinct().withColumn("nameless", F.lit(True))
-    out = out.withColumn("in_class", F.col("class").isNotNull() | F.col("again")).withColumn("class", F.coalesce("class", "doc")).join(of_null, "class", "left")
-    return out.select("doc_id", F.when(F.col("nameless").isNull(), F.col("class")).alias("class_id"), "in_class")
+    out = out.withColumn("in_class", F.col("class").isNotNull() | F.col("again")).withColumn("class", F.coalesce("class", "doc"))
+    # only the lowest keys can be texts without doc_id; all others need no look
+    low = F.col("class") < NULL_ID + (1 << 62)
+    of_null = nulls.select(F.col("doc").alias("class"), F.lit(True).alias("nameless")).distinct()
+    lowest = out.where(low).join(of_null, "class", "left").select("doc_id", F.when(F.col("nameless").isNull(), F.col("class")).alias("class_id"), "in_class")
+    return out.where(~low).select("doc_id", F.col("class").alias("class_id"), "in_class").unionByName(lowest)

@@ -195,11 +195,21 @@ def test_difference_cover_and_suffix_order():
         d = suffix.difference_cover(p)
         assert {(a - b) % p for a in d for b in d} == set(range(p))
     rng = np.random.default_rng(1)
-    rows = np.zeros((60, 64), np.uint8)
-    rows[:, :40] = rng.integers(97, 99, (60, 40))
-    for c, ordered in suffix.suffix_blocks(rows, 20):
-        tails = [rows[i, c:].tobytes() for i in ordered]
-        assert tails == sorted(tails)
+    for alphabet, n in ((2, 900), (26, 300), (1, 200)):
+        text = rng.integers(97, 97 + alphabet, n).astype(np.uint8)
+        text[n // 2 : n // 2 + 90] = text[:90]
+        data = np.concatenate([text, np.zeros(66, np.uint8)])
+        starts = np.arange(n - 50)
+        ranks = suffix.CoverRanks(data, 50)
+        seen = []
+        for block in suffix.leading_blocks(data, starts, 64):
+            order, number = suffix.sorted_ties(data, block, ranks)
+            tails = [data[i : i + 50].tobytes() for i in order]
+            assert tails == sorted(tails)
+            new = suffix.prefix_classes(data, order, number, 50)
+            assert [t != u for t, u in zip(tails[1:], tails, strict=False)] == new[1:].tolist()
+            seen += block.tolist()
+        assert sorted(seen) == starts.tolist()
 
 
 def brute_windows(rows, w=20):
@@ -270,6 +280,49 @@ def test_near_duplicates_in_a_group_of_several_blocks(spark, monkeypatch):
     assert got == brute_classes(rows)
 
 
+def test_near_duplicates_of_a_large_group_in_several_parts(spark, monkeypatch):
+    """Two families and loners that a popular band ties: blocks, heads, and what is left."""
+    monkeypatch.setattr(near, "GROUP", 4)
+    rng, rows = np.random.default_rng(5), []
+    for family in range(2):
+        base = [f"f{family if k >= 40 else 0}t{k}" for k in range(120)]
+        for i in range(20):
+            text = list(base)
+            for k in rng.integers(60, 120, i % 5):
+                text[k] = f"e{family}_{i}_{k}"
+            rows.append((100 * family + i, " ".join(text)))
+    rows += [(300 + i, " ".join(f"f0t{k}" if k < 50 else f"l{i}_{k}" for k in range(120))) for i in range(6)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    rows_, _ = near.keyed(df)
+    store = near.written(near.vectors(rows_, 5, 0.1), "store")
+    groups = store.select("doc", F.lit(0).cast("long").alias("class"))  # one candidate group of all
+    assert groups.count() > 40
+    found = {r["doc"]: r["class"] for r in near.with_roots(near.components(near.linked(groups, store, 0.8))).collect()}
+    want = brute_classes(rows)
+    assert {i: found.get(i, i) for i in want} == want
+
+
+def test_near_duplicates_of_ids_with_several_texts(spark):
+    """Every text of a repeated id is looked at, wherever its rows lie."""
+    a, b, c = (" ".join(f"{x}{k}" for k in range(60)) for x in "abc")
+    rows = [(1, a), (1, b), (2, a + " more"), (3, b), (3, b), (4, c), (None, c), (None, a + " end")]
+    for parts in (1, 8):
+        df = spark.createDataFrame(rows, "doc_id long, text string").repartition(parts)
+        got = {(r["doc_id"], r["class_id"], r["in_class"]) for r in near.near_duplicates(df).collect()}
+        assert got == {(1, None, True), (2, None, True), (3, None, True), (4, None, True), (None, None, True)}
+        got = {(r["doc_id"], r["class_id"]) for r in near.near_duplicates(df.where("doc_id is not null")).collect()}
+        assert got == {(1, 1), (2, 1), (3, 1), (4, 4)}
+
+
+def test_hot_keys_are_looked_up_like_others(spark, monkeypatch):
+    monkeypatch.setattr(near, "HOT", 4)
+    monkeypatch.setattr(near, "GROUP", 8)
+    rows = spark.range(100).select(F.col("id").alias("x"), F.when(F.col("id") < 60, 0).otherwise(F.col("id") % 30).alias("k"))
+    found = rows.groupBy("k").agg(F.min("x").alias("least"), F.count("*").alias("n")).where("n > 1")
+    got = sorted(tuple(r) for r in near.looked_up(rows, found, "k", 100).select("x", "k", "least").collect())
+    assert got == sorted(tuple(r) for r in rows.join(found, "k").select("x", "k", "least").collect())
+
+
 def test_components_go_on_until_nothing_changes(spark, monkeypatch):
     """Steps that are held back for more than 30 rounds."""
     real, calls = near.written, []
