@@ -43,15 +43,19 @@ WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * CAST(x
 s AS (SELECT q.vec_id AS q, c.vec_id AS k, CAST(list_dot_product(q.x, c.x) AS BIGINT) AS score FROM v q JOIN v c ON q.vec_id % 50 = 0 AND c.vec_id <> q.vec_id)
 SELECT q AS query_id, CAST(rn AS INTEGER) AS rank, k AS vec_id, score FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY score DESC, k) AS rn FROM s) WHERE rn <= 5"""
 
+# texts are cut into pieces of 400 bytes and the 49 that follow, so that no function sees a long string;
+# two 64-bit hashes stand for a window, and flagged windows are merged to spans
 SPANS = """
 WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
-b AS (SELECT doc_id, h, i, substr(h, 2 * i + 1, 2) AS c, CASE WHEN 2 * i + 100 <= strlen(h) THEN substr(h, 2 * i + 1, 100) END AS w FROM (SELECT *, unnest(range(strlen(h) // 2)) AS i FROM d)),
-f AS (SELECT w, min(doc_id) AS m FROM b WHERE w IS NOT NULL GROUP BY w),
-g AS (SELECT b.doc_id, i, c, CASE WHEN f.m < b.doc_id THEN 1 ELSE 0 END AS flag FROM b LEFT JOIN f ON f.w = b.w),
-r AS (SELECT *, max(flag) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN 49 PRECEDING AND CURRENT ROW) AS gone FROM g),
-e AS (SELECT *, lag(gone, 1, 0) OVER (PARTITION BY doc_id ORDER BY i) AS before FROM r),
-a AS (SELECT doc_id, sum(gone) AS n_removed, count_if(gone = 1 AND before = 0) AS n_spans, string_agg(CASE WHEN gone = 0 THEN c END, '' ORDER BY i) AS kept FROM e GROUP BY doc_id)
-SELECT doc_id, strlen(h) // 2 AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(n_spans, 0) AS BIGINT) AS n_spans, sha256(unhex(coalesce(kept, ''))) AS kept_sha256 FROM d LEFT JOIN a USING (doc_id)"""
+c AS (SELECT doc_id, j, substr(h, 800 * j + 1, 898) AS p FROM (SELECT *, unnest(range((strlen(h) + 799) // 800)) AS j FROM d)),
+b AS (SELECT doc_id, 400 * j + i AS i, hash(w) AS w1, hash(w || '#') AS w2 FROM (SELECT doc_id, j, i, substr(p, 2 * i + 1, 100) AS w FROM (SELECT doc_id, j, p, unnest(range(least(400, strlen(p) // 2 - 49))) AS i FROM c WHERE strlen(p) >= 100))),
+f AS (SELECT w1, w2, min(doc_id) AS m FROM b GROUP BY w1, w2 HAVING min(doc_id) < max(doc_id)),
+g AS (SELECT DISTINCT b.doc_id, i FROM b JOIN f ON f.w1 = b.w1 AND f.w2 = b.w2 WHERE f.m < b.doc_id),
+r AS (SELECT doc_id, i, CASE WHEN i - lag(i) OVER (PARTITION BY doc_id ORDER BY i) <= 50 THEN 0 ELSE 1 END AS n FROM g),
+s AS (SELECT doc_id, min(i) AS a, max(i) + 50 AS z FROM (SELECT *, sum(n) OVER (PARTITION BY doc_id ORDER BY i) AS run FROM r) GROUP BY doc_id, run),
+k AS (SELECT doc_id, a, z, lead(a) OVER (PARTITION BY doc_id ORDER BY a) AS next, row_number() OVER (PARTITION BY doc_id ORDER BY a) AS nth FROM s),
+a AS (SELECT d.doc_id, any_value(h) AS h, sum(z - a) AS n_removed, count(*) AS n_spans, string_agg(CASE WHEN nth = 1 THEN substr(h, 1, 2 * a) ELSE '' END || substr(h, 2 * z + 1, 2 * (coalesce(next, strlen(h) // 2) - z)), '' ORDER BY a) AS kept FROM d JOIN k ON k.doc_id = d.doc_id GROUP BY d.doc_id)
+SELECT d.doc_id, strlen(d.h) // 2 AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(n_spans, 0) AS BIGINT) AS n_spans, sha256(unhex(coalesce(kept, d.h))) AS kept_sha256 FROM d LEFT JOIN a USING (doc_id)"""
 
 LINES = f"""
 WITH d AS (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS ls FROM documents),

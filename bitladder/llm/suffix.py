@@ -6,17 +6,20 @@ windows with one anchor travel together as a *segment* of at most
 ``2 * window - ANCHOR`` bytes.  Only segments whose anchor occurs elsewhere are
 sent, each distinct one once per chunk, to the bucket of the anchor's hash.
 
-A bucket lays its segments out in rows with the anchor in one fixed column, so
-all suffixes with the same offset to the anchor stand in one column, and two
-equal windows always stand in the same column.  The suffixes are sorted one
-column (block) at a time: first the columns of a difference cover, from right to
-left, then every other column by its next bytes up to the following cover column
-and the rank already known there.  So a tie of any length costs two keys, and
-memory is one bucket's rows and ranks.  Neighbours in the sorted order that agree
-on ``window`` bytes are one class; its smallest document keeps the bytes.
-
-Texts are UTF-8 bytes; null counts as empty; matches never cross documents.  Rows
-that repeat a doc_id count as one document, so they do not remove each other.
+A bucket is one text, its segments one after the other, whose suffixes are sorted
+one block of leading bytes at a time.  Before that the suffixes at the places of a
+difference cover are ranked by doubling.  A block is sorted by its first eight
+bytes; suffixes that tie are ordered by cover ranks: for any two of them there is
+a distance below ``PERIOD`` at which both stand on a cover place.  So a tie of any
+length costs one comparison of ranks, and memory is the bucket, its cover ranks
+and one block.  Neighbours in the sorted order with a common prefix of ``window``
+bytes are one class; its smallest document keeps the bytes.
+
+Texts are UTF-8 bytes, taken whole; null counts as empty; matches never cross
+documents.  A null doc_id comes before all others.  Rows that repeat a doc_id count
+as one document, so they do not remove each other.  Empty tables give no rows;
+other columns, whatever their names, are not looked at.  A text is never split, so
+the longest one is held in memory with a few numbers for each byte.
 """
 
 from __future__ import annotations
@@ -33,7 +36,9 @@ from .windows import bits_of, distinct, seen_elsewhere
 
 ANCHOR = 16
 SALT = np.uint64(0x9E3779B97F4A7C15)
-PERIOD = 13
+PERIOD = 7
+#: suffixes that are sorted at once, unless more begin with the same two bytes
+BLOCK = 1 << 18
 
 
 def difference_cover(period: int) -> list[int]:
@@ -45,48 +50,99 @@ def difference_cover(period: int) -> list[int]:
     return list(range(period))
 
 
-def words64(rows: np.ndarray, column: int) -> np.ndarray:
-    """The eight bytes of each row from ``column`` as one big-endian number."""
-    return np.ascontiguousarray(rows[:, column : column + 8]).view(">u8").ravel().astype(np.uint64)
+def words64(data: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """The eight bytes from each place as one big-endian number; ``data`` has eight bytes more than places."""
+    return np.ndarray((len(data) - 7,), ">u8", data, 0, (1,))[at].astype(np.uint64)
 
 
-def ranked(keys: list[np.ndarray]) -> np.ndarray:
-    """Dense ranks by several keys, the first one most significant."""
-    order = np.lexsort(keys[::-1])
-    new = np.zeros(len(order), dtype=bool)
-    for k in keys:
-        s = k[order]
-        new[1:] |= s[1:] != s[:-1]
-    rank = np.empty(len(order), dtype=np.int64)
-    rank[order] = np.cumsum(new)
-    return rank
+class CoverRanks:
+    """Ranks of the suffixes at cover places, by at least ``depth`` bytes.
 
+    The places of one period are neighbours in ``rank``, so a place one period on is
+    ``len(cover)`` entries on, and doubling needs no search.
+    """
 
-def suffix_blocks(rows: np.ndarray, columns: int, period: int = PERIOD):
-    """(column, order) of the suffixes of all rows, one column after another.
-
-    ``rows`` are bytes, zero-padded to at least ``columns`` + 8 columns beyond.
-    Cover columns are ranked first, from the right; the rank at the column after
-    the last one comes from all bytes to its right.
+    def __init__(self, data: np.ndarray, depth: int, period: int = PERIOD):
+        self.period, cover = period, difference_cover(period)
+        self.size = len(cover)
+        self.slot = np.full(period, -1, np.int64)
+        self.slot[cover] = np.arange(self.size)
+        places = (np.arange(-(-(len(data) - 8) // period))[:, None] * period + np.array(cover)[None, :]).ravel()
+        places = places[places < len(data) - 8]
+        key = words64(data, places) >> np.uint64(64 - 8 * min(8, period))
+        rank = np.unique(key, return_inverse=True)[1]
+        have, periods = period, 1
+        while have < depth:
+            after = np.zeros(len(rank), np.int64)
+            after[: max(len(rank) - self.size * periods, 0)] = rank[self.size * periods :] + 1
+            rank = np.unique(rank * np.int64(len(rank) + 2) + after, return_inverse=True)[1]
+            have, periods = 2 * have, 2 * periods
+        self.rank = rank.astype(np.int32)
+        shift = [[next(d for d in range(period) if (a + d) % period in cover and (b + d) % period in cover) for b in range(period)] for a in range(period)]
+        #: the distance at which places of two residues both meet the cover
+        self.shift = np.array(shift)
+
+    def at(self, place: np.ndarray) -> np.ndarray:
+        return self.rank[place // self.period * self.size + self.slot[place % self.period]].astype(np.int64)
+
+
+def leading_blocks(data: np.ndarray, starts: np.ndarray, size: int = BLOCK):
+    """The starts of one block of leading bytes after another."""
+    lead = data[starts].astype(np.int32) << 8 | data[starts + 1]
+    count = np.bincount(lead, minlength=1 << 16)
+    block = np.cumsum(count) // size  # a leading pair of bytes is never in two blocks
+    for b in np.unique(block[np.flatnonzero(count)]).tolist():
+        yield starts[block[lead] == b]
+
+
+def sorted_ties(data: np.ndarray, starts: np.ndarray, ranks: CoverRanks) -> tuple[np.ndarray, np.ndarray]:
+    """The suffixes that agree in their first eight bytes with another, in order, and their tie's number.
+
+    A suffix's place in its tie is the number of suffixes before it, counted for
+    each residue by the ranks at the distance of the two residues.
     """
-    width = rows.shape[1]
-    cover = set(difference_cover(period))
-    known = {columns: ranked([words64(rows, c) for c in range(columns, width - 7, 8)])}
-    marks = [c for c in range(columns - 1, -1, -1) if (columns - c) % period in cover]
-    following = columns
-    for c in marks:
-        gap = following - c
-        if gap > 8:
-            raise ValueError("the cover leaves a gap of more than eight bytes")
-        known[c] = ranked([words64(rows, c), known[following]])
-        following = c
-    sampled = sorted(known)
-    for c in range(columns):
-        if c in known:
-            yield c, np.argsort(known[c], kind="stable")
-        else:
-            nxt = next(s for s in sampled if s > c)
-            yield c, np.lexsort((known[nxt], words64(rows, c)))
+    key = words64(data, starts)
+    order = np.argsort(key, kind="stable")
+    key, starts = key[order], starts[order]
+    same = key[1:] == key[:-1]
+    tied = np.zeros(len(key), bool)
+    tied[1:] |= same
+    tied[:-1] |= same
+    number = np.cumsum(np.concatenate([[True], ~same]))[tied] if len(key) else np.empty(0, np.int64)
+    starts = starts[tied]
+    if not len(starts):
+        return starts, number
+    residue, span = starts % ranks.period, np.int64(len(ranks.rank) + 2)
+    classes = []
+    for r in range(ranks.period):
+        mine = np.flatnonzero(residue == r)
+        own = number[mine] * span + ranks.at(starts[mine] + ranks.shift[r, r])
+        classes.append(mine[np.argsort(own, kind="stable")])
+    before = np.zeros(len(starts), np.int64)
+    for a, mine in enumerate(classes):
+        for b, other in enumerate(classes):
+            if not len(mine) or not len(other):
+                continue
+            if a == b:
+                before[mine] += np.arange(len(mine))
+                continue
+            d = int(ranks.shift[a, b])
+            left = number[mine] * span + ranks.at(starts[mine] + d)
+            right = number[other] * span + ranks.at(starts[other] + d)
+            before[mine] += np.searchsorted(right, left, side="left" if b > a else "right")
+    order = np.lexsort((before, number))
+    return starts[order], number[order]
+
+
+def prefix_classes(data: np.ndarray, starts: np.ndarray, number: np.ndarray, length: int) -> np.ndarray:
+    """Whether each suffix differs from the one before it within ``length`` bytes."""
+    new = np.ones(len(starts), dtype=bool)
+    new[1:] = number[1:] != number[:-1]
+    for k in range(8, length, 8):
+        # the last read overlaps the one before, so that it ends with the window
+        v = words64(data, starts + min(k, length - 8))
+        new[1:] |= v[1:] != v[:-1]
+    return new
 
 
 class Segments:
@@ -174,9 +230,6 @@ class Segments:
 
 
 def resolver(window: int):
-    columns = window - ANCHOR + 1  # places at which a window can begin
-    anchor_column = columns - 1
-
     def resolve(blobs: list[bytes]) -> list[bytes]:
         """For each segment, the mask of its windows that a smaller document holds."""
         sizes, first, left, lens, bodies = [], [], [], [], []
@@ -187,42 +240,38 @@ def resolver(window: int):
             left.append(np.frombuffer(b, np.uint8, n, 8 + 8 * n))
             lens.append(np.frombuffer(b, np.uint8, n, 8 + 9 * n))
             bodies.append(b[8 + 10 * n :])
-        first, left, lens = (np.concatenate(x).astype(np.int64) for x in (first, left, lens))
-        body = np.frombuffer(b"".join(bodies), dtype=np.uint8)
-        width = anchor_column + window + 1
-        rows = np.zeros((len(lens), -(-width // 8) * 8 + 16), dtype=np.uint8)
-        row = np.repeat(np.arange(len(lens)), lens)
-        column = np.arange(len(body)) - np.repeat(np.cumsum(lens) - lens, lens) + np.repeat(anchor_column - left, lens)
-        rows[row, column] = body
-        del row, column
-        # equal segments of several chunks are sorted once
-        packed = np.ascontiguousarray(np.concatenate([rows[:, : columns + window + 7], left[:, None].astype(np.uint8), lens[:, None].astype(np.uint8)], axis=1))
-        _, head, same = np.unique(packed.view(f"V{packed.shape[1]}").ravel(), return_index=True, return_inverse=True)
-        del packed
-        doc = np.full(len(head), np.iinfo(np.int64).max)
+        first, left, lens = np.concatenate(first), np.concatenate(left), np.concatenate(lens).astype(np.int64)
+        # equal segments of several chunks are one, of their smallest document
+        known: dict[bytes, int] = {}
+        same, at, body = np.empty(len(lens), np.int64), 0, b"".join(bodies)
+        for i, n in enumerate(lens.tolist()):
+            same[i] = known.setdefault(body[at : at + n], len(known))
+            at += n
+        del bodies, body
+        doc = np.full(len(known), np.iinfo(np.int64).max)
         np.minimum.at(doc, same, first)
-        rows, begin, count = rows[head], anchor_column - left[head], lens[head] - window
-        masks = np.zeros(len(lens), np.uint64)
-        for c, order in suffix_blocks(rows, columns):
-            order = order[(begin[order] <= c) & (c <= begin[order] + count[order])]
-            if len(order) < 2:
-                continue
-            new = np.ones(len(order), dtype=bool)
-            for k in range(0, window, 8):
-                # the last read overlaps the one before, so that it ends with the window
-                v = words64(rows, c + min(k, window - 8))[order]
-                if k == 0:
-                    new[1:] = v[1:] != v[:-1]
-                else:
-                    new[1:] |= v[1:] != v[:-1]
-            group = np.cumsum(new) - 1
-            smallest = np.minimum.reduceat(doc[order], np.flatnonzero(new))
-            best = np.full(len(head), np.iinfo(np.int64).max)
-            best[order] = smallest[group]
-            # bit k of a segment is its k-th window
-            mine = best[same]
-            hit = np.flatnonzero(mine < first)
-            masks[hit] |= np.uint64(1) << (c - (anchor_column - left[hit])).astype(np.uint64)
+        size = np.array([len(t) for t in known], dtype=np.int64)
+        data = np.frombuffer(b"".join(known) + bytes(window + 16), np.uint8)
+        del known
+        starts, segment = window_starts(size, window)
+        best = np.full(len(data), np.iinfo(np.int64).max)
+        if len(starts):
+            ranks = CoverRanks(data, window)
+            owner = np.zeros(len(data), np.int32)
+            owner[starts] = segment
+            del segment
+            for block in leading_blocks(data, starts):
+                order, number = sorted_ties(data, block, ranks)
+                if not len(order):
+                    continue
+                new = prefix_classes(data, order, number, window)
+                smallest = np.minimum.reduceat(doc[owner[order]], np.flatnonzero(new))
+                best[order] = smallest[np.cumsum(new) - 1]
+        begin, masks = (np.cumsum(size) - size)[same], np.zeros(len(lens), np.uint64)
+        for k in range(window - ANCHOR + 1):  # bit k of a segment is its k-th window
+            has = np.flatnonzero(lens >= window + k)
+            hit = has[best[begin[has] + k] < first[has]]
+            masks[hit] |= np.uint64(1) << np.uint64(k)
         ends = np.cumsum(sizes)
         return [masks[e - n : e].tobytes() for n, e in zip(sizes, ends.tolist(), strict=True)]
 
