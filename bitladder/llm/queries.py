@@ -20,7 +20,7 @@ def vocabulary(name: str = "word_bpe_49k.json") -> str:
 
 
 def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.schedule(table(spark, sf_dir, "documents"))
+    return mixing.schedule(table(spark, sf_dir, "documents"), weights=mixing.falling)
 
 
 def op2_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -32,7 +32,7 @@ def op3_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_chat_preferences(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return chat.format_preferences(*chat.stale_answer_pairs(table(spark, sf_dir, "conversations")))
+    return chat.rendered_sides(chat.stale_answer_sides(table(spark, sf_dir, "conversations")))
 
 
 def op5_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
