@@ -60,6 +60,17 @@ def id_and_bytes(docs: DataFrame) -> DataFrame:
     )
 
 
+def handed_on(keep: tuple[str, ...], own: tuple[str, ...]) -> dict[str, str]:
+    """Names under which kept columns come back: with ``in_`` before a name that the operator itself returns."""
+    out: dict[str, str] = {}
+    for c in keep:
+        name = c
+        while name in own or name in out.values() or (name != c and name in keep):
+            name = f"in_{name}"
+        out[c] = name
+    return out
+
+
 def slices(batches, rows: int = 512):
     """Arrow batches in small parts, so that Python copies stay small."""
     for batch in batches:

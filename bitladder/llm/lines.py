@@ -9,7 +9,10 @@ per document is a compressed bitmap of kept lines, never text.
 
 A line's key is the line stripped of ASCII white space with A-Z lower-cased.
 Null and empty texts are one empty line.  A null doc_id sorts before all others.
-Rows that repeat a doc_id count as the same document.
+Rows that repeat a doc_id count as the same document.  Texts are taken whole, one in
+memory at a time; empty tables give no rows.  Other columns are not looked at; those
+that ``keep`` names come back, under ``in_`` and their name where the operator has a
+column of that name.
 """
 
 from __future__ import annotations
@@ -21,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NULL_ID, id_and_bytes, slices, written
+from .common import NULL_ID, handed_on, id_and_bytes, slices, written
 
 SPACE = b" \t\n\r\x0b\x0c"
 
@@ -127,8 +130,9 @@ def dedup_lines(docs: DataFrame, min_chars: int = 10, keep: tuple[str, ...] = ()
     from xxhash import xxh3_64_intdigest
 
     maps = keep_bitmaps(docs, min_chars)
-    others = [c for c in keep if c != "doc_id"]
-    source = docs.select(F.coalesce(F.col("text").cast("binary"), F.lit(b"")).alias("_text"), F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)).alias("_doc"), *others)
+    names = handed_on(tuple(c for c in keep if c != "doc_id"), ("doc_id", "n_lines", "n_dropped", "kept_text"))
+    others = [f"_keep{i}" for i in range(len(names))]
+    source = docs.select(F.coalesce(F.col("text").cast("binary"), F.lit(b"")).alias("_text"), F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)).alias("_doc"), *[F.col(f"`{c}`").alias(o) for c, o in zip(names, others, strict=True)])
 
     def tagged(batches):
         for batch in slices(batches):
@@ -161,4 +165,5 @@ def dedup_lines(docs: DataFrame, min_chars: int = 10, keep: tuple[str, ...] = ()
             )
 
     more = "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in source.schema if f.name in others)
-    return joined.mapInArrow(apply, f"doc_id long, n_lines long, n_dropped long, kept_text binary{more}").withColumn("kept_text", F.col("kept_text").cast("string"))
+    out = joined.mapInArrow(apply, f"doc_id long, n_lines long, n_dropped long, kept_text binary{more}")
+    return out.select("doc_id", "n_lines", "n_dropped", F.col("kept_text").cast("string").alias("kept_text"), *[F.col(o).alias(n) for o, n in zip(others, names.values(), strict=True)])

@@ -6,6 +6,7 @@ from .quality import MAX_LOST, MIN_LINE_WORDS, NOTICES
 
 WORD = r"[^\x20\x09-\x0D]+"
 BLANKS = " || ".join(f"chr({c})" for c in (32, 9, 10, 11, 12, 13))
+NOTICES_SQL = NOTICES.replace("'", "''")
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 ENDS = ", ".join(f"'{x}'" for x in (".", "!", "?", "…", '"', "''", "”", "’", "»", ")", ":", ";", "。", "！", "？"))
 
@@ -17,7 +18,7 @@ rep AS (SELECT doc_id, count(DISTINCT p) AS n FROM (SELECT doc_id, unnest(range(
 l AS (SELECT doc_id, unnest(string_split(t, chr(10))) AS line, unnest(range(len(string_split(t, chr(10))))) AS pos FROM d),
 lw AS (SELECT *, regexp_extract_all(line, '{WORD}') AS ws, row_number() OVER (PARTITION BY doc_id, line ORDER BY pos) AS nth FROM l),
 lm AS (SELECT doc_id, nth, len(ws) AS n, list_sum(list_transform(ws, lambda x: strlen(x))) AS bytes, len(list_filter(ws, lambda x: x IN ('|', '»', '›', '·', '•'))) AS bars,
-  regexp_matches(translate(line, '{UPPER}', '{LOWER}'), '{NOTICES}') AS notice, right(ws[len(ws)], 1) IN ({ENDS}) AS ends, len(regexp_extract_all(line, '[!?#*$%&<>]')) AS marks FROM lw WHERE len(ws) > 0),
+  regexp_matches(translate(line, '{UPPER}', '{LOWER}'), '{NOTICES_SQL}') AS notice, right(ws[len(ws)], 1) IN ({ENDS}) AS ends, len(regexp_extract_all(line, '[!?#*$%&<>]')) AS marks FROM lw WHERE len(ws) > 0),
 lf AS (SELECT *, (bars >= 2 AND 8 * bars >= n) OR notice OR (n >= {MIN_LINE_WORDS} AND (NOT ends OR 2 * marks > n)) AS fails FROM lm),
 a AS (SELECT doc_id, sum(bytes) AS size, count_if(nth > 1) AS dup, count_if(fails) AS failed, coalesce(sum(CASE WHEN fails THEN bytes END), 0) AS lost FROM lf GROUP BY doc_id),
 m AS (SELECT w.doc_id, len(ws) AS n_words, coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0) AS word_chars, len(regexp_extract_all(t, '[#*$%&|<>]')) AS n_symbols, coalesce(dup, 0) AS dup, coalesce(rep.n, 0) AS rep, coalesce(size, 0) AS size, coalesce(failed, 0) AS failed, coalesce(lost, 0) AS lost

@@ -2,12 +2,15 @@
 
 A line fails if it is *badly punctuated* (it has ``min_line_words`` words or more
 and does not end like a sentence, or marks and symbols outnumber half its words), *navigation* (separators between short entries), or
-*boilerplate* (notices, cookie and script messages).  Failing lines go; a
+*boilerplate* (signs of rights in any language, and notices, cookie and script messages in four).  Failing lines go; a
 document that loses more than ``max_lost`` of its non-blank bytes is rejected.
 
 Null text is a text without words; such documents are rejected (under 20 words).
 Lines that are blank are neither judged nor removed.  Repeated rows are judged
-each on its own, and other columns are not looked at.
+each on its own, a null doc_id stays null, empty tables give no rows.  Texts are
+taken whole, one in memory at a time with a few numbers for each word.  Other
+columns are not looked at; those that ``keep`` names come back, under ``in_`` and
+their name where the operator has a column of that name.
 """
 
 from __future__ import annotations
@@ -18,15 +21,20 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import HashCache, covered, slices
+from .common import HashCache, covered, handed_on, slices
 
 SPACE = b" \t\n\r\x0b\x0c"
 #: fixed values: endings of a sentence, as UTF-8
 ENDINGS = tuple(x.encode() for x in (".", "!", "?", "…", '"', "'", "”", "’", "»", ")", ":", ";", "。", "！", "？"))
 #: fixed values: separators of navigation
 BARS = (b"|", "»".encode(), "›".encode(), "·".encode(), "•".encode())
-#: fixed values: what notices say
-NOTICES = "all rights reserved|cookie policy|privacy policy|terms of use|terms of service|use cookies|enable javascript|licensed under|released under|click here to|sign up for|subscribe to our|lorem ipsum"
+#: fixed values: signs of rights, and what notices say in English, German, French and Spanish
+NOTICES = (
+    "©|℗|[(]c[)] *(19|20)[0-9][0-9]|spdx-license-identifier|https?://[^ ]*(license|privacy|cookie|terms)|all rights reserved|cookie policy|privacy policy|terms of use|terms of service|use cookies|enable javascript|licensed under|released under|click here to|sign up for|subscribe to our|lorem ipsum"
+    "|alle rechte vorbehalten|cookie-richtlinie|datenschutzerklärung|nutzungsbedingungen|verwendet cookies|verwenden cookies|javascript aktivieren|klicken sie hier|newsletter abonnieren|lizenziert unter"
+    "|tous droits réservés|politique de confidentialité|conditions d'utilisation|utilise des cookies|utilisons des cookies|activer javascript|cliquez ici|abonnez-vous|sous licence"
+    "|todos los derechos reservados|política de privacidad|términos de uso|condiciones de uso|utiliza cookies|utilizamos cookies|habilite javascript|activar javascript|haga clic aquí|suscríbase|bajo la licencia"
+)
 NOTICE = re.compile(NOTICES.encode())
 SYMBOLS = re.compile(rb"[#*$%&|<>]")
 MARKS = re.compile(rb"[!?#*$%&<>]")
@@ -110,7 +118,8 @@ def clean(docs: DataFrame, max_lost: float = MAX_LOST, keep: tuple[str, ...] = (
     """
     from pyspark.sql import functions as F
 
-    source = docs.select(F.coalesce(F.col("text").cast("binary"), F.lit(b"")).alias("_text"), F.col("doc_id").cast("long").alias("doc_id"), *[F.col(c) for c in keep if c != "doc_id"])
+    names = handed_on(tuple(c for c in keep if c != "doc_id"), ("doc_id", *COLUMNS, "clean_text"))
+    source = docs.select(F.coalesce(F.col("text").cast("binary"), F.lit(b"")).alias("_text"), F.col("doc_id").cast("long").alias("doc_id"), *[F.col(f"`{c}`").alias(f"_keep{i}") for i, c in enumerate(names)])
     kinds = {f.name: f.dataType.simpleString() for f in source.schema}
 
     def run(batches):
@@ -124,4 +133,5 @@ def clean(docs: DataFrame, max_lost: float = MAX_LOST, keep: tuple[str, ...] = (
             yield pa.RecordBatch.from_arrays([*batch.columns[1:], *arrays, texts], [*batch.schema.names[1:], *COLUMNS, "clean_text"])
 
     schema = ", ".join([*(f"`{c}` {t}" for c, t in kinds.items() if c != "_text"), *(f"{c} {'boolean' if c in ('base_failed', 'kept') else 'long'}" for c in COLUMNS), "clean_text binary"])
-    return source.mapInArrow(run, schema).withColumn("clean_text", F.col("clean_text").cast("string"))
+    out = source.mapInArrow(run, schema)
+    return out.select("doc_id", *[F.col(f"_keep{i}").alias(n) for i, n in enumerate(names.values())], *COLUMNS, F.col("clean_text").cast("string").alias("clean_text"))
