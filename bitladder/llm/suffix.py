@@ -259,6 +259,7 @@ def resolver(window: int):
             ranks = CoverRanks(data, window)
             owner = np.zeros(len(data), np.int32)
             owner[starts] = segment
+            best[starts] = doc[segment]  # what ties with no other is still its segment's, which several chunks may hold
             del segment
             for block in leading_blocks(data, starts):
                 order, number = sorted_ties(data, block, ranks)
