@@ -22,13 +22,15 @@ holds a third of all rows is spread over many partitions.
 A null source is a source of its own (its weight is given under None); sources
 without a given weight share what the given ones leave, by their rows, or all
 weights are row shares raised to ``temper``.  Ties in the order are numbered in
-any order; equal rows keep one number each.
+any order; equal rows keep one number each.  Texts are not looked at, nor are other
+columns, whatever their names; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
 import heapq
 import uuid
+from collections.abc import Callable
 from fractions import Fraction
 from itertools import islice
 
@@ -158,11 +160,18 @@ def numbered(docs: DataFrame, order: str) -> DataFrame:
     return written(rows.mapInArrow(count, "source string, doc_id long, at long, part int"), "numbered")
 
 
-def schedule(docs: DataFrame, weights: dict[str | None, float] | None = None, block_docs: int = 8, temper: float = 0.5, order: str = "xxhash64(doc_id)", resolution: int | None = None) -> DataFrame:
+def falling(names: list[str | None]) -> dict[str | None, float]:
+    """Target weights 1, 1/2, 1/3, … of the sources in the order of their names (null first)."""
+    total = sum(1.0 / (k + 1) for k in range(len(names)))
+    return {s: 1.0 / (k + 1) / total for k, s in enumerate(names)}
+
+
+def schedule(docs: DataFrame, weights: dict[str | None, float] | Callable[[list], dict] | None = None, block_docs: int = 8, temper: float = 0.5, order: str = "xxhash64(doc_id)", resolution: int | None = None) -> DataFrame:
     """source, doc_id, seq, block, phase, slot, release, deadline, position.
 
-    ``position`` orders the mixture.  Without ``weights`` a source's weight is its
-    number of rows to the power ``temper``.  Release and deadline are slots.
+    ``position`` orders the mixture.  ``weights`` are given by source, or by a
+    function of the sources' names; without them a source's weight is its number of
+    rows to the power ``temper``.  Release and deadline are slots.
     """
     spark = docs.sparkSession
     rows = numbered(docs, order)
@@ -174,6 +183,7 @@ def schedule(docs: DataFrame, weights: dict[str | None, float] | None = None, bl
         total[r["source"]] = total.get(r["source"], 0) + r["n"]
     names = list(total)
     shares = [float(total[s]) ** temper for s in names]
+    weights = weights(names) if callable(weights) else weights
     if weights is not None:
         given = sum(weights.get(s, 0.0) for s in names)
         open_rows = sum(total[s] for s in names if s not in weights)

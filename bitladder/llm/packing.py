@@ -8,6 +8,10 @@ of one integer, finds the multiset that fills it closest; the counts are read
 back from the bits.  If no multiset fills the window and the pool still holds
 something, one more remainder is cut to fill it, so at most the last window of a
 partition is padded.
+
+Null doc_ids stay null, null and empty texts are just the end id, equal rows are
+packed each, empty tables give no rows and other columns are not looked at.  Texts
+are taken whole; one text's ids are in memory at a time, beside the pool.
 """
 
 from __future__ import annotations

@@ -3,7 +3,9 @@
 Both work on pieces between ASCII white space.  For a tokenizer that drops white
 space no token crosses such a piece, so a piece is tokenized once per worker and
 then found in a bounded cache.  Null text counts as empty; a text without words
-has no tokens; rows with equal doc_id are counted each on its own.
+has no tokens; rows with equal doc_id are counted each on its own, null doc_ids stay
+null, empty tables give no rows and other columns are not looked at.  Texts are taken
+whole, one batch of them in memory at a time.
 """
 
 from __future__ import annotations

@@ -9,8 +9,12 @@ until the full length, or until no candidate is left.  At the last level a bucke
 answers whether a key was first seen in a smaller document, and a chunk settles
 order within its own documents.
 
-Words are divided by ASCII white space and compared unchanged (128-bit keys).
-Null or empty text has no words.  Rows that repeat a doc_id are one document.
+Words are divided by ASCII white space and compared unchanged, by 64-bit hashes of the
+words and two 64-bit keys over the hashes of a window: texts are told apart as long as
+no two of their different words share a hash.  Null or empty text has no words, a null
+doc_id comes before all others, rows that repeat a doc_id are one document.  Texts are
+taken whole; the longest one is held in memory with a few numbers for each word.
+Empty tables give no rows; other columns, whatever their names, are not looked at.
 """
 
 from __future__ import annotations
