@@ -8,7 +8,10 @@ the columns of ``documents``.
 * lines: lines that a smaller document holds go; documents without words left go
 * near: one document stays of each group of near duplicates
 * mix: rows in the order of the mixture, nothing dropped
-* pack: pieces in sequences of at most 2048 tokens
+* pack: pieces in sequences of at most 2048 tokens, numbered in the order of the mixture
+
+Every stage takes null values in any column, empty and very long texts, repeated
+rows, empty tables and further columns (whatever their names, they are left out).
 """
 
 from __future__ import annotations
@@ -31,6 +34,7 @@ def _documents(df: DataFrame, text: str) -> DataFrame:
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts without failing lines, of the documents that pass; null texts and texts under 20 words go."""
     cleaned = quality.clean(docs.select(*COLUMNS), keep=("lang", "source"))
     return _documents(cleaned.where("kept"), "clean_text")
 
@@ -54,11 +58,22 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All rows in the order of the mixture; rows that repeat (source, doc_id) follow the first of them."""
     return mixing.mixed_documents(docs.select(*COLUMNS))
 
 
+#: remainders that wait for a window: the mixture holds within about so many documents
+POOL_DOCS = 256
+
+
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return packing.digest(packing.pack(docs, vocabulary()))
+    """Pieces in sequences whose numbers rise with the mixture.
+
+    A scan reads files by size, so the order of the mixture, which depends on the rows
+    alone, is set up again; each partition of it is packed from a small pool.
+    """
+    ordered = mixing.mixed_documents(docs.select(*COLUMNS))
+    return packing.digest(packing.pack(ordered, vocabulary(), pool_docs=POOL_DOCS))
 
 
 STAGES = [
