@@ -104,19 +104,47 @@ def test_pipeline(spark, sf):
     assert corpus_pipeline.run(spark, sf).count() == pieces.count()
 
 
+def plain_quality(text):
+    """The quality rules once more, on strings, by other means than the library: (kept, cleaned text)."""
+    import collections
+    import re
+
+    from bitladder.llm.quality import NOTICES
+
+    space = " \t\n\r\x0b\x0c"
+    words = [w for w in re.split(f"[{space}]+", text) if w]
+    runs = collections.Counter(tuple(words[i : i + 8]) for i in range(len(words) - 7))
+    hit = {i + k for i in range(len(words) - 7) if runs[tuple(words[i : i + 8])] > 1 for k in range(8)}
+    good, lost, size = [], 0, 0
+    for line in text.split("\n"):
+        ws = [w for w in re.split(f"[{space}]+", line) if w]
+        n = sum(len(w.encode()) for w in ws)
+        bars = sum(w in ("|", "»", "›", "·", "•") for w in ws)
+        low = "".join(c.lower() if c.isascii() else c for c in line)
+        bad = bool(ws) and (
+            (bars >= 2 and bars * 8 >= len(ws))
+            or re.search(NOTICES, low) is not None
+            or (len(ws) >= 4 and (ws[-1][-1] not in ".!?…\"'”’»):;。！？" or sum(c in "!?#*$%&<>" for c in line) * 2 > len(ws)))
+        )
+        size += n
+        lost += n if bad else 0
+        if not bad:
+            good.append(line)
+    return len(words) >= 20 and 100 * len(hit) <= 30 * len(words) and 2 * lost <= size, "\n".join(good)
+
+
 def test_pipeline_brute_force(spark, sf):
-    """Every stage against the brute force of its operator, on what the one before kept."""
+    """Every stage against brute force, on what the one before kept."""
+    import collections
+
     import corpus_pipeline
-    from bitladder.llm.quality import judge
-    from tests.llm.test_documents import brute_classes, brute_lines, sha
+    from bitladder.llm.queries import vocabulary
+    from tests.llm.test_documents import brute_classes, brute_lines, brute_slots, sha
+    from tokenizers import Tokenizer
 
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     rows = [(r["doc_id"], r["text"] or "") for r in docs.collect()]
-    want = {}
-    for i, t in rows:
-        j = judge(t.encode())
-        if j[6]:
-            want[i] = t if j[9] is None else j[9].decode()
+    want = {i: text for i, t in rows for kept, text in (plain_quality(t),) if kept}
     one = corpus_pipeline.quality_rules(spark, docs, sf)
     assert {r["doc_id"]: r["text"] for r in one.collect()} == want
     two = corpus_pipeline.line_dedup(spark, one, sf)
@@ -124,9 +152,51 @@ def test_pipeline_brute_force(spark, sf):
     got = {r["doc_id"]: r["text"] for r in two.collect()}
     assert all(sha(t.encode()) == brute[i][2] for i, t in got.items())
     assert all(i in got or brute[i][1] > 0 for i in want)
-    three = corpus_pipeline.near_dedup(spark, two, sf)
+    three = corpus_pipeline.written(corpus_pipeline.near_dedup(spark, two, sf), "three")
     classes = brute_classes(sorted(got.items()))
-    assert {r["doc_id"] for r in three.collect()} == {i for i, c in classes.items() if i == c}
+    kept = three.collect()
+    assert {r["doc_id"] for r in kept} == {i for i, c in classes.items() if i == c}
+    # the mixture: brute-force slots over documents in the order of their ids' hashes
+    hashes = {r["doc_id"]: r["h"] for r in three.select("doc_id", F.xxhash64("doc_id").alias("h")).collect()}
+    mine = collections.defaultdict(list)
+    for r in sorted(kept, key=lambda r: hashes[r["doc_id"]]):
+        mine[r["source"]].append(r["doc_id"])
+    names = sorted(mine, key=lambda s: (s is not None, s or ""))
+    order = [d for i, block, _ in brute_slots([-(-len(mine[s]) // 8) for s in names], [float(len(mine[s])) ** 0.5 for s in names]) for d in mine[names[i]][8 * block : 8 * block + 8]]
+    four = corpus_pipeline.mix_sources(spark, three, sf)
+    assert [r["doc_id"] for r in four.collect()] == order
+    # packing: a round trip of every document's ids, and sequences that rise with the mixture
+    library = Tokenizer.from_file(vocabulary())
+    pieces = corpus_pipeline.pack_sequences(spark, corpus_pipeline.written(four, "four"), sf).collect()
+    texts = {r["doc_id"]: r["text"] for r in kept}
+    total = collections.Counter()
+    for p in pieces:
+        total[p["doc_id"]] += p["length"]
+    assert total == {i: len(library.encode(t, add_special_tokens=False).ids) + 1 for i, t in texts.items()}
+    place, first = {d: k for k, d in enumerate(order)}, {}
+    for p in pieces:
+        first.setdefault(p["sequence_id"], []).append(place[p["doc_id"]])
+    means = [sum(x) / len(x) for _, x in sorted(first.items())]
+    assert all(x < y + corpus_pipeline.POOL_DOCS for x, y in zip(means, means[1:], strict=False))
+
+
+def test_stages_on_awkward_rows(spark):
+    """Nulls in every column, empty and long texts, repeated rows, clashing names, and an empty table, through all stages."""
+    import corpus_pipeline
+
+    good = "A plain sentence of many words stands right here, and it ends as it should. " * 4
+    texts = [None, "", " \n ", good, good, good + "And one more.", "x" * 50000, " ".join(f"w{i}" for i in range(30000)) + ".", "© 2020 x\n" + "\n".join(f"Line number {i} of this text says {i * i} things, and ends." for i in range(30))]
+    rows = [(i if i != 4 else None, t, None if i == 5 else "en", None if i % 2 else "s", None if i == 3 else len(t or ""), True, "clash", 1) for i, t in enumerate(texts)]
+    rows += [rows[3], rows[8], (None, None, None, None, None, None, None, None)]
+    wide = "doc_id long, text string, lang string, source string, n_chars long, kept boolean, _text string, n_words long"
+    for df in (spark.createDataFrame(rows, wide).repartition(3), spark.createDataFrame([], wide)):
+        docs, empty = df, df.isEmpty()
+        for name, stage in corpus_pipeline.STAGES:
+            alone = stage(spark, df, "")  # each stage on the rows as they are
+            assert (alone.count() == 0) == empty
+            docs = corpus_pipeline.written(stage(spark, docs, ""), name)
+            assert name == "pack" or docs.columns == list(corpus_pipeline.COLUMNS)
+        assert (docs.count() == 0) == empty
 
 
 def test_near_stage_of_rows_without_id(spark):

@@ -414,6 +414,77 @@ def test_mixing_keeps_targets_over_many_blocks(spark):
     assert len(out) > 50000 and mixing.lag_bound([names.index(r["source"]) for r in out], [Fraction(p, sum(whole)) for p in whole]) < 1
 
 
+def brute_slots(blocks, weights):
+    """Every slot by looking at all sources: earliest deadline among the released, with fractions."""
+    from fractions import Fraction
+
+    w, out, done, slot = [Fraction(x) for x in weights], [], [0] * len(blocks), 0
+    while any(d < b for d, b in zip(done, blocks, strict=True)):
+        live = [i for i, b in enumerate(blocks) if done[i] < b]
+        share = {i: w[i] / sum(w[j] for j in live) for i in live}
+        have, start = dict.fromkeys(live, 0), slot
+        while all(done[i] < blocks[i] for i in live):
+            ready = [(math.ceil((have[i] + 1) / share[i]), -w[i], i) for i in live if math.floor(have[i] / share[i]) <= slot - start]
+            i = min(ready)[2]
+            out.append((i, done[i], slot))
+            have[i], done[i], slot = have[i] + 1, done[i] + 1, slot + 1
+    return out
+
+
+def test_slots_equal_brute_force():
+    rng = np.random.default_rng(7)
+    for _ in range(12):
+        n = int(rng.integers(1, 8))
+        weights, blocks = (rng.random(n) + 0.01).tolist(), rng.integers(0, 60, n).tolist()
+        got = [(s, b, t) for s, b, _, t, _, _ in mixing.slots(blocks, mixing.whole_parts(weights))]
+        assert got == brute_slots(blocks, weights)
+
+
+def test_mixing_query_equals_brute_force(spark, sf):
+    """The registered query, with its unequal weights, against brute-force slots and an order of its own."""
+    from bitladder.llm import queries
+
+    rows = spark.read.parquet(f"{sf}/documents.parquet").select("source", "doc_id", F.xxhash64("doc_id").alias("h")).collect()
+    names = sorted({r["source"] for r in rows}, key=lambda s: (s is not None, s or ""))
+    mine = {s: sorted(((r["h"], r["doc_id"]) for r in rows if r["source"] == s)) for s in names}
+    weights = mixing.falling(names)
+    blocks = [-(-len(mine[s]) // 8) for s in names]
+    want = {}
+    for i, block, slot in brute_slots(blocks, [weights[s] for s in names]):
+        for k, (_, doc) in enumerate(mine[names[i]][8 * block : 8 * block + 8]):
+            want[doc] = (names[i], 8 * block + k, block, slot, 8 * slot + k)
+    got = {r["doc_id"]: (r["source"], r["seq"], r["block"], r["slot"], r["position"]) for r in queries.op1_mix_sources(spark, sf).collect()}
+    assert got == want and len({weights[s] for s in names}) > 1
+
+
+def test_kept_columns_of_clashing_names(spark):
+    text = "A plain sentence of many words stands right here, and it ends well. " * 3
+    df = spark.createDataFrame([(1, text, 7, "x", True, "y", 3, "z")], "doc_id long, text string, n_words long, _text string, kept boolean, kept_text string, n_lines long, _doc string")
+    r = quality.clean(df, keep=("n_words", "_text", "kept", "clean_text") if "clean_text" in df.columns else ("n_words", "_text", "kept")).first()
+    assert (r["in_n_words"], r["_text"], r["in_kept"]) == (7, "x", True) and r["n_words"] == 39
+    r = lines.dedup_lines(df, keep=("kept_text", "n_lines", "_doc", "_text")).first()
+    assert (r["in_kept_text"], r["in_n_lines"], r["_doc"], r["_text"]) == ("y", 3, "z", "x") and r["kept_text"] == text
+
+
+def test_long_texts(spark):
+    """A hundred thousand words, with passages that repeat inside and elsewhere."""
+    rng = np.random.default_rng(8)
+    words = [f"v{x}" for x in rng.integers(0, 50000, 100_000)]
+    words[70_000:70_100] = words[10_000:10_100]
+    rows = [(1, " ".join(words)), (2, " ".join(words[500:700])), (3, " ".join(words[99_000:]))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = by_id(suffix.dedup_spans(df).select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256)))
+    assert {i: set(v) for i, v in got.items()} == {i: {v} for i, v in brute_spans(rows).items()}
+    got = by_id(windows.dedup_windows(df, 20).select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256)))
+    assert {i: set(v) for i, v in got.items()} == {i: {v} for i, v in brute_windows(rows).items()}
+
+
+def test_notices_in_any_language():
+    for line in ("© 2021 Firma", "(c) 1999 someone", "Alle Rechte vorbehalten", "Conditions d'utilisation", "Todos los derechos reservados", "See https://x.org/license here"):
+        assert quality.line_fails(line.encode()) == "boilerplate"
+    assert not quality.line_fails("Die Katze sitzt auf der Matte und schläft.".encode())
+
+
 def test_mixing_of_more_than_4096_sources(spark):
     d = spark.range(12000).select(F.concat(F.lit("host"), F.col("id") % 5000).alias("source"), F.col("id").alias("doc_id"))
     out = mixing.schedule(d, block_docs=2).collect()
