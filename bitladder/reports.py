@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import workloads as w
-from .functions import codes, sqlfuncs, text
+from .functions import codes, text
 from .operators import baselines, encoder, ladder, match, metrics, relational, retrieve, samples, select
 from .oracles import EXACT, FLOAT, LANE, ROWS, TOP, WIDTH, N, hashed_sum, lane_top, pairs, planes, vector_planes, words
 from .plans.index import LadderIndex, LadderModel
@@ -166,6 +166,8 @@ def attribute_filters(spark: SparkSession, sf: str) -> DataFrame:
 
 def arrow_functions(spark: SparkSession, sf: str) -> DataFrame:
     """Arrow scalar functions: vectors to plane words and back to signs."""
+    from .functions import sqlfuncs  # needs a session
+
     encode = sqlfuncs.encode_vector_udf(ladder.init_hadamard(64, 1))
     coded = w.vectors(spark, sf).select("vec_id", encode(F.col("embedding").cast("array<double>")).alias("words"))
     return coded.select("vec_id", *[F.array_join(F.transform(sqlfuncs.sign_planes(F.col("words")[t]), lambda x: F.when(x > 0, "+").otherwise("-")), "").alias(f"plane{t}") for t in (0, 1)])
@@ -173,6 +175,8 @@ def arrow_functions(spark: SparkSession, sf: str) -> DataFrame:
 
 def grouped_functions(spark: SparkSession, sf: str) -> DataFrame:
     """Grouped Arrow aggregates: the vector sum of each label, and the area of its first coordinate against the second's sign."""
+    from .functions import sqlfuncs  # needs a session
+
     e = w.vectors(spark, sf)
     v = F.col("embedding").cast("array<double>")
     area = sqlfuncs.auc_agg(F.element_at(v, 1), F.element_at(v, 2) > 0)
@@ -182,6 +186,8 @@ def grouped_functions(spark: SparkSession, sf: str) -> DataFrame:
 
 def table_functions(spark: SparkSession, sf: str) -> DataFrame:
     """Table functions in SQL: plane words of vectors, letter trigrams of part names."""
+    from .functions import sqlfuncs  # needs a session
+
     sqlfuncs.register_functions(spark)
     w.vectors(spark, sf).select("vec_id", F.col("embedding").cast("array<double>").alias("v")).createOrReplaceTempView("w_vectors")
     io.table(spark, sf, "part").select("p_partkey", "p_name").createOrReplaceTempView("w_parts")
