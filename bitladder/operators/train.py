@@ -294,7 +294,7 @@ def local_fit(groups: DataFrame, model: encoder.TwoTower, cfg: Config, parts: in
 
         own, cfg_ = copy.deepcopy(sent.value[0]), sent.value[1]
         part, step, rows = int(frame["part"].iloc[0]), Optimizer(cfg_), []
-        qs, ks = list(frame["q"]), [list(k) for k in frame["ks"]]
+        qs, ks = [list(q) for q in frame["q"]], [[list(x) for x in k] for k in frame["ks"]]
         same = [i for i, k in enumerate(ks) if len(k) == max(map(len, ks))]
         for epoch in range(cfg_.epochs):
             value, sides = batch_gradient(own, [qs[i] for i in same], [ks[i] for i in same], cfg_, epoch)
