@@ -10,12 +10,18 @@ the whole corpus: which keys occur elsewhere?  They ask it in packed form:
    costs one entry per chunk, never one per occurrence.
 3. A bucket answers every chunk row in the entry order of that row, so answers
    are plain arrays without keys, and go back by ``chunk_id``.
+
+Chunks and buckets are of fixed size, so both grow with the input, and rows of one
+chunk and bucket would become short.  Beyond ``2 ** DIRECT_BITS`` buckets keys go in
+two steps: a chunk sends one row to each of so many coarse buckets, where the rows of
+many chunks are dealt anew, and answers come back the same way.  Rows so grow with the input.
 """
 
 from __future__ import annotations
 
 import tempfile
 import uuid
+from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
@@ -28,6 +34,12 @@ NULL_ID = -(2**63)
 CHUNK_BYTES = 4 << 20
 #: bytes of the smallest request that one bucket should gather
 BUCKET_BYTES = 4 << 20
+#: log2 of the buckets to which a chunk sends rows directly
+DIRECT_BITS = 12
+#: bytes of a coarse bucket's rows that are dealt to its buckets together
+DEAL_BYTES = 32 << 20
+#: parts into which the rows of a coarse bucket are dealt
+DEALERS = 16
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -140,7 +152,10 @@ class Chunk:
             yield self.blob[a:b]
 
     def answer(self, name: str) -> dict[int, bytes]:
-        return {x["bucket"]: x["data"] for x in self.row.get(name) or ()}
+        found: dict[int, bytes] = {}
+        for x in self.row.get(name) or ():
+            found.update([(x["bucket"], x["data"])] if x["bucket"] >= 0 else unpacked(x["data"]))
+        return found
 
 
 def each_chunk(batches):
@@ -156,6 +171,11 @@ def bucket_bits(chunks: DataFrame, bytes_per_text_byte: float) -> int:
     return int(np.ceil(np.log2(want)))
 
 
+def later_bits(bits: int) -> int:
+    """How many of a bucket's ``bits`` the second step tells; 0: there is one step only."""
+    return max(0, bits - DIRECT_BITS)
+
+
 def cut(sorted_keys: np.ndarray, bits: int):
     """(bucket, from, to) of sorted 64-bit keys, for the buckets that have any."""
     if not len(sorted_keys):
@@ -170,21 +190,98 @@ REQUEST = "bucket int, chunk_id long, data binary"
 ANSWER = "chunk_id long, bucket int, data binary"
 
 
-def requests_batch(rows: list[tuple[int, int, bytes]]) -> pa.RecordBatch:
+def packed(parts) -> bytes:
+    """(number, bytes) pairs as one value."""
+    parts = list(parts)
+    numbers = np.array([[n for n, _ in parts], [len(d) for _, d in parts]], dtype=np.int64)
+    return b"".join((np.int64(len(parts)).tobytes(), numbers.tobytes(), *(d for _, d in parts)))
+
+
+def unpacked(blob: bytes):
+    n = int(np.frombuffer(blob, np.int64, 1)[0])
+    numbers, sizes = np.frombuffer(blob, np.int64, 2 * n, 8).reshape(2, n).tolist()
+    at = 8 + 16 * n
+    for number, size in zip(numbers, sizes, strict=True):
+        yield number, blob[at : at + size]
+        at += size
+
+
+def requests_batch(rows: list[tuple[int, int, bytes]], later: int) -> pa.RecordBatch:
+    """The (bucket, chunk_id, data) rows of one chunk, in bucket order; packed by coarse bucket if there is a second step."""
+    if later:
+        rows = [(coarse, own[0][1], packed((b, d) for b, _, d in own)) for coarse, own in ((c, list(g)) for c, g in groupby(rows, lambda r: r[0] >> later))]
     b, c, d = zip(*rows, strict=True) if rows else ((), (), ())
     return pa.RecordBatch.from_arrays([pa.array(b, pa.int32()), pa.array(c, pa.int64()), pa.array(d, pa.binary())], ["bucket", "chunk_id", "data"])
 
 
-def answered(requests: DataFrame, resolve) -> DataFrame:
+def dealt(requests: DataFrame) -> DataFrame:
+    """Packed rows of coarse buckets as rows of buckets: ``chunk_id`` numbers a block of chunks, ``data`` packs theirs.
+
+    The sort makes the blocks the same whenever a lost task is run again.
+    """
+    limit = DEAL_BYTES
+
+    def deal(batches):
+        base, seq = TaskContext.get().partitionId() << 32, 0
+        parts: dict[int, list] = {}
+        size, now = 0, None
+        for batch in batches:
+            for coarse, chunk, data in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if parts and (coarse != now or size + len(data) > limit):
+                    yield requests_batch([(b, base + seq, packed(p)) for b, p in parts.items()], 0)
+                    seq, parts, size = seq + 1, {}, 0
+                now, size = coarse, size + len(data)
+                for b, d in unpacked(data):
+                    parts.setdefault(b, []).append((chunk, d))
+        if parts:
+            yield requests_batch([(b, base + seq, packed(p)) for b, p in parts.items()], 0)
+
+    by_key = requests.repartition("bucket", F.pmod(F.hash("chunk_id"), F.lit(DEALERS)))
+    return by_key.sortWithinPartitions("bucket", "chunk_id").mapInArrow(deal, REQUEST)
+
+
+def returned(answers: DataFrame, later: int) -> DataFrame:
+    """Answers of blocks as one row for each chunk and coarse bucket, whose number is negative to mark it as packed."""
+
+    def collect(batches):
+        parts: dict[int, list] = {}
+        now = None
+
+        def rows():
+            found = [(chunk, -1 - (p[0][0] >> later), packed(p)) for chunk, p in parts.items()]
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*found, strict=True), (pa.int64(), pa.int32(), pa.binary()), strict=True)], ["chunk_id", "bucket", "data"])
+
+        for batch in batches:
+            for block, bucket, data in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if parts and block != now:
+                    yield rows()
+                    parts = {}
+                now = block
+                for chunk, d in unpacked(data):
+                    parts.setdefault(chunk, []).append((bucket, d))
+        if parts:
+            yield rows()
+
+    return answers.repartition("chunk_id").sortWithinPartitions("chunk_id", "bucket").mapInArrow(collect, ANSWER)
+
+
+def answered(requests: DataFrame, resolve, later: int) -> DataFrame:
     """``resolve(list of blobs) -> list of answers`` for each bucket, one answer a blob."""
 
     def group(table: pa.Table) -> pa.Table:
         bucket = table.column("bucket")[0].as_py()
         ids, blobs = table.column("chunk_id"), table.column("data").to_pylist()
-        out = resolve(blobs)
+        if later:
+            blocks = [list(unpacked(b)) for b in blobs]
+            found = iter(resolve([d for block in blocks for _, d in block]))
+            out = [packed((chunk, next(found)) for chunk, _ in block) for block in blocks]
+        else:
+            out = resolve(blobs)
         return pa.table({"chunk_id": ids, "bucket": pa.array([bucket] * len(out), pa.int32()), "data": pa.array(out, pa.binary())})
 
-    return requests.groupBy("bucket").applyInArrow(group, ANSWER)
+    if not later:
+        return requests.groupBy("bucket").applyInArrow(group, ANSWER)
+    return returned(dealt(requests).groupBy("bucket").applyInArrow(group, ANSWER), later)
 
 
 def with_answers(chunks: DataFrame, answers: DataFrame, name: str) -> DataFrame:

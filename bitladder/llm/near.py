@@ -48,7 +48,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NULL_ID, REQUEST, Chunk, answered, bucket_bits, chunk_table, chunk_words, cut, each_chunk, mixed, requests_batch, window_starts, with_answers, written
+from .common import NULL_ID, REQUEST, Chunk, answered, bucket_bits, chunk_table, chunk_words, cut, each_chunk, later_bits, mixed, requests_batch, window_starts, with_answers, written
 from .windows import FACTORS, folded
 
 WORDS, THRESHOLD = 5, 0.8
@@ -230,6 +230,7 @@ def vectors(docs: DataFrame, words: int, threshold: float) -> DataFrame:
     """
     chunks = chunk_table(docs)
     bits = bucket_bits(chunks, 1.6)
+    later = later_bits(bits)
     n_rows, n_docs = docs.select("doc_id").agg(F.count("*"), F.count_distinct("doc_id")).first()
     scale = np.log(1.0 + max(n_docs, 1))
 
@@ -237,9 +238,9 @@ def vectors(docs: DataFrame, words: int, threshold: float) -> DataFrame:
         for chunk in each_chunk(batches):
             s = Shingles(chunk, words)
             df = s.df.astype(np.uint32)
-            yield requests_batch([(bucket, chunk.chunk_id, short_keys(s.asked[a:b], bits) + df[a:b].tobytes()) for bucket, a, b in cut(s.asked, bits)])
+            yield requests_batch([(bucket, chunk.chunk_id, short_keys(s.asked[a:b], bits) + df[a:b].tobytes()) for bucket, a, b in cut(s.asked, bits)], later)
 
-    joined = with_answers(chunks, answered(chunks.mapInArrow(ask, REQUEST), totals), "df")
+    joined = with_answers(chunks, answered(chunks.mapInArrow(ask, REQUEST), totals, later), "df")
 
     def weigh(batches):
         from xxhash import xxh3_128_digest

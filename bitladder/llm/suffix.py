@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import REQUEST, Chunk, anchors, answered, bucket_bits, chunk_table, covered, cut, doc_blocks, each_chunk, ids_out, mixed, requests_batch, spans_of, window_starts, with_answers
+from .common import REQUEST, Chunk, anchors, answered, bucket_bits, chunk_table, covered, cut, doc_blocks, each_chunk, ids_out, later_bits, mixed, requests_batch, spans_of, window_starts, with_answers
 from .windows import bits_of, distinct, seen_elsewhere
 
 ANCHOR = 16
@@ -288,21 +288,22 @@ def dedup_spans(docs: DataFrame, window: int = 50) -> DataFrame:
         raise ValueError("window must be from 24 to 79 bytes")
     chunks = chunk_table(docs)
     bits = bucket_bits(chunks, 0.5)
+    later = later_bits(bits)
 
     def ask(batches):
         for chunk in each_chunk(batches):
             keys = Segments(chunk, window, bits).asked
-            yield requests_batch([(bucket, chunk.chunk_id, keys[a:b].tobytes()) for bucket, a, b in cut(keys, bits)])
+            yield requests_batch([(bucket, chunk.chunk_id, keys[a:b].tobytes()) for bucket, a, b in cut(keys, bits)], later)
 
-    joined = with_answers(chunks, answered(chunks.mapInArrow(ask, REQUEST), seen_elsewhere), "shared")
+    joined = with_answers(chunks, answered(chunks.mapInArrow(ask, REQUEST), seen_elsewhere, later), "shared")
 
     def send(batches):
         for chunk in each_chunk(batches):
             s = Segments(chunk, window, bits)
             s.select(chunk.answer("shared"))
-            yield requests_batch(list(s.requests()))
+            yield requests_batch(list(s.requests()), later)
 
-    final = with_answers(joined, answered(joined.mapInArrow(send, REQUEST), resolver(window)), "masks")
+    final = with_answers(joined, answered(joined.mapInArrow(send, REQUEST), resolver(window), later), "masks")
 
     def apply(batches):
         for chunk in each_chunk(batches):

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import REQUEST, Chunk, anchors, answered, bucket_bits, chunk_table, chunk_words, covered, cut, each_chunk, ids_out, mixed, requests_batch, spans_of, window_starts, with_answers
+from .common import REQUEST, Chunk, anchors, answered, bucket_bits, chunk_table, chunk_words, covered, cut, each_chunk, ids_out, later_bits, mixed, requests_batch, spans_of, window_starts, with_answers
 
 FACTORS = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC6A4A7935BD1E995))
 
@@ -175,6 +175,7 @@ def dedup_windows(docs: DataFrame, window: int = 20, start: int | None = None) -
         raise ValueError("window must be start times a power of two")
     chunks = chunk_table(docs)
     bits = bucket_bits(chunks, 0.25)
+    later = later_bits(bits)
 
     def to_level(chunk: Chunk, n: int) -> Windows:
         w = Windows(chunk, window, start, bits)
@@ -195,17 +196,17 @@ def dedup_windows(docs: DataFrame, window: int = 20, start: int | None = None) -
         def ask(batches, k=k):
             for chunk in each_chunk(batches):
                 keys = to_level(chunk, k).asked
-                yield requests_batch([(bucket, chunk.chunk_id, keys[a:b].tobytes()) for bucket, a, b in cut(keys, bits)])
+                yield requests_batch([(bucket, chunk.chunk_id, keys[a:b].tobytes()) for bucket, a, b in cut(keys, bits)], later)
 
-        joined = with_answers(joined, answered(joined.mapInArrow(ask, REQUEST), seen_elsewhere), f"a{k}")
+        joined = with_answers(joined, answered(joined.mapInArrow(ask, REQUEST), seen_elsewhere, later), f"a{k}")
 
     def ask_first(batches):
         for chunk in each_chunk(batches):
             w = to_level(chunk, levels)
             docs_ = w.first.view(np.uint64)
-            yield requests_batch([(bucket, chunk.chunk_id, b"".join(x[a:b].tobytes() for x in (w.k1, w.k2, docs_))) for bucket, a, b in cut(w.k1, bits)])
+            yield requests_batch([(bucket, chunk.chunk_id, b"".join(x[a:b].tobytes() for x in (w.k1, w.k2, docs_))) for bucket, a, b in cut(w.k1, bits)], later)
 
-    final = with_answers(joined, answered(joined.mapInArrow(ask_first, REQUEST), first_elsewhere), "last")
+    final = with_answers(joined, answered(joined.mapInArrow(ask_first, REQUEST), first_elsewhere, later), "last")
 
     def apply(batches):
         for chunk in each_chunk(batches):

@@ -8,7 +8,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from bitladder.llm import lines, mixing, near, packing, quality, suffix, tokens, windows
+from bitladder.llm import common, lines, mixing, near, packing, quality, suffix, tokens, windows
 from bitladder.llm.queries import vocabulary
 
 BASE = "the quick brown fox jumps over the lazy dog while seven wizards brew a very potent potion near old stone bridges and " * 3
@@ -524,3 +524,41 @@ def test_empty_tables(empty, spark):
     assert near.near_duplicates(empty).count() == 0
     assert mixing.schedule(empty).count() == 0
     assert mixing.mixed_documents(empty).count() == 0
+
+
+@pytest.fixture
+def two_steps(monkeypatch):
+    """Four coarse buckets, blocks of a few rows: what large inputs do."""
+    monkeypatch.setattr(common, "DIRECT_BITS", 2)
+    monkeypatch.setattr(common, "DEAL_BYTES", 5_000)
+
+
+def test_numbered_parts_round_trip():
+    for parts in ([], [(7, b"")], [(-3, b"abc"), (2**40, b""), (5, b"\0" * 9)]):
+        assert list(common.unpacked(common.packed(parts))) == parts
+
+
+def test_exchange_in_two_steps(docs, two_steps):
+    many = docs.repartition(7).cache()  # one chunk for each
+    got = by_id(suffix.dedup_spans(many).select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256)))
+    assert {i: set(v) for i, v in got.items()} == {i: {v} for i, v in brute_spans(distinct_rows(docs)).items()}
+    for start in (None, 5):
+        got = by_id(windows.dedup_windows(many, 20, start).select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256)))
+        assert {i: set(v) for i, v in got.items()} == {i: {v} for i, v in brute_windows(distinct_rows(docs)).items()}
+    once = docs.dropDuplicates(["doc_id"]).repartition(7)
+    assert {r["doc_id"]: r["class_id"] for r in near.near_duplicates(once).collect()} == brute_classes(distinct_rows(docs))
+
+
+def test_one_answer_for_each_chunk_and_coarse_bucket(spark, two_steps):
+    rows = spark.range(40, numPartitions=5)
+
+    def ask(batches):
+        for batch in batches:
+            for chunk in batch.column(0).to_pylist():
+                yield common.requests_batch([(b, chunk, b"%d:%d" % (b, chunk)) for b in range(chunk % 3, 32, 3)], 3)
+
+    answers = common.answered(rows.mapInArrow(ask, common.REQUEST), lambda blobs: [b"re " + b for b in blobs], 3)
+    seen = [(r["chunk_id"], r["bucket"], list(common.unpacked(bytes(r["data"])))) for r in answers.collect()]
+    assert len(seen) == len({s[:2] for s in seen}) == 40 * 4
+    assert all(coarse < 0 and {b >> 3 for b, _ in own} == {-1 - coarse} for _, coarse, own in seen)
+    assert {(chunk, b): d for chunk, _, own in seen for b, d in own} == {(c, b): b"re %d:%d" % (b, c) for c in range(40) for b in range(c % 3, 32, 3)}
