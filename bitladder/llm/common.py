@@ -34,8 +34,9 @@ NULL_ID = -(2**63)
 CHUNK_BYTES = 4 << 20
 #: bytes of the smallest request that one bucket should gather
 BUCKET_BYTES = 4 << 20
-#: log2 of the buckets to which a chunk sends rows directly
-DIRECT_BITS = 12
+#: log2 of the buckets to which a chunk sends rows directly, of 64 to 400 bytes then; a second
+#: step moves all keys twice, so it is left to inputs whose rows would be shorter
+DIRECT_BITS = 14
 #: bytes of a coarse bucket's rows that are dealt to its buckets together
 DEAL_BYTES = 32 << 20
 #: parts into which the rows of a coarse bucket are dealt
