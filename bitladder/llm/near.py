@@ -78,9 +78,10 @@ class Shingles:
                 h = mixed(h * FACTORS[1] + x)
             few.append(h[0])
         key, doc = np.concatenate([key, np.array(few, np.uint64)]), np.concatenate([doc, short])
-        ids = chunk.ids[doc]
-        order = np.lexsort((key, ids))
-        key, ids = key[order], ids[order]
+        order = np.argsort(key)
+        # documents of a chunk seldom need more than 16 bits, which sort by radix
+        order = order[np.argsort(doc[order].astype(np.uint16 if len(lens) <= 1 << 16 else np.int64), kind="stable")]
+        key, ids = key[order], chunk.ids[doc[order]]
         new = np.ones(len(key), dtype=bool)
         new[1:] = (key[1:] != key[:-1]) | (ids[1:] != ids[:-1])
         head = np.flatnonzero(new)

@@ -266,6 +266,24 @@ def test_near_duplicates(docs, spark):
     assert len(again) == docs.count() and {r["doc_id"]: r["class_id"] for r in again} == got
 
 
+def test_shingles_by_document():
+    texts = ["a b c d e f a b c d e", "one two", "", "a b c d e f", "z " * 30, "one two three"]
+    lens = np.array([len(t) for t in texts], np.int64)
+    blob = "".join(texts).encode()
+    ids = np.array([9, 3, 5, -4, 7, 1], np.int64)
+    import pyarrow as pa
+
+    row = {"chunk_id": 0, "ids": ids.tobytes(), "lens": lens.tobytes(), "blob": pa.compress(blob, codec="zstd", asbytes=True), "n_bytes": len(blob)}
+    s = near.Shingles(common.Chunk(row), 5)
+    for i, t in zip(ids, texts, strict=True):
+        w = t.split()
+        of = collections.Counter(tuple(w[j : j + 5]) for j in range(max(len(w) - 4, min(len(w), 1))))
+        assert sorted(s.tf[s.ids == i].tolist()) == sorted(of.values())
+        assert len(set(s.key[s.ids == i].tolist())) == len(of)
+    assert (np.diff(np.flatnonzero(np.diff(s.ids, prepend=2**62))) > 0).all() and len(set(s.ids.tolist())) == 1 + np.count_nonzero(np.diff(s.ids))
+    assert sorted(s.df.tolist(), reverse=True)[:2] == [2, 2]
+
+
 def test_near_duplicates_in_a_group_of_several_blocks(spark, monkeypatch):
     monkeypatch.setattr(near, "GROUP", 4)
     rng = np.random.default_rng(2)
