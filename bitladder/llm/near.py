@@ -131,38 +131,56 @@ def frequencies(s: Shingles, answer: dict[int, bytes], bits: int) -> np.ndarray:
 
 def uniform(h: np.ndarray) -> np.ndarray:
     """(0, 1) from 64-bit hashes."""
-    return ((h >> np.uint64(11)).astype(np.float64) + 0.5) * 2.0**-53
+    u = (h >> np.uint64(11)).astype(np.float64)
+    u += 0.5
+    u *= 2.0**-53
+    return u
 
 
-def sample(key: np.ndarray, weight: np.ndarray, heads: np.ndarray, draw: int) -> np.ndarray:
+def gamma(first: np.ndarray, second: np.ndarray) -> np.ndarray:
+    """Gamma(2,1) variables from two uniform ones each."""
+    first *= second
+    np.log(first, out=first)
+    return np.negative(first, out=first)
+
+
+def sample(key: np.ndarray, log_weight: np.ndarray, heads: np.ndarray, sizes: np.ndarray, draw: int) -> np.ndarray:
     """One consistent weighted sample (as a hash) of each document.
 
     ``heads`` are the places in ``key`` at which documents begin.
     """
     steps = np.arange(5 * draw + 1, 5 * draw + 6, dtype=np.uint64) * FACTORS[0]
-    seeds = [mixed(key + step) for step in steps]
-    u = [uniform(s) for s in seeds]
-    r = -np.log(u[0] * u[1])
-    c = -np.log(u[2] * u[3])
-    t = np.floor(np.log(weight) / r + u[4])
-    value = np.log(c) - r * (t - u[4] + 1.0)
+    u = [uniform(mixed(key + step)) for step in steps]
+    r, value, offset = gamma(u[0], u[1]), gamma(u[2], u[3]), u[4]
+    t = log_weight / r
+    t += offset
+    np.floor(t, out=t)
+    np.log(value, out=value)
+    offset -= t
+    offset -= 1.0
+    r *= offset
+    value += r
     least = np.minimum.reduceat(value, heads)
-    sizes = np.diff(np.append(heads, len(key)))
     at = np.flatnonzero(value == np.repeat(least, sizes))
-    group = np.searchsorted(heads, at, side="right") - 1
-    at = at[np.concatenate([[True], group[1:] != group[:-1]])]
+    if len(at) > len(heads):  # the first of equal values
+        group = np.searchsorted(heads, at, side="right") - 1
+        at = at[np.concatenate([[True], group[1:] != group[:-1]])]
     return mixed(key[at] * FACTORS[1] + t[at].astype(np.int64).view(np.uint64))
 
 
-def signatures(key, weight, heads) -> np.ndarray:
-    """documents x BANDS hashes."""
-    out = []
-    for band in range(BANDS):
-        h = np.full(len(heads), np.uint64(band + 1))
-        for row in range(ROWS):
-            h = mixed(h * FACTORS[0] + sample(key, weight, heads, band * ROWS + row))
-        out.append(h)
-    return np.stack(out, axis=1)
+def signatures(key: np.ndarray, weight: np.ndarray, heads: np.ndarray, tile: int = 1 << 14) -> np.ndarray:
+    """documents x BANDS hashes, worked out for about ``tile`` entries at a time, which stay in a core's cache."""
+    ends, log_weight = np.append(heads[1:], len(key)), np.log(weight)
+    sizes, out = ends - heads, np.empty((len(heads), BANDS), np.uint64)
+    cuts = np.flatnonzero(np.diff(heads // tile, prepend=-1))
+    for a, b in zip(cuts, [*cuts[1:], len(heads)], strict=True):
+        of, begin = slice(heads[a], ends[b - 1]), heads[a:b] - heads[a]
+        for band in range(BANDS):
+            h = np.full(b - a, np.uint64(band + 1))
+            for row in range(ROWS):
+                h = mixed(h * FACTORS[0] + sample(key[of], log_weight[of], begin, sizes[a:b], band * ROWS + row))
+            out[a:b, band] = h
+    return out
 
 
 #: a text with words

@@ -266,6 +266,24 @@ def test_near_duplicates(docs, spark):
     assert len(again) == docs.count() and {r["doc_id"]: r["class_id"] for r in again} == got
 
 
+def test_samples_do_not_depend_on_tiles():
+    rng = np.random.default_rng(7)
+    heads = np.array([0, 1, 40, 41, 300, 700])
+    key = rng.integers(0, 2**64, 900, np.uint64)
+    key[300:400], weight = key[500:600], rng.integers(1, 4, 900) * (1.0 + rng.random(900))
+    whole = near.signatures(key, weight, heads)
+    for tile in (1, 64, 300, 899):
+        assert (near.signatures(key, weight, heads, tile) == whole).all()
+    ends = [*heads[1:], 900]
+    alone = [near.signatures(key[a:b], weight[a:b], np.array([0]))[0] for a, b in zip(heads, ends, strict=True)]
+    assert (np.stack(alone) == whole).all()
+    # equal draws agree as often as the weighted similarity says
+    k, w = np.arange(1, 401, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15), np.ones(400)
+    draws = [[near.sample(x, np.zeros(360), np.array([0]), np.array([360]), d)[0] for d in range(600)] for x in (k[:360], k[40:])]
+    assert abs(np.mean([a == b for a, b in zip(*draws, strict=True)]) - 320 / 400) < 0.06
+    assert (near.signatures(k, w, np.array([0])) == near.signatures(k[::-1].copy(), w, np.array([0]))).all()
+
+
 def test_shingles_by_document():
     texts = ["a b c d e f a b c d e", "one two", "", "a b c d e f", "z " * 30, "one two three"]
     lens = np.array([len(t) for t in texts], np.int64)
