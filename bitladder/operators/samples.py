@@ -57,14 +57,15 @@ def page_pairs(pages: DataFrame) -> DataFrame:
     return pages.select(F.col("page_id").alias("pair_id"), F.col("page_id").alias("query_id"), F.col("page_id").alias("keyword_id"), title.alias("q_text"), body.alias("k_text"))
 
 
-def cross_sample(pairs: DataFrame, negatives: int = 10, seed: int = 0, block: int = 1024, drop_false_negatives: bool = False, order: Column | None = None) -> DataFrame:
+def cross_sample(pairs: DataFrame, negatives: int = 10, seed: int = 0, block: int = 1024, drop_false_negatives: bool = False, order: Column | None = None, placed: bool = False) -> DataFrame:
     """group_id, query_id, keyword_id, is_pos: each pair and ``negatives`` others' keywords.
 
     Pairs are dealt to hash blocks of about ``block`` and numbered there; the
     partner of a slot is a fixed offset on, so this is an equi-join on (block,
     slot).  Blocks are made larger until each holds more than ``negatives``
     pairs, so every pair gets exactly that many; a table without so many is an
-    error.  ``drop_false_negatives`` takes known pairs away again.
+    error.  ``drop_false_negatives`` takes known pairs away again.  ``placed`` adds
+    ``place``: the group's block and slot, in whose order neighbours share keywords.
     """
     n = pairs.count()
     if 0 < n <= negatives:
@@ -84,14 +85,16 @@ def cross_sample(pairs: DataFrame, negatives: int = 10, seed: int = 0, block: in
         .withColumn("slot", F.row_number().over(slots) - 1)
         .withColumn("size", F.count("*").over(Window.partitionBy("block")))
     )
+    place = ["place"] if placed else []
+    dealt = dealt.withColumn("place", F.shiftleft(F.col("block").cast("long"), 32) + F.col("slot")) if placed else dealt
     step = F.explode(F.sequence(F.lit(1), F.lit(negatives)))
-    asks = dealt.select(F.col("pair_id").alias("group_id"), "query_id", "block", "size", "slot", step.alias("k")).withColumn("slot", ((F.col("slot") + F.col("k")) % F.col("size")).cast("int"))
+    asks = dealt.select(F.col("pair_id").alias("group_id"), *place, "query_id", "block", "size", "slot", step.alias("k")).withColumn("slot", ((F.col("slot") + F.col("k")) % F.col("size")).cast("int"))
     gives = dealt.select("block", "slot", "keyword_id")
-    negative = asks.join(gives, ["block", "slot"]).select("group_id", "query_id", "keyword_id", F.lit(False).alias("is_pos"))
+    negative = asks.join(gives, ["block", "slot"]).select("group_id", *place, "query_id", "keyword_id", F.lit(False).alias("is_pos"))
     if drop_false_negatives:
         known = pairs.select("query_id", "keyword_id").distinct()
-        negative = negative.join(known, ["query_id", "keyword_id"], "left_anti").select("group_id", "query_id", "keyword_id", "is_pos")
-    positive = dealt.select(F.col("pair_id").alias("group_id"), "query_id", "keyword_id", F.lit(True).alias("is_pos"))
+        negative = negative.join(known, ["query_id", "keyword_id"], "left_anti").select("group_id", *place, "query_id", "keyword_id", "is_pos")
+    positive = dealt.select(F.col("pair_id").alias("group_id"), *place, "query_id", "keyword_id", F.lit(True).alias("is_pos"))
     return positive.unionByName(negative)
 
 

@@ -11,6 +11,9 @@ gradient of their size, never samples.
 from __future__ import annotations
 
 import copy
+import itertools
+import pickle
+import tempfile
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -61,12 +64,108 @@ class Fit:
         return float(max(0.0, rises.max(initial=0.0)) / losses[0]) if losses else 0.0
 
 
-def side_forward(inputs: list, side: encoder.SideParams, model: encoder.TwoTower, ids):
-    """Output of the layers under the ladder for a list of inputs, and what the way back needs."""
+#: words of distinct texts, and groups, of one block
+BLOCK_WORDS, BLOCK_GROUPS = 1 << 16, 4096
+
+
+@dataclass
+class Block:
+    """Sample groups whose inputs are listed once: both sides' inputs, and each group's numbers in them.
+
+    ``groups`` has for each number of keywords (queries, keywords, places in the block).
+    """
+
+    query: encoder.Words | np.ndarray
+    keyword: encoder.Words | np.ndarray
+    groups: list[tuple[np.ndarray, np.ndarray, np.ndarray]]
+    #: tells blocks apart in what they draw
+    key: int = 0
+
+
+def block_of(qs: list, ks: list[list], settings: list, key: int = 0) -> Block:
+    """A block of groups; ``settings`` are the word ids that models need (none: inputs are vectors)."""
+    kind = pa.list_(pa.string() if settings else pa.float64())
+    q, k = pa.array([list(x or ()) for x in qs], kind), pa.array([[list(x or ()) for x in group] for group in ks], pa.list_(kind))
+    return block_of_arrays(q, k, settings, key)
+
+
+def listed(lists: pa.Array, settings: list) -> tuple[encoder.Words | np.ndarray, np.ndarray]:
+    """Distinct inputs of a column of lists, and each row's number among them."""
+    lens, flat = lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False), lists.flatten()
+    if settings:
+        coded = flat.dictionary_encode()
+        flat, names = coded.indices, coded.dictionary.to_pylist()
+    x, ends, number = flat.to_numpy(zero_copy_only=False), np.cumsum(lens).tolist(), {}
+    at = np.array([number.setdefault(x[a:b].tobytes(), len(number)) for a, b in zip([0, *ends[:-1]], ends, strict=True)], dtype=np.int64)
+    parts = [np.frombuffer(k, x.dtype) for k in number]
+    if not settings:
+        return np.array(parts, dtype=np.float64), at
+    sizes = np.array([len(p) for p in parts], dtype=np.int64)
+    return encoder.Words(sizes, np.concatenate([*parts, x[:0]]).astype(np.int32), [encoder.trigrams(names, own) for own in settings]), at
+
+
+def block_of_arrays(q: pa.Array, ks: pa.Array, settings: list, key: int = 0) -> Block:
+    """``block_of`` from columns q (lists) and ks (lists of lists)."""
+    (queries, qn), (keywords, kn) = listed(q, settings), listed(ks.flatten(), settings)
+    sizes = ks.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+    begin, groups = encoder.segments(sizes), []
+    for m in np.unique(sizes).tolist():
+        at = np.flatnonzero(sizes == m)
+        groups.append((qn[at], kn[begin[at][:, None] + np.arange(m)], at))
+    return Block(queries, keywords, groups, key)
+
+
+def settings_of(models) -> tuple[list[tuple[int, dict | None]], dict[str, int]]:
+    """The distinct (dims, vocabulary) of models with a convolution, and each model's number among them."""
+    found, number = [], {}
+    for name, model in models.items():
+        if model.query.conv is not None:
+            at = next((i for i, (dims, vocab) in enumerate(found) if dims == model.dims and vocab is model.vocab), None)
+            number[name] = len(found) if at is None else at
+            if at is None:
+                found.append((model.dims, model.vocab))
+    return found, number
+
+
+def blocks_in(batches, settings: list):
+    """Groups' ids and blocks of about ``BLOCK_WORDS`` words, or ``BLOCK_GROUPS`` groups, from batches of group_id, q and ks.
+
+    Neighbours share keywords, so a group counts with its query and one keyword.
+    """
+    ids = [encoder.WordIds(*x) for x in settings]
+    for batch in batches:
+        key, q, ks = (batch.column(batch.schema.get_field_index(c)) for c in ("group_id", "q", "ks"))
+        inner, sizes = ks.flatten().value_lengths().fill_null(0).to_numpy(zero_copy_only=False), ks.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+        mean = encoder.segment_sums(inner[:, None].astype(np.float64), sizes)[:, 0] / np.maximum(sizes, 1)
+        words = np.cumsum(q.value_lengths().fill_null(0).to_numpy(zero_copy_only=False) + mean)
+        a = 0
+        while a < batch.num_rows:
+            b = int(np.searchsorted(words, (words[a - 1] if a else 0) + BLOCK_WORDS, "right"))
+            n = min(max(b - a, 1), BLOCK_GROUPS)
+            keys = key.slice(a, n).to_numpy(zero_copy_only=False)
+            yield keys, block_of_arrays(q.slice(a, n), ks.slice(a, n), ids, int(keys[0]))
+            a += n
+
+
+def spread(groups: DataFrame) -> DataFrame:
+    """Packed groups over all cores; those with a place stay beside their neighbours."""
+    cores = groups.sparkSession.sparkContext.defaultParallelism
+    if groups.rdd.getNumPartitions() >= cores:
+        return groups
+    return in_place(groups, cores) if "place" in groups.columns else groups.repartition(cores, "group_id")
+
+
+def in_place(groups: DataFrame, parts: int) -> DataFrame:
+    """Runs of 128 neighbouring groups dealt to ``parts`` partitions, in order there."""
+    return groups.repartition(parts, F.shiftright("place", 7)).sortWithinPartitions("place")
+
+
+def side_forward(inputs: encoder.Words | np.ndarray, side: encoder.SideParams, model: encoder.TwoTower, setting: int = 0, taped: bool = True):
+    """Output of the layers under the ladder for all inputs, and what the way back needs."""
     if side.conv is None:
-        f, tape = np.array(inputs, dtype=np.float64), None
+        f, tape = inputs, None
     else:
-        f, tape = encoder.conv_forward([x or [] for x in inputs], side.conv, ids, model.width, model.mode)
+        f, tape = encoder.conv_words(inputs, side.conv, model.dims, model.width, model.mode, setting, taped)
     layers = [f]
     for w in side.hidden:
         layers.append(np.tanh(layers[-1] @ w.T))
@@ -85,68 +184,103 @@ def side_backward(g: np.ndarray, side: encoder.SideParams, model: encoder.TwoTow
 
 
 def batch_gradient(model: encoder.TwoTower, qs: list, ks: list[list], cfg: Config, epoch: int, ids=None):
-    """Loss and gradients, by side and (name, number), of groups with equally many keywords."""
-    slope, kind, g, m = binarize.slope_at(epoch, cfg.growth), cfg.surrogate, len(qs), len(ks[0])
-    rng = np.random.default_rng((cfg.seed, epoch, g, m))
-    act = (lambda z: binarize.stochastic_sign(z * cfg.reach, rng)) if kind == "stochastic" else binarize.sign
+    """Loss and gradients, by side and (name, number), of groups."""
+    settings = [] if model.query.conv is None else [ids if ids is not None else encoder.WordIds(model.dims, model.vocab)]
+    return block_gradient(model, block_of(qs, ks, settings), cfg, epoch)
+
+
+def sums_by(number: np.ndarray, x: np.ndarray, n: int) -> np.ndarray:
+    """Rows of ``x`` summed by their number below ``n``."""
+    order = np.argsort(number, kind="stable")
+    return encoder.segment_sums(x[order], np.bincount(number, minlength=n))
+
+
+def block_gradient(model: encoder.TwoTower, block: Block, cfg: Config, epoch: int, setting: int = 0):
+    """Loss and gradients, by side and (name, number), of a block's groups; layers run once for each distinct input.
+
+    Drawn signs are drawn anew wherever an input occurs.
+    """
+    slope, kind = binarize.slope_at(epoch, cfg.growth), cfg.surrogate
+    drawn, value = kind == "stochastic", 0.0
+    rng = np.random.default_rng((cfg.seed, epoch, block.key & (2**63 - 1), len(block.groups)))
+    act = (lambda z: binarize.stochastic_sign(z * cfg.reach, rng)) if drawn else binarize.sign
 
     def surrogate(z):
         return binarize.grad(kind, z * cfg.reach, slope) * cfg.reach
 
-    ids = ids if ids is not None else encoder.WordIds(model.dims, model.vocab)
     found = []
-    for side, inputs in ((model.query, qs), (model.keyword, [k for group in ks for k in group])):
-        f, tapes = side_forward(inputs, side, model, ids)
-        out, tape = (f, None) if side.ladder is None else ladder.forward(f, side.ladder, act)
-        found.append((side, tapes, out, tape))
-    bq, bk = found[0][2], found[1][2]
-    n = bq.shape[1]
-    cos, dq, dk = loss.cosine_grad(bq[:, None, :], bk.reshape(g, m, n))
-    value, gc = loss.group_grad(cos, cfg.gamma)
-    grads = ((gc[..., None] * dq).sum(1), (gc[..., None] * dk).reshape(g * m, n))
+    for name, inputs in (("query", block.query), ("keyword", block.keyword)):
+        side = model.side(name)
+        f, tapes = side_forward(inputs, side, model, setting)
+        numbers = np.concatenate([x[name == "keyword"].ravel() for x in block.groups])
+        out, tape = (f, None) if side.ladder is None else ladder.forward(f[numbers] if drawn else f, side.ladder, act)
+        spread = out if drawn and tape is not None else out[numbers]
+        found.append((name, side, tapes, tape, numbers, spread, len(f)))
+    bq, bk = found[0][5], found[1][5]
+    grads, lo, klo = (np.empty_like(bq), np.empty_like(bk)), 0, 0
+    for q, k, _ in block.groups:
+        g, m = k.shape
+        cos, dq, dk = loss.cosine_grad(bq[lo : lo + g, None, :], bk[klo : klo + g * m].reshape(g, m, -1))
+        one, gc = loss.group_grad(cos, cfg.gamma)
+        value += one
+        grads[0][lo : lo + g], grads[1][klo : klo + g * m] = (gc[..., None] * dq).sum(1), (gc[..., None] * dk).reshape(g * m, -1)
+        lo, klo = lo + g, klo + g * m
     out = {}
-    for name, grad, (side, tapes, _, tape) in zip(("query", "keyword"), grads, found, strict=True):
+    for grad, (name, side, tapes, tape, numbers, _, n) in zip(grads, found, strict=True):
         mine: dict = {}
+        late = drawn and tape is not None
+        grad = grad if late else sums_by(numbers, grad, n)
         if tape is not None:
             by_name, grad = ladder.backward(grad, tape, side.ladder, surrogate)
             mine["W", 0] = by_name["W"]
             mine |= {("B", t): x for t, x in enumerate(by_name["B"])} | {("R", t): x for t, x in enumerate(by_name["R"])}
-        side_backward(grad, side, model, tapes, mine)
+        side_backward(sums_by(numbers, grad, n) if late else grad, side, model, tapes, mine)
         out[name] = mine
     return value, out
 
 
-def gradients(groups: DataFrame, models: dict[str, tuple[encoder.TwoTower, Config]], epoch: int) -> DataFrame:
-    """model, side, name, t, block, data: gradient blocks summed over all groups (doubles, little-endian)."""
-    sent = groups.sparkSession.sparkContext.broadcast(models)
+def add_gradients(total: dict, model: encoder.TwoTower, sides: dict) -> None:
+    """Adds one block's gradients to (side, name, number) -> sum."""
+    for side, grads in sides.items():
+        for key, g in grads.items():
+            at = (side, *key)
+            if isinstance(g, tuple):
+                if at not in total:
+                    total[at] = np.zeros_like(model.side(side).conv)
+                total[at][g[0]] += g[1]
+            elif at in total:
+                total[at] += g
+            else:
+                total[at] = g
+
+
+def prepared(groups: DataFrame, settings: list) -> DataFrame:
+    """data: packed groups as blocks, cut into words and numbered once for all epochs."""
+    sent = groups.sparkSession.sparkContext.broadcast(settings)
+
+    def run(batches):
+        for _, block in blocks_in(batches, sent.value):
+            yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(block, 5)], pa.binary())], ["data"])
+
+    return groups.select("group_id", "q", "ks").mapInArrow(run, "data binary")
+
+
+def gradients(blocks: DataFrame, models: dict[str, tuple[encoder.TwoTower, Config]], epoch: int, settings: dict[str, int]) -> DataFrame:
+    """model, side, name, t, block, data: gradient blocks summed over all ``prepared`` groups (doubles, little-endian)."""
+    sent = blocks.sparkSession.sparkContext.broadcast(models)
 
     def run(batches):
         totals: dict[str, dict] = {m: {} for m in sent.value}
         value = dict.fromkeys(sent.value, 0.0)
-        count, ids = 0, {}
+        count = 0
         for batch in batches:
-            for a in range(0, batch.num_rows, 64):
-                part = batch.slice(a, 64).to_pydict()
-                by_size: dict[int, list[int]] = {}
-                for i, k in enumerate(part["ks"]):
-                    by_size.setdefault(len(k), []).append(i)
-                count += len(part["q"])
-                for rows in by_size.values():
-                    for name, (model, cfg) in sent.value.items():
-                        own = ids.setdefault((model.dims, id(model.vocab)), encoder.WordIds(model.dims, model.vocab))
-                        v, sides = batch_gradient(model, [part["q"][i] for i in rows], [part["ks"][i] for i in rows], cfg, epoch, own)
-                        value[name] += v
-                        for side, grads in sides.items():
-                            for key, g in grads.items():
-                                at = (side, *key)
-                                if isinstance(g, tuple):
-                                    if at not in totals[name]:
-                                        totals[name][at] = np.zeros_like(model.side(side).conv)
-                                    totals[name][at][g[0]] += g[1]
-                                elif at in totals[name]:
-                                    totals[name][at] += g
-                                else:
-                                    totals[name][at] = g
+            for data in batch.column(0):
+                block = pickle.loads(data.as_buffer())
+                count += sum(len(q) for q, _, _ in block.groups)
+                for name, (model, cfg) in sent.value.items():
+                    v, sides = block_gradient(model, block, cfg, epoch, settings.get(name, 0))
+                    value[name] += v
+                    add_gradients(totals[name], model, sides)
         rows = [(m, "", "loss", 0, 0, np.array([v, float(count)]).tobytes()) for m, v in value.items()]
         for m, total in totals.items():
             for (side, name, t), g in total.items():
@@ -162,7 +296,7 @@ def gradients(groups: DataFrame, models: dict[str, tuple[encoder.TwoTower, Confi
         first = table.slice(0, 1)
         return first.set_column(first.schema.get_field_index("data"), "data", pa.array([total.tobytes()], pa.binary()))
 
-    return groups.mapInArrow(run, SCHEMA).groupBy("model", "side", "name", "t", "block").applyInArrow(added, SCHEMA)
+    return blocks.mapInArrow(run, SCHEMA).groupBy("model", "side", "name", "t", "block").applyInArrow(added, SCHEMA)
 
 
 class Optimizer:
@@ -211,7 +345,10 @@ def fit_many(groups: DataFrame, models: dict[str, tuple[encoder.TwoTower, Config
     from ..sources import io
 
     cores = groups.sparkSession.sparkContext.defaultParallelism
-    groups = io.pin(groups.repartition(cores, "group_id") if groups.rdd.getNumPartitions() < cores else groups)
+    known, settings = settings_of({m: model for m, (model, _) in models.items()})
+    groups = spread(groups)
+    blocks = prepared(groups, known)
+    blocks = io.pin(blocks.repartition(cores) if groups.rdd.getNumPartitions() < 4 * cores else blocks)
     live = {m: (copy.deepcopy(model), cfg) for m, (model, cfg) in models.items()}
     out = {m: Fit(model) for m, (model, _) in live.items()}
     steps = {m: Optimizer(cfg) for m, (_, cfg) in live.items()}
@@ -220,7 +357,7 @@ def fit_many(groups: DataFrame, models: dict[str, tuple[encoder.TwoTower, Config
         live = {m: x for m, x in live.items() if epoch < x[1].epochs}
         if not live:
             break
-        losses, grads = collected(gradients(groups, live, epoch).collect(), live)
+        losses, grads = collected(gradients(blocks, live, epoch, settings).collect(), live)
         for m, (model, cfg) in list(live.items()):
             value, count = losses[m]
             mean = float(value / max(count, 1.0))
@@ -232,7 +369,7 @@ def fit_many(groups: DataFrame, models: dict[str, tuple[encoder.TwoTower, Config
             if path is not None:
                 io.save_tower(groups.sparkSession, model, f"{path}/{m}")
         epoch += 1
-    groups.unpersist()
+    blocks.unpersist()
     return out
 
 
@@ -243,73 +380,86 @@ def fit(groups: DataFrame, model: encoder.TwoTower, cfg: Config | None = None, p
 
 def group_scores(groups: DataFrame, models: dict[str, encoder.TwoTower]) -> DataFrame:
     """model, group_id, is_pos, cosine of every member of packed groups (held-out measures)."""
-    sent = groups.sparkSession.sparkContext.broadcast(models)
+    known, settings = settings_of(models)
+    sent = groups.sparkSession.sparkContext.broadcast((models, known))
     names = ["model", "group_id", "is_pos", "cosine"]
 
     def run(batches):
-        ids: dict = {}
-        for batch in batches:
-            for a in range(0, batch.num_rows, 64):
-                part = batch.slice(a, 64).to_pydict()
-                sizes = np.array([len(k) for k in part["ks"]])
-                group = np.repeat(np.array(part["group_id"], dtype=np.int64), sizes)
-                first = np.zeros(len(group), bool)
-                first[segments_of(sizes)] = True
-                for name, model in sent.value.items():
-                    own = ids.setdefault((model.dims, id(model.vocab)), encoder.WordIds(model.dims, model.vocab))
-                    both = []
-                    for side, inputs in ((model.query, part["q"]), (model.keyword, [k for g in part["ks"] for k in g])):
-                        f, _ = side_forward(inputs, side, model, own)
-                        both.append(f if side.ladder is None else ladder.dense(ladder.encode(f, side.ladder), side.ladder.weighted))
-                    q, k = np.repeat(both[0], sizes, axis=0), both[1]
-                    norm = np.linalg.norm(q, axis=1) * np.linalg.norm(k, axis=1)
-                    cos = np.divide((q * k).sum(1), norm, out=np.full(len(q), np.nan), where=norm > 0)
-                    yield pa.RecordBatch.from_arrays([pa.array([name] * len(cos)), pa.array(group), pa.array(first), pa.array(cos, from_pandas=True)], names)
-
-    return groups.mapInArrow(run, "model string, group_id long, is_pos boolean, cosine double")
-
-
-def segments_of(sizes: np.ndarray) -> np.ndarray:
-    return np.cumsum(sizes) - sizes
+        towers, known = sent.value
+        for keys, block in blocks_in(batches, known):
+            for name, model in towers.items():
+                both = []
+                for inputs, side in ((block.query, model.query), (block.keyword, model.keyword)):
+                    f, _ = side_forward(inputs, side, model, settings.get(name, 0), taped=False)
+                    both.append(f if side.ladder is None else ladder.dense(ladder.encode(f, side.ladder), side.ladder.weighted))
+                norms = [np.linalg.norm(x, axis=1) for x in both]
+                for qs, ks, at in block.groups:
+                    m = ks.shape[1]
+                    for a in range(0, len(qs), 1024):
+                        q, k = np.repeat(qs[a : a + 1024], m), ks[a : a + 1024].ravel()
+                        norm = norms[0][q] * norms[1][k]
+                        cos = np.divide((both[0][q] * both[1][k]).sum(1), norm, out=np.full(len(q), np.nan), where=norm > 0)
+                        first = np.arange(len(q)) % m == 0
+                        yield pa.RecordBatch.from_arrays([pa.array([name] * len(cos)), pa.array(np.repeat(keys[at[a : a + 1024]], m)), pa.array(first), pa.array(cos, from_pandas=True)], names)
+
+    return spread(groups).select("group_id", "q", "ks").mapInArrow(run, "model string, group_id long, is_pos boolean, cosine double")
 
 
 def packed_groups(samples: DataFrame, queries: DataFrame, keywords: DataFrame) -> DataFrame:
-    """group_id, q and ks (positive first) of each group, from samples and (id, x) inputs."""
+    """group_id, q and ks (positive first) of each group, from samples and (id, x) inputs; and their place, if samples have one."""
+    place = [F.any_value("place").alias("place")] if "place" in samples.columns else []
     rows = samples.join(queries.select(F.col("query_id"), F.col("x").alias("q")), "query_id").join(keywords.select("keyword_id", F.col("x").alias("k")), "keyword_id")
     member = F.struct((~F.col("is_pos")).alias("neg"), "keyword_id", "k")
-    packed = rows.groupBy("group_id").agg(F.any_value("q").alias("q"), F.sort_array(F.collect_list(member)).alias("m"))
-    return packed.where(F.size("m") > 1).where(~F.col("m")[0]["neg"]).select("group_id", "q", F.transform("m", lambda x: x["k"]).alias("ks"))
+    packed = rows.groupBy("group_id").agg(*place, F.any_value("q").alias("q"), F.sort_array(F.collect_list(member)).alias("m"))
+    return packed.where(F.size("m") > 1).where(~F.col("m")[0]["neg"]).select("group_id", *(["place"] if place else []), "q", F.transform("m", lambda x: x["k"]).alias("ks"))
 
 
 def local_fit(groups: DataFrame, model: encoder.TwoTower, cfg: Config, parts: int = 4) -> DataFrame:
-    """part, epoch, loss: an independent run of plain steps in each of ``parts`` hash parts (applyInPandas).
+    """part, epoch, loss: an independent run of plain steps in each of ``parts`` hash parts.
 
     An alternative to summed gradients: every part trains on its own groups; the
-    part of least loss, or an average, can go on.  A part must fit one task.
+    part of least loss, or an average, can go on.  A part's blocks lie in a file of
+    its task's own and pass one by one, so memory does not grow with the part.
     """
-    sent = groups.sparkSession.sparkContext.broadcast((model, cfg))
-
-    def run(frame):
-        import pandas as pd
-
-        own, cfg_ = copy.deepcopy(sent.value[0]), sent.value[1]
-        part, step, rows = int(frame["part"].iloc[0]), Optimizer(cfg_), []
-        qs, ks = [list(q) for q in frame["q"]], [[list(x) for x in k] for k in frame["ks"]]
-        same = [i for i, k in enumerate(ks) if len(k) == max(map(len, ks))]
-        for epoch in range(cfg_.epochs):
-            value, sides = batch_gradient(own, [qs[i] for i in same], [ks[i] for i in same], cfg_, epoch)
-            grads = {}
-            for side, found in sides.items():
-                for key, g in found.items():
-                    if isinstance(g, tuple):
-                        g_, g = g, np.zeros_like(own.side(side).conv)
-                        g[g_[0]] = g_[1]
-                    grads[side, *key] = g
-            step.step(own, grads, float(len(same)))
-            rows.append((part, epoch, value / len(same)))
-        return pd.DataFrame(rows, columns=["part", "epoch", "loss"])
-
-    return groups.withColumn("part", F.pmod(F.xxhash64("group_id"), F.lit(parts)).cast("int")).groupBy("part").applyInPandas(run, "part int, epoch int, loss double")
+    known, settings = settings_of({"model": model})
+    sent = groups.sparkSession.sparkContext.broadcast((model, cfg, known))
+    at = settings.get("model", 0)
+
+    def by_part(batches):
+        """(part, its batches), parts following one another."""
+        rows = (piece for b in batches for piece in split(b))
+        for part, pieces in itertools.groupby(rows, key=lambda x: x[0]):
+            yield part, (x[1] for x in pieces)
+
+    def split(batch):
+        part = batch.column(0).to_numpy(zero_copy_only=False)
+        heads = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(part)]
+        return [(int(part[a]), batch.slice(a, b - a)) for a, b in itertools.pairwise(heads) if b > a]
+
+    def run(batches):
+        first, cfg_, known = sent.value
+        for part, mine in by_part(batches):
+            own, step, losses = copy.deepcopy(first), Optimizer(cfg_), []
+            with tempfile.TemporaryFile() as kept:
+                ends, count = [0], 0
+                for keys, block in blocks_in(mine, known):
+                    pickle.dump(block, kept, 5)
+                    ends.append(kept.tell())
+                    count += len(keys)
+                for epoch in range(cfg_.epochs):
+                    value, total = 0.0, {}
+                    for lo in ends[:-1]:
+                        kept.seek(lo)
+                        one, sides = block_gradient(own, pickle.load(kept), cfg_, epoch, at)
+                        value += one
+                        add_gradients(total, own, sides)
+                    step.step(own, total, float(count))
+                    losses.append(value / count)
+            n = len(losses)
+            yield pa.RecordBatch.from_arrays([pa.array([part] * n, pa.int32()), pa.array(range(n), pa.int32()), pa.array(losses, pa.float64())], ["part", "epoch", "loss"])
+
+    dealt = groups.select(F.pmod(F.xxhash64("group_id"), F.lit(parts)).cast("int").alias("part"), "group_id", "q", "ks")
+    return dealt.repartitionByRange(parts, "part").sortWithinPartitions("part").mapInArrow(run, "part int, epoch int, loss double")
 
 
 def tune_gamma(scored: DataFrame, grid=(1.0, 2.0, 5.0, 10.0, 20.0), score: str = "cosine", by: tuple[str, ...] = ()) -> DataFrame:
